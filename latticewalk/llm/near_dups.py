@@ -5,10 +5,10 @@ smallest hash and ten bits of its mantissa, so a register is smaller than a whol
 six registers propose candidates; the Jaccard estimate from equal registers, corrected for chance
 collisions, drops candidates that are far off; the rest are confirmed on full sets of shingles.
 
-Groups of a band are never expanded to all pairs. In each round a few members of a group (pivots)
-are compared with the members that are not yet in their component, then leave the group; rounds end
-when every group is one component or has no pair left. So each pair that shares a band is either
-compared or already connected, and a group of thousands of copies needs about as many comparisons.
+Groups of a band are never expanded to all pairs. First every member is compared with the group's
+smallest id, and components are found. In groups that are not one component by then, members outside
+the largest component are compared with each other and with it, in blocks. So each pair that shares a
+band is either compared or already connected, and thousands of copies need about as many comparisons.
 """
 
 from __future__ import annotations
@@ -90,6 +90,25 @@ def sketch(hashes: np.ndarray) -> np.ndarray:
     return out
 
 
+#: For each bucket, the order in which it looks for a bucket to borrow from: a pseudo-random permutation of all.
+_LOOK = np.argsort(_mix(np.arange(BUCKETS * BUCKETS, dtype=np.uint64) * _ODD).reshape(BUCKETS, BUCKETS), axis=1)
+
+
+def densified(registers: np.ndarray) -> np.ndarray:
+    """Registers for banding: an empty bucket borrows the first filled one in its own order.
+
+    So each register of a short text, too, agrees with that of another text with probability of their similarity,
+    and a band never rests on one shingle.
+    """
+    filled = registers != EMPTY
+    if filled.all() or not filled.any():
+        return registers
+    out = registers.copy()
+    look = _LOOK[~filled]
+    out[~filled] = registers[look[np.arange(len(look)), filled[look].argmax(axis=1)]]
+    return out
+
+
 def chance(n: int, m: int) -> float:
     """Expected share of equal registers of two unrelated sets of n and m shingles: both minima fall in one cell."""
     i = np.arange(64)
@@ -135,16 +154,16 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def signatures(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n_shingles, a key of the whole set, and the sketch."""
+    """doc_id, n_shingles, a key of the whole set, and its registers for banding."""
 
-    @F.pandas_udf("n_shingles long, set_key binary, sketch binary")
+    @F.pandas_udf("n_shingles long, set_key binary, bands binary")
     def sign(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for part in parts:
             rows = []
             for text in part:
                 h = shingle_hashes(text if isinstance(text, str) else None, words)
-                rows.append((len(h), hashlib.blake2b(h.tobytes(), digest_size=16).digest(), sketch(h).tobytes() if len(h) else None))
-            yield pd.DataFrame(rows, columns=["n_shingles", "set_key", "sketch"])
+                rows.append((len(h), hashlib.blake2b(h.tobytes(), digest_size=16).digest(), densified(sketch(h)).tobytes() if len(h) else None))
+            yield pd.DataFrame(rows, columns=["n_shingles", "set_key", "bands"])
 
     return docs.select("doc_id", sign("text").alias("s")).select("doc_id", "s.*")
 
@@ -182,6 +201,67 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.select("a", "b").join(b, "b").join(a, "a").mapInPandas(check, "a long, b long, linked boolean")
 
 
+def cross_links(members: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
+    """Links (u, v) between the components (label) of members of one group: key, b (band), rep, label.
+
+    A group's members outside its largest component are compared with each other and with that component, in
+    blocks of bounded size; of the links of a block only those are returned that join components not joined
+    before. A pair is compared in the first band that it shares, and not if it is in one component already.
+    """
+    by_label = members.groupBy("key", "label").agg(F.count("*").alias("c"))
+    groups = by_label.groupBy("key").agg(F.max_by("label", F.struct("c", "label")).alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).where("n_rest > 0")
+    live = members.join(groups, "key").withColumn("is_main", F.col("label") == F.col("main"))
+    live = live.withColumn("blocks", F.ceil(F.col("n_rest") / block)).withColumn("main_blocks", F.ceil(F.col("n_main") / block))
+    live = live.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("is_main"), F.col("main_blocks")).otherwise(F.col("blocks"))))
+    # a block of the rest meets the blocks from its own on, and all blocks of the main component (negative numbers)
+    rest = "concat(transform(sequence(own, blocks - 1), j -> named_struct('i', own, 'j', j)), if(own > 0, transform(sequence(0L, own - 1), j -> named_struct('i', j, 'j', own)), array()), transform(sequence(1L, main_blocks), j -> named_struct('i', own, 'j', -j)))"
+    main = "transform(sequence(0L, blocks - 1), i -> named_struct('i', i, 'j', -own - 1))"
+    live = live.select("key", "b", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, {rest}))"))
+    least = percent / 100
+
+    def resolve(rows: pd.DataFrame) -> pd.DataFrame:
+        i, j, band = rows["i"].iloc[0], rows["j"].iloc[0], rows["b"].iloc[0]
+        full = [np.frombuffer(x, np.uint64) for x in rows["full"]]
+        plain = np.stack([sketch(x) for x in full])
+        bands = np.stack([densified(x) for x in plain])[:, : BANDS * BAND].reshape(len(full), BANDS, BAND)
+        size = np.array([len(x) for x in full])
+        label = rows["label"].to_numpy()
+        left = np.flatnonzero(~rows["is_main"].to_numpy() & (rows["own"].to_numpy() == i))
+        right = np.arange(len(full)) if j == i else np.flatnonzero(rows["is_main"].to_numpy() if j < 0 else rows["own"].to_numpy() == j)
+        parent: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while parent.get(x, x) != x:
+                parent[x] = parent.get(parent[x], parent[x])
+                x = parent[x]
+            return x
+
+        links = []
+        for a in left:
+            near = right[(label[right] != label[a]) & (100 * np.minimum(size[right], size[a]) >= percent * np.maximum(size[right], size[a]))]
+            near = near[near > a] if j == i else near
+            near = near[(bands[near] == bands[a]).all(axis=2).argmax(axis=1) == band]
+            if not len(near):
+                continue
+            used = (plain[near] != EMPTY) | (plain[a] != EMPTY)
+            k = used.sum(axis=1)
+            by_chance = np.array([chance(int(size[a]), m) for m in size[near].tolist()])
+            about = (((plain[near] == plain[a]) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
+            order = np.argsort(-about)
+            for at in order[about[order] + 6 * np.sqrt(least * (1 - least) / k[order]) >= least]:
+                b = near[at]
+                u, v = find(int(label[a])), find(int(label[b]))
+                if u == v:
+                    continue
+                common = len(np.intersect1d(full[a], full[b], assume_unique=True))
+                if 100 * common >= percent * (size[a] + size[b] - common):
+                    parent[max(u, v)] = min(u, v)
+                    links.append((int(label[a]), int(label[b])))
+        return pd.DataFrame(links, columns=["u", "v"], dtype="int64")
+
+    return live.join(sets.select("rep", "full"), "rep").groupBy("key", "i", "j").applyInPandas(resolve, "u long, v long")
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept (doc_id = component_id), a row each.
 
@@ -191,40 +271,23 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     Other columns are left out. An empty table gives no rows.
     """
     sig = cut(signatures(docs, words))
-    classes = sig.where("n_shingles > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
+    classes = sig.where("n_shingles > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.first("bands").alias("bands"))
     classes = cut(classes)
-    band = f"inline(transform(sequence(0, {BANDS - 1}), b -> named_struct('b', b, 'r', substring(sketch, b * {2 * BAND} + 1, {2 * BAND}))))"
-    rows = classes.select("rep", "n", F.expr(band).alias("b", "r")).where(F.col("r") != F.unhex(F.lit("FF" * 2 * BAND)))
-    rows = rows.select(F.xxhash64("b", "r").alias("key"), "rep", "n")
-    shared = rows.groupBy("key").agg(F.min("rep").alias("__lo"), F.max("rep").alias("__hi")).where("__lo < __hi").select("key")
-    members = cut(rows.join(shared, "key").distinct())
+    band = f"inline(transform(sequence(0, {BANDS - 1}), b -> named_struct('b', b, 'r', substring(bands, b * {2 * BAND} + 1, {2 * BAND}))))"
+    rows = classes.select("rep", "n", F.expr(band).alias("b", "r"))
+    rows = rows.select(F.xxhash64("b", "r").alias("key"), "b", "rep", "n")
+    shared = rows.groupBy("key").agg(F.min("rep").alias("a"), F.max("rep").alias("__hi"), F.min_by("n", "rep").alias("n_a")).where("a < __hi").drop("__hi")
+    members = cut(rows.join(shared, "key"))
     own = docs.selectExpr("cast(doc_id as long) rep", "text").join(members.select("rep").distinct(), "rep", "left_semi")
     sets = cut(full_sets(own.dropDuplicates(["rep", "text"]), words))
-    labels = cut(members.select("rep").distinct().withColumn("label", F.col("rep")))
-    tested, first = None, True
-    spread = 0
-    while True:
-        live = members.join(labels, "rep")
-        open_ = live.groupBy("key").agg(F.min("label").alias("__lo"), F.max("label").alias("__hi")).where("__lo < __hi").select("key")
-        live = cut(live.join(open_, "key"))
-        if live.isEmpty():
-            break
-        # rounds take 1, 2, 4, ... pivots of a group, the smallest id of each of so many parts of it
-        part = F.pmod(F.xxhash64("rep", F.lit(spread)), F.lit(1 << spread))
-        pivots = live.groupBy("key", part.alias("__part")).agg(F.min(F.struct("rep", "label", "n")).alias("p")).select("key", "p.*").withColumnsRenamed({"rep": "a", "label": "label_a", "n": "n_a"})
-        pivots = cut(pivots)
-        pairs = live.join(pivots, "key").where("label <> label_a and 100 * least(n, n_a) >= %d * greatest(n, n_a)" % percent)
-        pairs = pairs.select(F.least("a", "rep").alias("a"), F.greatest("a", "rep").alias("b")).distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        found = cut(confirm(pairs, sets, percent))
-        tested = found.select("a", "b") if first else cut(tested.unionByName(found.select("a", "b")))
-        first = False
-        edges = found.where("linked").join(labels.select(F.col("rep").alias("a"), F.col("label").alias("u")), "a").join(labels.select(F.col("rep").alias("b"), F.col("label").alias("v")), "b").select("u", "v")
-        root = components(edges)
-        labels = cut(labels.join(root, F.col("label") == F.col("node"), "left").select("rep", F.coalesce("root", "label").alias("label")))
-        members = cut(live.select("key", "rep", "n").join(pivots.select("key", F.col("a").alias("rep")), ["key", "rep"], "left_anti"))
-        spread += 1
+    # first each member of a band's group against the smallest id in it
+    pairs = members.where(f"a <> rep and 100 * least(n, n_a) >= {percent} * greatest(n, n_a)").select("a", F.col("rep").alias("b")).distinct()
+    root = components(confirm(pairs, sets, percent).where("linked").select(F.col("a").alias("u"), F.col("b").alias("v")))
+    labels = members.select("rep").distinct().join(root, F.col("rep") == F.col("node"), "left").select("rep", F.coalesce("root", "rep").alias("label"))
+    labels = cut(labels)
+    # then, in groups that are not one component yet, members of different components against each other
+    more = components(cross_links(members.select("key", "b", "rep").join(labels, "rep"), sets, percent))
+    labels = labels.join(more, F.col("label") == F.col("node"), "left").select("rep", F.coalesce("root", "label").alias("label"))
     by_class = classes.join(labels, "rep", "left").select("set_key", F.coalesce("label", "rep").alias("label"))
     out = sig.join(by_class, "set_key", "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("label", "doc_id")).otherwise(F.col("doc_id"))
