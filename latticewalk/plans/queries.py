@@ -227,12 +227,12 @@ def explorer_cost(s, d):
 
 
 SCORE_SQL = {"linear": "support::double", "plateau": "least(support, 100)::double", "steep": "case when support >= 100 then support::double else 0.5::double * (support - 1) end"}
-SCORE_COLUMN = {"linear": F.col("support").cast("double"), "plateau": F.least(F.col("support"), F.lit(100)).cast("double"), "steep": F.when(F.col("support") >= 100, F.col("support").cast("double")).otherwise(0.5 * (F.col("support") - 1))}
+SCORE_COLUMN = {"linear": lambda: F.col("support").cast("double"), "plateau": lambda: F.least(F.col("support"), F.lit(100)).cast("double"), "steep": lambda: F.when(F.col("support") >= 100, F.col("support").cast("double")).otherwise(0.5 * (F.col("support") - 1))}
 for _score in SCORE_SQL:
-    query(f"with {table_sql('click')} select pattern_key, {SCORE_SQL[_score]} as u from sup", f"score_{_score}")(lambda s, d, n=_score: mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n].alias("u")))
+    query(f"with {table_sql('click')} select pattern_key, {SCORE_SQL[_score]} as u from sup", f"score_{_score}")(lambda s, d, n=_score: mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n]().alias("u")))
     if _score != "steep":
         query(f"with {table_sql('click')}, u as (select pattern_key, {SCORE_SQL[_score]} as u from sup), w as (select pattern_key, exp(0.5::double * (u - (select max(u) from u)) / 30) as w from u) select pattern_key, round(w / (select sum(w) from w), 9) as p from w", f"expmech_probs_{_score}")(
-            lambda s, d, n=_score: (lambda u: (lambda w: w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("t")))).select("pattern_key", F.round(F.col("w") / F.col("t"), 9).alias("p")))(u.crossJoin(F.broadcast(u.agg(F.max("u").alias("top")))).select("pattern_key", F.exp(0.5 * (F.col("u") - F.col("top")) / 30).alias("w"))))(mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n].alias("u")))
+            lambda s, d, n=_score: (lambda u: (lambda w: w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("t")))).select("pattern_key", F.round(F.col("w") / F.col("t"), 9).alias("p")))(u.crossJoin(F.broadcast(u.agg(F.max("u").alias("top")))).select("pattern_key", F.exp(0.5 * (F.col("u") - F.col("top")) / 30).alias("w"))))(mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n]().alias("u")))
         )
 
 
