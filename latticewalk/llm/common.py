@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
+from collections.abc import Callable
+from types import ModuleType
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,3 +43,11 @@ def n_groups(rows: int, each: int) -> int:
 def held_out(column: str = "doc_id"):
     """Rows of the test fold: crc32 of the id as text is divisible by five."""
     return F.coalesce(F.pmod(F.crc32(F.col(column).cast("string").cast("binary")), F.lit(5)) == 0, F.lit(False))
+
+
+def once(key: tuple, make: Callable):
+    """A thing that a Python worker makes once and keeps for all its tasks, such as a vocabulary with its memo."""
+    kept = sys.modules.setdefault("_corpus_worker", ModuleType("_corpus_worker")).__dict__
+    if key not in kept:
+        kept[key] = make()
+    return kept[key]

@@ -20,6 +20,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from latticewalk.llm.common import once
+
 #: White space and the pieces into which byte-level BPE first splits a text: fixed values of the public vocabulary's format.
 SPACE = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = regex.compile(rf"'(?:s|t|re|ve|m|ll|d)| ?\p{{L}}+| ?\p{{N}}+| ?[^{SPACE}\p{{L}}\p{{N}}]+|[{SPACE}]+(?![^{SPACE}])|[{SPACE}]+")
@@ -210,7 +212,7 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 1024, store: bool = Fa
 
     @F.pandas_udf(schema)
     def count(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        counter = PrefixCounter(path)
+        counter = once(("prefix counts", path), lambda: PrefixCounter(path))
         for part in parts:
             rows = []
             for text in part:
