@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from latticewalk.llm.common import n_groups
+from latticewalk.llm.common import n_groups, once
 from latticewalk.llm.token_counts import TwoGenerations, byte_letters
 
 #: Blanks are dropped by the word vocabulary, so a text may be encoded run by run.
@@ -191,7 +191,7 @@ def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups:
     """
 
     def cut_up(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encoder, end = WordEncoder(path), np.array([end_id], "<u4").tobytes()
+        encoder, end = once(("word encoder", path), lambda: WordEncoder(path)), np.array([end_id], "<u4").tobytes()
         turn = TaskContext.get().partitionId() * 7919
         for batch in batches:
             texts = [t if isinstance(t, str) else "" for t in batch["text"]]
