@@ -222,6 +222,10 @@ class PunchedLattice:
         return found
 
 
+class NotConverged(RuntimeError):
+    """A chain used up its steps; no pattern may leave."""
+
+
 class Walker:
     def __init__(self, service, config: WalkConfig):
         self.service, self.config, self.lattice = service, config, PunchedLattice(config.rules)
@@ -284,7 +288,7 @@ class Walker:
             trace.append((number, step, at, y, q, back, a, ok, *values, *test.z))
             if test.add(values) and step >= self.config.min_steps:
                 return x, step, trace
-        raise RuntimeError(f"chain {number} didn't converge in {self.config.max_steps} steps; nothing is released")
+        raise NotConverged(f"chain {number} didn't converge in {self.config.max_steps} steps; nothing is released")
 
 
 def laplace(r: random.Random, scale: float) -> float:

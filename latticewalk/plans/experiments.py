@@ -58,12 +58,16 @@ def run_grid(spark: SparkSession, grid: list[dict], tables: dict) -> DataFrame:
             for i in batch["i"]:
                 g = grid[i]
                 s = sent.value[g["workload"], g.get("percent", 100)]
-                config = walk.WalkConfig(rules_of(g["workload"]), k=g.get("k", 15), f=threshold(s, g.get("k", 15)), eps1=g.get("eps", 0.5), score=g.get("score", "linear"), eta=g.get("eta", 0.9), rho=g.get("rho", 0.5), seed=g["rep"] * 1009 + 17)
+                config = walk.WalkConfig(rules_of(g["workload"]), k=g.get("k", 15), f=threshold(s, g.get("k", 15)), eps1=g.get("eps", 0.5), score=g.get("score", "linear"), eta=g.get("eta", 0.9), rho=g.get("rho", 0.5), seed=g["rep"] * 1009 + 17, max_steps=20_000)
                 began = time.perf_counter()
-                r = walk.sample_private_patterns(walk.Materialized(s), config)
+                try:
+                    r = walk.sample_private_patterns(walk.Materialized(s), config)
+                except walk.NotConverged:  # nothing is released, and that is the result
+                    yield pd.DataFrame([(g["workload"], g["param"], str(g["value"]), g["rep"], "released", 0.0)], columns=["workload", "param", "value", "rep", "metric", "measure"])
+                    continue
                 took = time.perf_counter() - began
                 m = walk.metrics(r.patterns, s, config.k)
-                m |= {"acceptance": sum(t[7] for t in r.trace) / len(r.trace), "steps": sum(r.steps) / len(r.steps), "seconds_per_pattern": took / config.k, "seconds_per_iteration": took / len(r.trace)}
+                m |= {"released": 1.0, "acceptance": sum(t[7] for t in r.trace) / len(r.trace), "steps": sum(r.steps) / len(r.steps), "seconds_per_pattern": took / config.k, "seconds_per_iteration": took / len(r.trace)}
                 yield pd.DataFrame([(g["workload"], g["param"], str(g["value"]), g["rep"], k, float(v)) for k, v in m.items()], columns=["workload", "param", "value", "rep", "metric", "measure"])
 
     return rows.mapInPandas(run, "workload string, param string, value string, rep int, metric string, measure double")
