@@ -10,7 +10,7 @@ from __future__ import annotations
 import math
 import random
 from collections.abc import Callable, Iterable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from latticewalk.functions.pattern import PatternRules, lattice_neighbors, parse_key, enumerate_space
 
@@ -158,6 +158,7 @@ class WalkConfig:
     max_steps: int = 3000
     lazy: float = 0.0
     f_source: str = "given"
+    bridge: bool = True
 
 
 @dataclass
@@ -195,10 +196,16 @@ class BudgetLedger:
 
 
 class PunchedLattice:
-    """D10. Neighbours in the space without released patterns: a removed neighbour is replaced by its own, transitively."""
+    """D10. Neighbours in the space without released patterns: a removed neighbour is replaced by its own, transitively.
 
-    def __init__(self, rules: PatternRules):
+    With `bridge`, patterns one edge (or vertex) below the smallest size count as removed from the start, so the smallest
+    patterns of the space neighbour each other through what they share. The relation stays symmetric, hence the chain's
+    law is the same; without it, a walk leaves a smallest pattern only through less supported ones.
+    """
+
+    def __init__(self, rules: PatternRules, bridge: bool = False):
         self.rules, self.removed = rules, set()
+        self.wide = replace(rules, min_nodes=max(1, rules.min_nodes - 1), min_edges=max(0, rules.min_edges - 1)) if bridge else rules
         self.memo: dict[str, tuple[str, ...]] = {}
 
     def remove(self, key: str) -> None:
@@ -210,11 +217,11 @@ class PunchedLattice:
         if found is None:
             seen, out, todo = {key}, set(), [key]
             while todo:
-                for n in lattice_neighbors(todo.pop(), self.rules):
+                for n in lattice_neighbors(todo.pop(), self.wide):
                     if n.key in seen:
                         continue
                     seen.add(n.key)
-                    if n.key in self.removed:
+                    if n.key in self.removed or (self.wide is not self.rules and not self.rules.allows(parse_key(n.key))):
                         todo.append(n.key)
                     else:
                         out.add(n.key)
@@ -228,7 +235,7 @@ class NotConverged(RuntimeError):
 
 class Walker:
     def __init__(self, service, config: WalkConfig):
-        self.service, self.config, self.lattice = service, config, PunchedLattice(config.rules)
+        self.service, self.config, self.lattice = service, config, PunchedLattice(config.rules, config.bridge)
         self.utility, self.delta_u = SCORES[config.score](config.f)
         self.classes_of: dict[str, tuple] = {}
 

@@ -58,7 +58,7 @@ def run_grid(spark: SparkSession, grid: list[dict], tables: dict) -> DataFrame:
             for i in batch["i"]:
                 g = grid[i]
                 s = sent.value[g["workload"], g.get("percent", 100)]
-                config = walk.WalkConfig(rules_of(g["workload"]), k=g.get("k", 15), f=threshold(s, g.get("k", 15)), eps1=g.get("eps", 0.5), score=g.get("score", "linear"), eta=g.get("eta", 0.9), rho=g.get("rho", 0.5), seed=g["rep"] * 1009 + 17, max_steps=20_000)
+                config = walk.WalkConfig(rules_of(g["workload"]), k=g.get("k", 15), f=threshold(s, g.get("k", 15)), eps1=g.get("eps", 0.5), score=g.get("score", "linear"), eta=g.get("eta", 0.9), rho=g.get("rho", 0.5), bridge=g.get("bridge", True), seed=g["rep"] * 1009 + 17, max_steps=20_000)
                 began = time.perf_counter()
                 try:
                     r = walk.sample_private_patterns(walk.Materialized(s), config)

@@ -116,8 +116,9 @@ def small_walker(score="linear", **how):
 
 @pytest.mark.parametrize("score", ["linear", "plateau", "steep"])
 @pytest.mark.parametrize("proposal", ["balanced", "uniform"])
-def test_stationary_law_is_the_exponential_mechanism(score, proposal):
-    w, space = small_walker(score, proposal=proposal, lazy=0.1)
+@pytest.mark.parametrize("bridge", [False, True])
+def test_stationary_law_is_the_exponential_mechanism(score, proposal, bridge):
+    w, space = small_walker(score, proposal=proposal, lazy=0.1, bridge=bridge)
     p = walk.transition_matrix(w, space)
     law = np.array(walk.exponential_law([w.utility(w.service.supports[k]) for k in space], 0.3, 1, w.delta_u))
     assert np.allclose(p.sum(1), 1) and (p >= -1e-12).all() and np.allclose(law @ p, law)
@@ -127,8 +128,16 @@ def test_stationary_law_is_the_exponential_mechanism(score, proposal):
     assert np.abs(np.linalg.matrix_power(p, 1 << 15)[0] - law).sum() / 2 < 1e-3
 
 
-def test_removal_keeps_the_law_on_the_rest():
-    w, space = small_walker()
+def test_bridges_join_the_smallest_patterns():
+    plain, bridged = walk.PunchedLattice(RULES), walk.PunchedLattice(RULES, True)
+    more = set(bridged.neighbors("0,1|0-1")) - set(plain.neighbors("0,1|0-1"))
+    assert more == {"0,0|0-1", "0,2|0-1", "1,1|0-1", "1,2|0-1"}
+    assert bridged.neighbors("0,0,1|0-1,0-2") == plain.neighbors("0,0,1|0-1,0-2")
+
+
+@pytest.mark.parametrize("bridge", [False, True])
+def test_removal_keeps_the_law_on_the_rest(bridge):
+    w, space = small_walker(bridge=bridge)
     for k in space[3:12:3]:
         w.lattice.remove(k)
     rest = [k for k in space if k not in w.lattice.removed]
