@@ -14,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from latticewalk.functions.pattern import Neighbor, Pattern, PatternRules, adjacency, contains, lattice_neighbors, parse_key, sub_pattern_keys
+from latticewalk.functions.pattern import Neighbor, Pattern, PatternRules, adjacency, contains, each_mapping, lattice_neighbors, parse_key, sub_pattern_keys
 from latticewalk.sources.builders import GraphTables
 
 
@@ -189,8 +189,86 @@ def forward_supports(found: DataFrame, h: DataFrame, width: int) -> DataFrame:
     return m.join(h.select("gid", "v", "w", "w_label"), ["gid", "v"]).where(" and ".join(f"w <> m{i}" for i in range(width))).select("at", F.col("w_label").alias("label"), "gid")
 
 
-def explore_reuse(g: GraphTables, packed: DataFrame, key: str, f: int, rules: PatternRules) -> Neighborhood:
-    """C3. Decides all neighbours from the mappings of the pattern itself.
+def grown_supports(packed: DataFrame, key: str, near: tuple[Neighbor, ...]) -> DataFrame:
+    """C3c, C3d, row-local. pattern_key, support of a pattern and of all its super-patterns, from its own mappings.
+
+    One scan, one search per graph; the search of a graph stops when every super-pattern was seen in it. The row with key
+    "" counts the graphs.
+    """
+    back = [(e, x.key) for x in near if x.kind == "super_back" for e in x.edits]
+    forward = {e: x.key for x in near if x.kind == "super_forward" for e in x.edits}
+    most = len({*forward.values(), *(k for _, k in back)})
+
+    def grow(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        p, counts = parse_key(key), {}
+        for batch in batches:
+            counts[""] = counts.get("", 0) + len(batch)
+            for labels, src, dst in batch[["vlabel", "src", "dst"]].itertuples(index=False):
+                adjacent, hit, held = adjacency(len(labels), src, dst), set(), []
+
+                def visit(m: tuple[int, ...]) -> bool:
+                    held[:] = [1]
+                    for (u, v), k in back:
+                        if m[v] in adjacent[m[u]]:
+                            hit.add(k)
+                    for at, image in enumerate(m):
+                        for w in adjacent[image]:
+                            if w not in m and (k := forward.get((at, labels[w]))):
+                                hit.add(k)
+                    return len(hit) == most
+
+                each_mapping(labels, adjacent, p, visit)
+                for k in (key, *hit) if held else ():
+                    counts[k] = counts.get(k, 0) + 1
+        yield pd.DataFrame({"pattern_key": list(counts), "n": list(counts.values())}).astype({"n": "int64"})
+
+    return packed.mapInPandas(grow, "pattern_key string, n long").groupBy("pattern_key").agg(F.sum("n").alias("support"))
+
+
+def missed_supports(packed: DataFrame, key: str, subs: list[str]) -> DataFrame:
+    """C3b, row-local. pattern_key, n graphs that don't hold the pattern but hold the sub-pattern, and the tests made.
+
+    A sub-pattern is tested only on graphs that have all its kinds of edges and don't hold the pattern.
+    """
+
+    def test(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        x, counts = parse_key(key), {k: [0, 0] for k in subs}
+        small = [(k, y, {tuple(sorted((y.labels[u], y.labels[v]))) for u, v in y.edges}) for k, y in zip(subs, map(parse_key, subs))]
+        for batch in batches:
+            for labels, src, dst in batch[["vlabel", "src", "dst"]].itertuples(index=False):
+                kinds = {(min(labels[u], labels[v]), max(labels[u], labels[v])) for u, v in zip(src, dst)}
+                open_ = [(k, y) for k, y, need in small if need <= kinds]
+                if open_:
+                    adjacent = adjacency(len(labels), src, dst)
+                    for k, y in () if contains(labels, adjacent, x) else open_:
+                        counts[k][1] += 1
+                        counts[k][0] += contains(labels, adjacent, y)
+        yield pd.DataFrame([(k, *c) for k, c in counts.items()], columns=["pattern_key", "n", "tests"]).astype({"n": "int64", "tests": "int64"})
+
+    return packed.mapInPandas(test, "pattern_key string, n long, tests long").groupBy("pattern_key").agg(F.sum("n").alias("n"), F.sum("tests").alias("tests"))
+
+
+def explore_reuse(packed: DataFrame, key: str, f: int, rules: PatternRules) -> Neighborhood:
+    """C3. Decides all neighbours from the mappings of the pattern itself, in one scan if it is frequent, else in two.
+
+    Counts are exact, so no early stop over graphs is needed (C4).
+    """
+    near = lattice_neighbors(key, rules)
+    s = {r.pattern_key: r.support for r in grown_supports(packed, key, near).collect()}
+    own, tests = s.get(key, 0), s.get("", 0)
+    if own >= f:
+        frequent = {x.key: x.kind == "sub" or s.get(x.key, 0) >= f for x in near}
+    else:
+        frequent = {x.key: False for x in near}
+        subs = [x.key for x in near if x.kind == "sub"]
+        for r in missed_supports(packed, key, subs).collect() if subs else ():
+            frequent[r.pattern_key] = own + r.n >= f
+            tests += r.tests
+    return _split(own, f, near, frequent, {"subgraph_tests": tests})
+
+
+def explore_reuse_joins(g: GraphTables, packed: DataFrame, key: str, f: int, rules: PatternRules) -> Neighborhood:
+    """C3, relational: the same by joins on graph and vertex, for graphs that don't fit a row.
 
     Frequent: sub-patterns need no test, and one join of the mappings with edges counts all super-patterns. Infrequent:
     super-patterns need no test, and sub-patterns are tested only on graphs with all their kinds of edges that don't

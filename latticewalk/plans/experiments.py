@@ -96,21 +96,25 @@ def convergence_traces(spark: SparkSession, sf_dir: str, workload: str = "profil
     return spark.createDataFrame(rows, "chain int, step int, z_neighbors double, z_frequent double, z_nodes double, accepted boolean")
 
 
-def explorer_comparison(spark: SparkSession, sf_dir: str, workload: str = "click", states: int = 2) -> DataFrame:
-    """Seconds and subgraph tests of each explorer on the same states; all must return the same neighbourhood."""
-    g, rules = builders.WORKLOADS[workload](spark, sf_dir), rules_of(workload)
-    packed = graphs.pack(g).persist()
-    s = {r.pattern_key: r.support for r in graphs.mine_supports(packed, rules).collect()}
-    f = threshold(s, 15)
-    ranked = sorted(s, key=lambda k: (-s[k], k))
-    keys = [ranked[0], ranked[min(len(ranked) - 1, 20)]][:states]
+def explorer_comparison(spark: SparkSession, sf_dir: str, workloads: tuple[str, ...] = ("click", "dense", "profile")) -> DataFrame:
+    """Seconds and subgraph tests of each explorer on the same states; all must return the same neighbourhood.
+
+    States: the most supported pattern, one well below the threshold, and one of the most edges just below it.
+    """
     rows = []
-    for key in keys:
-        for name, explore in (("naive", lambda: graphs.explore_naive(packed, key, f, rules)), ("monotone", lambda: graphs.explore_monotone(packed, key, f, rules)), ("reuse", lambda: graphs.explore_reuse(g, packed, key, f, rules)), ("table", lambda: graphs.explore_table(s, key, f, rules))):
-            began = time.perf_counter()
-            n = explore()
-            rows.append((workload, key, name, n.support, len(n.freq_sub), len(n.freq_super), len(n.infreq), n.counters["subgraph_tests"], time.perf_counter() - began))
-    packed.unpersist()
+    for workload in workloads:
+        rules = rules_of(workload)
+        packed = graphs.pack(builders.WORKLOADS[workload](spark, sf_dir)).persist()
+        s = {r.pattern_key: r.support for r in graphs.mine_supports(packed, rules).collect()}
+        f = threshold(s, 15)
+        ranked = sorted(s, key=lambda k: (-s[k], k))
+        large = [k for k in ranked if s[k] < f and k.count("-") == rules.max_edges]
+        for key in dict.fromkeys([ranked[0], ranked[min(len(ranked) - 1, 40)], *large[:1]]):
+            for name, explore in (("naive", lambda: graphs.explore_naive(packed, key, f, rules)), ("monotone", lambda: graphs.explore_monotone(packed, key, f, rules)), ("reuse", lambda: graphs.explore_reuse(packed, key, f, rules)), ("table", lambda: graphs.explore_table(s, key, f, rules))):
+                began = time.perf_counter()
+                n = explore()
+                rows.append((workload, key, name, n.support, len(n.freq_sub), len(n.freq_super), len(n.infreq), n.counters["subgraph_tests"], time.perf_counter() - began))
+        packed.unpersist()
     return spark.createDataFrame(rows, "workload string, pattern_key string, explorer string, support long, freq_sub int, freq_super int, infreq int, subgraph_tests long, seconds double")
 
 

@@ -207,8 +207,13 @@ def neighbors_monotone(s, d):
 
 @query(_NEAR_SQL)
 def neighbors_reuse(s, d):
+    return _neighborhood(s, graphs.explore_reuse(graphs.pack(builders.click(s, d)), "0,4|0-1", 100, SMALL["click"]))
+
+
+@query(_NEAR_SQL)
+def neighbors_reuse_joins(s, d):
     g = builders.click(s, d)
-    return _neighborhood(s, graphs.explore_reuse(g, graphs.pack(g), "0,4|0-1", 100, SMALL["click"]))
+    return _neighborhood(s, graphs.explore_reuse_joins(g, graphs.pack(g), "0,4|0-1", 100, SMALL["click"]))
 
 
 @query(_NEAR_SQL)
