@@ -13,6 +13,7 @@ from dataclasses import dataclass, field
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.functions import udtf
 
 from latticewalk.functions.pattern import Neighbor, Pattern, PatternRules, adjacency, contains, each_mapping, lattice_neighbors, parse_key, sub_pattern_keys
 from latticewalk.sources.builders import GraphTables
@@ -315,3 +316,15 @@ def explore_table(supports: dict[str, int], key: str, f: int, rules: PatternRule
     """C5. Looks neighbours up in a table of supports: no tests, no jobs."""
     near = lattice_neighbors(key, rules)
     return _split(supports.get(key, 0), f, near, {x.key: supports.get(x.key, 0) >= f for x in near}, {"subgraph_tests": 0})
+
+
+def neighbors_of(patterns: DataFrame, rules: PatternRules) -> DataFrame:
+    """A5 as a lateral join: the columns of patterns (pattern_key among them), near_key, kind."""
+
+    @udtf(returnType="near_key string, kind string")
+    class Near:
+        def eval(self, key: str):
+            for n in lattice_neighbors(key, rules):
+                yield n.key, n.kind
+
+    return patterns.lateralJoin(Near(F.col("pattern_key").outer()))

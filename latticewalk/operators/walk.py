@@ -11,6 +11,7 @@ import math
 import random
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field, replace
+from fractions import Fraction
 
 from latticewalk.functions.pattern import PatternRules, lattice_neighbors, parse_key, enumerate_space
 
@@ -79,6 +80,24 @@ class OnDemand:
         return {k: self.known[k] for k in keys}
 
 
+class Frontier(OnDemand):
+    """Asks for the neighbourhoods of the wanted patterns in the same job, so that a walk needs fewer jobs.
+
+    `most` bounds the patterns of one job that weren't asked for; a pattern left out is asked for when it is needed.
+    """
+
+    def __init__(self, count: Callable[[list[str]], dict[str, int]], rules: PatternRules, most: int = 5_000, memory: int = 100_000):
+        super().__init__(count, memory)
+        self.rules, self.most = rules, most
+
+    def of(self, keys: Iterable[str]) -> dict[str, int]:
+        keys = list(keys)
+        if any(k not in self.known for k in keys):
+            more = dict.fromkeys(n.key for k in keys for n in lattice_neighbors(k, self.rules))
+            super().of([*keys, *[k for k in more if k not in self.known][: self.most]])
+        return super().of(keys)
+
+
 # ---- D12-D14 ----
 def geweke_z(series: list[float], first: float = 0.1, last: float = 0.5, var: str = "sample") -> float:
     """D12. Difference of the means of the first and last parts over the root of summed variances.
@@ -159,6 +178,7 @@ class WalkConfig:
     lazy: float = 0.0
     f_source: str = "given"
     bridge: bool = True
+    noise: str = "laplace"
 
 
 @dataclass
@@ -304,6 +324,32 @@ def laplace(r: random.Random, scale: float) -> float:
     return -scale * math.copysign(math.log(max(1e-300, 1 - 2 * abs(u))), u)
 
 
+def bernoulli_exp(r: random.Random, num: int, den: int) -> bool:
+    """True with probability exp(-num / den) for num <= den, by whole numbers only."""
+    k = 1
+    while r.randrange(den * k) < num:
+        k += 1
+    return k % 2 == 1
+
+
+def discrete_laplace(r: random.Random, scale: float) -> int:
+    """E1 for counts: whole-number noise with weights exp(-|n| / scale), drawn without floating point, whose gaps leak."""
+    t, s = Fraction(scale).limit_denominator(1 << 20).as_integer_ratio()
+    while True:
+        u = r.randrange(t)
+        if not bernoulli_exp(r, u, t):
+            continue
+        v = 0
+        while bernoulli_exp(r, 1, 1):
+            v += 1
+        size, minus = (u + t * v) // s, r.randrange(2)
+        if size or not minus:
+            return -size if minus else size
+
+
+NOISES = {"laplace": laplace, "discrete": discrete_laplace}
+
+
 def sample_private_patterns(service, config: WalkConfig, secret: int | None = None) -> Release:
     """E3. k patterns, each the sample of a chain over the space without those before; E5 adds noise to supports.
 
@@ -319,7 +365,7 @@ def sample_private_patterns(service, config: WalkConfig, secret: int | None = No
         patterns.append(key)
         steps.append(n)
         trace += own
-        noisy.append(support + laplace(r, config.k / config.eps2) if config.eps2 else None)
+        noisy.append(float(support + NOISES[config.noise](r, config.k / config.eps2)) if config.eps2 else None)
         walker.lattice.remove(key)
         walker.classes_of.clear()
     ledger.spend("sampling", config.eps1)

@@ -19,13 +19,13 @@ from latticewalk.operators import graphs, walk
 from latticewalk.sources import builders
 
 #: Bounds of the patterns of each workload: nodes, edges.
-BOUNDS = {"click": (4, 3), "dense": (3, 2), "profile": (3, 2), "role": (4, 3)}
+BOUNDS = {"click": (4, 3), "dense": (3, 2), "profile": (3, 2), "role": (4, 3), "page": (3, 2)}
 #: The table of supports is a dict on the driver; beyond this many patterns a walk must use the on-demand service.
 MOST_PATTERNS = 2_000_000
 
 
 def rules_of(name: str) -> PatternRules:
-    names = {"click": builders.CLICK, "dense": builders.DENSE, "profile": builders.PROFILE, "role": builders.ROLES}[name]
+    names = {"click": builders.CLICK, "dense": builders.DENSE, "profile": builders.PROFILE, "role": builders.ROLES, "page": builders.TAGS}[name]
     return PatternRules(tuple(range(len(names))), *BOUNDS[name])
 
 

@@ -384,7 +384,104 @@ def stream_sessions(s, d):
     return s.table(name)
 
 
-for _name in BASE:
+@query()
+def stream_click_graphs(s, d):
+    """Session trees built by the stateful operator, up to the watermark."""
+    schema = s.read.parquet(f"{d}/events.parquet").schema
+    name = "latticewalk_click_graphs"
+    q = streaming.stream_click_graphs(s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)).writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return s.table(name)
+
+
+@query("select time_bucket(interval 6 hours, ts) - k * interval 6 hours as began, event_type, count(*) as n from events, (values (0), (1), (2), (3)) t(k) group by 1, 2")
+def window_event_counts_sliding(s, d):
+    """The batch twin of the sliding monitor: a day, every six hours."""
+    e = s.read.parquet(f"{d}/events.parquet")
+    return streaming.event_counts(e, "1 day", "6 hours").select(F.col("began").cast("timestamp_ntz").alias("began"), "event_type", "n")
+
+
+#: The neighbours of an edge a-b within two edges, by the rule of PATH_KEYS: a leaf of any label on either end.
+_NEAR_EDGE_SQL = """l(l) as (values (0), (1), (2), (3), (4)), x(c, a) as (values ({a}, {b}), ({b}, {a})), y as (select c, least(a, l) as p, greatest(a, l) as q from x, l),
+n as (select distinct case when c <= p then c || ',' || p || ',' || q || '|0-1,0-2' when c <= q then p || ',' || c || ',' || q || '|0-1,1-2' else p || ',' || q || ',' || c || '|0-2,1-2' end as near_key from y)"""
+
+
+@query(f"with {_NEAR_EDGE_SQL.format(a=0, b=4)} select '0,4|0-1' as pattern_key, near_key, 'super_forward' as kind from n")
+def neighbors_of(s, d):
+    return graphs.neighbors_of(s.createDataFrame([("0,4|0-1",)], "pattern_key string"), SMALL["click"])
+
+
+@query(f"with {_NEAR_EDGE_SQL.format(a=0, b=4).replace('n as', 'n1 as').replace('x(c', 'x1(c').replace('from x,', 'from x1,').replace('y as', 'y1 as').replace('from y)', 'from y1)')}, {_NEAR_EDGE_SQL.format(a=3, b=4).partition(', ')[2].partition('(4)), ')[2]} select near_key from n1 except select near_key from n")
+def lattice_except(s, d):
+    near = lambda k: graphs.neighbors_of(s.createDataFrame([(k,)], "pattern_key string"), SMALL["click"]).select("near_key")
+    return near("0,4|0-1").exceptAll(near("3,4|0-1"))
+
+
+@query(f"with {CLICK_SQL}, {HALF} select gid from h where lv = 0 and lw = 4 intersect select gid from h where lv = 1 and lw = 4")
+def edgeset_intersect(s, d):
+    i = graphs.edge_index(graphs.half_edges(builders.click(s, d)))
+    return i.where("label_lo = 0 and label_hi = 4").select("gid").intersect(i.where("label_lo = 1 and label_hi = 4").select("gid"))
+
+
+_NAMES_SQL = ", ".join(f"({i}, '{n}')" for i, n in enumerate(builders.CLICK))
+
+
+@query(f"with {CLICK_SQL}, {HALF}, t(i, name) as (values {_NAMES_SQL}) select a.name as lo, b.name as hi, count(distinct gid) as support from h join t a on a.i = lv join t b on b.i = lw where lv <= lw group by 1, 2")
+def edge_support_named(s, d):
+    """Names come from the declared labels, which are few."""
+    names = F.broadcast(s.createDataFrame([*enumerate(builders.CLICK)], "i int, name string"))
+    e = graphs.edge_supports(graphs.half_edges(builders.click(s, d)))
+    return e.join(names.toDF("label_lo", "lo"), "label_lo").join(names.toDF("label_hi", "hi"), "label_hi").select("lo", "hi", "support")
+
+
+@query(f"with {table_sql('click')} select pattern_key, list_aggregate(list_transform(string_split(split_part(pattern_key, '|', 1), ','), lambda x: [{', '.join(repr(n) for n in builders.CLICK)}][x::int + 1]), 'string_agg', ' ') as names from sup")
+def pattern_label_text(s, d):
+    names = F.array(*map(F.lit, builders.CLICK))
+    labels = F.split(F.split("pattern_key", r"\|")[0], ",")
+    return mined(s, d, "click").select("pattern_key", F.array_join(F.transform(labels, lambda x: F.element_at(names, x.cast("int") + 1)), " ").alias("names"))
+
+
+@query(f"with {CLICK_SQL} select label, vid = 0 as root, count(*) as n from v group by cube (label, vid = 0)")
+def label_cube(s, d):
+    return builders.click(s, d).vertices.withColumn("root", F.col("vid") == 0).cube("label", "root").agg(F.count("*").alias("n"))
+
+
+@query("select event_type, (json_extract(props, '$.k'))::int // 10 as k, count(*) as n from events group by 1, 2")
+def src_props_label(s, d):
+    e = s.read.parquet(f"{d}/events.parquet").select("event_type", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    return e.groupBy("event_type", F.floor(F.col("k") / 10).cast("int").alias("k")).agg(F.count("*").alias("n"))
+
+
+@query(f"with {CLICK_SQL} select count(distinct gid) as n from v where ('0x' || substr(md5(gid::varchar), 1, 8))::bigint % 100 < 40")
+def fraction_md5(s, d):
+    """A stable, nested share of the graphs, as the sweep of sizes takes it, by a hash that SQL has too."""
+    h = F.conv(F.substring(F.md5(F.col("gid").cast("string").cast("binary")), 1, 8), 16, 10).cast("long")
+    return builders.click(s, d).vertices.where(h % 100 < 40).agg(F.count_distinct("gid").alias("n"))
+
+
+@query()
+def plan_stats_approx(s, d):
+    """Sizes for planning only; supports are always exact."""
+    h = graphs.half_edges(builders.click(s, d)).where("v_label <= w_label")
+    return h.groupBy(F.col("v_label").alias("label_lo"), F.col("w_label").alias("label_hi")).agg(F.approx_count_distinct("gid").alias("about"))
+
+
+@query()
+def build_page_vertices(s, d):
+    return builders.page_trees(s, d).vertices
+
+
+@query()
+def build_page_edges(s, d):
+    return builders.page_trees(s, d).edges
+
+
+@query()
+def mine_supports_page(s, d):
+    return graphs.mine_supports(builders.page_rows(builders.read(s, d, "pages")), ex.rules_of("page"))
+
+
+for _name in [*BASE, "page"]:
     query(name=f"private_walk_{_name}")(lambda s, d, n=_name: ex.private_walk(s, d, n, 15))
 query(name="laplace_release_rows")(lambda s, d: ex.private_walk(s, d, "click", 15, 0.5))
 query(name="exact_vs_walk")(lambda s, d: ex.exact_vs_walk(s, d))

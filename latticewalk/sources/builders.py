@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
+from html.parser import HTMLParser
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -13,6 +16,9 @@ SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
 PRIORITIES = ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW")
 PROFILE = (*SEGMENTS, *PRIORITIES, "A", "N", "R")
 ROLES = ("system", "user", "assistant")
+#: Declared element names; other elements take no part, their children hang on the nearest declared ancestor.
+TAGS = ("a", "article", "b", "body", "br", "div", "footer", "h1", "head", "html", "li", "meta", "nav", "p", "script", "style", "title", "ul")
+VOID = frozenset(("area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "source", "track", "wbr"))
 #: User ids times this, plus the number of the session.
 SESSIONS = 1_000_000
 
@@ -90,13 +96,69 @@ def role_paths(spark: SparkSession, sf_dir: str) -> GraphTables:
     return GraphTables(v, v.where("vid > 0").select("gid", (F.col("vid") - 1).alias("src"), F.col("vid").alias("dst")), ROLES)
 
 
+class ElementTree(HTMLParser):
+    """Elements of a page in order, with the place of each one's parent. `p` and `li` end an open one of their kind."""
+
+    def __init__(self):
+        super().__init__()
+        self.open_: list[tuple[str, int]] = []
+        self.labels: list[int] = []
+        self.parents: list[int] = []
+
+    def handle_starttag(self, tag, attrs):
+        if tag in ("p", "li"):
+            inside = next((i for i in range(len(self.open_) - 1, -1, -1) if self.open_[i][0] in (tag, "div", "article", "ul", "body")), -1)
+            if inside >= 0 and self.open_[inside][0] == tag:
+                del self.open_[inside:]
+        at = self.open_[-1][1] if self.open_ else -1
+        if tag in TAGS:
+            self.labels.append(TAGS.index(tag))
+            self.parents.append(at)
+            at = len(self.labels) - 1
+        if tag not in VOID:
+            self.open_.append((tag, at))
+
+    def handle_startendtag(self, tag, attrs):
+        self.handle_starttag(tag, attrs)
+
+    def handle_endtag(self, tag):
+        at = next((i for i in range(len(self.open_) - 1, -1, -1) if self.open_[i][0] == tag), -1)
+        if at >= 0:
+            del self.open_[at:]
+
+
+def page_rows(pages: DataFrame) -> DataFrame:
+    """gid, vlabel, src, dst: the packed element tree of each page; a page without declared elements has no row."""
+
+    def parse(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            rows = []
+            for gid, html in batch.itertuples(index=False):
+                t = ElementTree()
+                t.feed(html or "")
+                t.close()
+                edges = [(u, v) for v, u in enumerate(t.parents) if u >= 0]
+                if t.labels:
+                    rows.append((gid, t.labels, [u for u, _ in edges], [v for _, v in edges]))
+            yield pd.DataFrame(rows, columns=["gid", "vlabel", "src", "dst"])
+
+    return pages.select(F.col("page_id").alias("gid"), "html").mapInPandas(parse, "gid long, vlabel array<int>, src array<int>, dst array<int>")
+
+
+def page_trees(spark: SparkSession, sf_dir: str) -> GraphTables:
+    """W-page. The element tree of a page, labelled by element name."""
+    rows = page_rows(read(spark, sf_dir, "pages"))
+    v = rows.select("gid", F.posexplode("vlabel").alias("vid", "label"))
+    return GraphTables(v, rows.select("gid", F.explode(F.arrays_zip("src", "dst")).alias("e")).select("gid", "e.src", "e.dst"), TAGS)
+
+
 def read_graph_text(spark: SparkSession, path: str) -> GraphTables:
-    """Graphs in lines `t # id`, `v id label`, `e u v label`; each file is one sequence of graphs."""
-    whole = spark.read.text(path, wholetext=True).select(F.explode(F.split("value", r"(?m)^t # ")).alias("g")).where("trim(g) <> ''")
+    """Graphs in lines `t # id`, `v id label`, `e u v label`. A record is one graph, so large files are split among tasks."""
+    whole = spark.read.option("lineSep", "\nt # ").text(path).select(F.regexp_replace("value", r"^\s*t # ", "").alias("g")).where("trim(g) <> ''")
     g = whole.select(F.regexp_extract("g", r"^(\d+)", 1).cast("long").alias("gid"), F.explode(F.split("g", "\n")).alias("line")).withColumn("p", F.split(F.trim("line"), " +"))
     v = g.where("p[0] = 'v'").selectExpr("gid", "cast(p[1] as int) vid", "cast(p[2] as int) label")
     e = g.where("p[0] = 'e'").selectExpr("gid", "least(cast(p[1] as int), cast(p[2] as int)) src", "greatest(cast(p[1] as int), cast(p[2] as int)) dst").distinct()
     return GraphTables(v, e, ())
 
 
-WORKLOADS = {"click": click, "dense": dense, "profile": profile, "role": role_paths}
+WORKLOADS = {"click": click, "dense": dense, "profile": profile, "role": role_paths, "page": page_trees}

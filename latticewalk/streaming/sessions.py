@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+from latticewalk.sources.builders import CLICK, SESSIONS, label
 
 
 def timed(events: DataFrame, delay: str = "1 hour") -> DataFrame:
@@ -24,3 +30,41 @@ def event_counts(events: DataFrame, width: str = "1 day", slide: str | None = No
 def upsert_sessions(stream: DataFrame, path: str, checkpoint: str):
     """Writes closed sessions of each micro-batch to a folder of its own, so that a repeated batch replaces itself."""
     return stream.writeStream.foreachBatch(lambda df, n: df.write.mode("overwrite").parquet(f"{path}/batch={n}")).outputMode("append").option("checkpointLocation", checkpoint)
+
+
+def stream_click_graphs(events: DataFrame, gap_hours: int = 12, delay: str = "1 hour") -> DataFrame:
+    """gid, vlabel, src, dst: the packed tree of each session that the watermark has closed, as the batch builder makes it.
+
+    A user's state holds the number of closed sessions and the events of open ones. Events within the delay may come in
+    any order; later ones are dropped by the watermark. Sessions of one event count in the numbering and give no graph.
+    """
+    view, gap = CLICK.index("view"), gap_hours * 3_600_000_000
+
+    def close(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, *held = state.get if state.exists else (0, [], [], [])
+        rows = [*zip(*held)]
+        for batch in batches:
+            rows += [(int(t), int(e), None if pd.isna(l) else int(l)) for t, e, l in batch[["at", "event_id", "label"]].itertuples(index=False)]
+        rows.sort(key=lambda t: t[:2])
+        groups: list[list[tuple]] = []
+        for row in rows:
+            if groups and row[0] - groups[-1][-1][0] <= gap:
+                groups[-1].append(row)
+            else:
+                groups.append([row])
+        now, out = state.getCurrentWatermarkMs() * 1000, []
+        while groups and groups[0][-1][0] + gap < now:
+            done, n, parents, last = groups.pop(0), n + 1, [], 0
+            for i, row in enumerate(done):
+                parents += [last] if i else []
+                last = i if row[2] == view else last
+            if len(done) > 1:
+                out.append((key[0] * SESSIONS + n, [row[2] for row in done], parents, [*range(1, len(done))]))
+        left = [row for g in groups for row in g]
+        state.update((n, [t for t, _, _ in left], [e for _, e, _ in left], [l for _, _, l in left]))
+        if left:
+            state.setTimeoutTimestamp((groups[0][-1][0] + gap) // 1000 + 2)
+        yield pd.DataFrame(out, columns=["gid", "vlabel", "src", "dst"])
+
+    rows = timed(events, delay).select("user_id", "ts", "event_id", F.unix_micros("ts").alias("at"), label(F.col("event_type"), CLICK).alias("label"))
+    return rows.groupBy("user_id").applyInPandasWithState(close, "gid long, vlabel array<int>, src array<int>, dst array<int>", "n long, at array<long>, event_id array<long>, label array<int>", "append", GroupStateTimeout.EventTimeTimeout)

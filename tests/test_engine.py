@@ -171,6 +171,9 @@ def test_services_give_one_chain():
     lazy = walk.OnDemand(lambda keys: {k: table[k] for k in keys if table.get(k)})
     a, b = walk.sample_private_patterns(walk.Materialized(table), config), walk.sample_private_patterns(lazy, config)
     assert a.trace == b.trace and a.patterns == b.patterns and len(set(a.patterns)) == 3 and lazy.jobs
+    ahead = walk.Frontier(lambda keys: {k: table[k] for k in keys if table.get(k)}, RULES, most=30)
+    c = walk.sample_private_patterns(ahead, config)
+    assert c.trace == a.trace and c.patterns == a.patterns and ahead.jobs < lazy.jobs
 
 
 def test_a_chain_that_does_not_converge_releases_nothing():
@@ -198,6 +201,18 @@ def test_geweke():
     assert math.isclose(walk.gelman_rubin([[1.0, 2.0, 3.0]] * 3), math.sqrt(2 / 3))
 
 
+def test_discrete_noise_has_its_law():
+    r, n = random.Random(8), 40_000
+    x = [walk.discrete_laplace(r, 2.5) for _ in range(n)]
+    p = math.exp(-1 / 2.5)
+    for k in range(-4, 5):
+        want = (1 - p) / (1 + p) * p ** abs(k)
+        assert abs(x.count(k) / n - want) < 5 * math.sqrt(want / n)
+    table = {k: i % 40 for i, k in enumerate(pt.enumerate_space(RULES))}
+    noisy = walk.sample_private_patterns(walk.Materialized(table), walk.WalkConfig(RULES, k=2, f=20, eps2=0.5, noise="discrete")).noisy
+    assert all(v == int(v) for v in noisy)
+
+
 def test_noise_and_bounds():
     r = random.Random(3)
     x = [walk.laplace(r, 3.0) for _ in range(40_000)]
@@ -240,6 +255,24 @@ def test_stream_agrees_with_batch(spark):
     assert streamed and streamed <= batch
 
 
+def test_streamed_graphs_are_those_of_the_batch(spark):
+    batch = {r.gid: r for r in graphs.pack(builders.click(spark, SF)).collect()}
+    streamed = QUERIES["stream_click_graphs"](spark, SF).collect()
+    assert len(streamed) > 100 and len({r.gid for r in streamed}) == len(streamed)
+    for r in streamed:
+        edges = sorted(zip(r.src, r.dst))
+        assert r.vlabel == batch[r.gid].vlabel and edges == list(zip(batch[r.gid].src, batch[r.gid].dst))
+
+
+def test_page_trees(spark):
+    pages = spark.createDataFrame([(1, "<html><body><p>a<br><p>b<b>c</b><x><li>d<li>e</x></body></html>"), (2, None), (3, ""), (4, "no elements")], "page_id long, html string")
+    rows = builders.page_rows(pages).collect()
+    assert [r.gid for r in rows] == [1]
+    names, parents = [builders.TAGS[l] for l in rows[0].vlabel], dict(zip(rows[0].dst, rows[0].src))
+    assert names == ["html", "body", "p", "br", "p", "b", "li", "li"]
+    assert parents == {1: 0, 2: 1, 3: 2, 4: 1, 5: 4, 6: 4, 7: 4}
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 5
 
