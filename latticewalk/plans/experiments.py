@@ -131,6 +131,31 @@ def exact_vs_walk(spark: SparkSession, sf_dir: str, workload: str = "click", dra
     return spark.createDataFrame([(k, float(p), hits[k] / draws) for k, p in zip(space, law)], "pattern_key string, exact double, walked double")
 
 
+def tv_after_steps(spark: SparkSession, sf_dir: str, workloads: tuple[str, ...] = ("click", "dense", "profile"), steps: tuple[int, ...] = (1, 20, 40, 75, 150, 500, 2000)) -> DataFrame:
+    """Distance of the first chain's law from its limit after some steps, and the delta that it leaves.
+
+    From the exact transition matrix, with and without bridges; for spaces whose matrix fits the driver.
+    """
+    rows = []
+    for workload in workloads:
+        s, rules = supports_of(spark, sf_dir, workload), rules_of(workload)
+        space = enumerate_space(rules)
+        if len(space) > 4_000:
+            raise ValueError("too many patterns for a transition matrix")
+        for bridge in (False, True):
+            config = walk.WalkConfig(rules, k=15, f=threshold(s, 15), bridge=bridge)
+            walker = walk.Walker(walk.Materialized(s), config)
+            matrix, law = walk.transition_matrix(walker, space), walk.exponential_law([float(s.get(x, 0)) for x in space], config.eps1, config.k)
+            ones = [x.count("-") == 1 for x in space]
+            now = [float(o) / sum(ones) for o in ones]
+            for step in range(1, max(steps) + 1):
+                now = now @ matrix
+                if step in steps:
+                    tv = walk.tv_distance(now, law)
+                    rows.append((workload, bridge, step, float(tv), float(walk.delta_for(tv, config.eps1, config.k))))
+    return spark.createDataFrame(rows, "workload string, bridge boolean, step int, tv double, delta double")
+
+
 @lru_cache(maxsize=8)
 def _cached(spark: SparkSession, sf_dir: str, name: str) -> tuple:
     return tuple(sorted(supports_of(spark, sf_dir, name).items()))

@@ -492,5 +492,6 @@ query(name="sweep_score")(lambda s, d: ex.sweep(s, d, "score", ["linear", "plate
 query(name="sweep_eta")(lambda s, d: ex.sweep(s, d, "eta", [0.4, 0.5, 0.6, 0.7, 0.8, 0.9], ("dense",), 5))
 query(name="sweep_rho")(lambda s, d: ex.sweep(s, d, "rho", [0.4, 0.5, 0.6, 0.7, 0.8, 0.9], ("dense",), 5))
 query(name="sweep_bridge")(lambda s, d: ex.sweep(s, d, "bridge", [False, True], ("click", "dense", "profile"), 5))
+query(name="tv_after_steps")(lambda s, d: ex.tv_after_steps(s, d))
 query(name="convergence_traces")(lambda s, d: ex.convergence_traces(s, d))
 query(name="explorer_comparison")(lambda s, d: ex.explorer_comparison(s, d))

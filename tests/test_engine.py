@@ -243,6 +243,11 @@ def test_walk_follows_the_exact_law(spark):
     assert sum(abs(r.exact - r.walked) for r in rows) / 2 < 0.3
 
 
+def test_the_distance_from_the_law_falls(spark):
+    rows = {(r.bridge, r.step): r.tv for r in ex.tv_after_steps(spark, SF, ("click",), (1, 50, 400)).collect()}
+    assert all(rows[b, 1] >= rows[b, 50] >= rows[b, 400] for b in (False, True)) and rows[True, 400] < 0.05
+
+
 def test_text_source(spark, tmp_path):
     (tmp_path / "g.txt").write_text("t # 0\nv 0 1\nv 1 2\ne 0 1 0\nt # 1\nv 0 1\nv 1 1\ne 1 0 0\n")
     g = builders.read_graph_text(spark, str(tmp_path))
@@ -277,7 +282,7 @@ def test_entry(spark):
     assert entry.entry(spark).count() == 5
 
 
-@pytest.mark.parametrize("name", ["build_click_edges", "edge_support_dense", "mine_supports_profile", "neighbors_reuse", "expmech_probs_plateau", "support_accuracy"])
+@pytest.mark.parametrize("name", ["build_click_edges", "edge_support_dense", "mine_supports_profile", "neighbors_reuse", "expmech_probs_plateau", "support_accuracy", "neighbors_of", "lattice_except", "pattern_label_text", "fraction_md5"])
 def test_queries_agree_with_sql(spark, name):
     con = duckdb.connect()
     for t in ("events", "lineitem", "orders", "customer"):
