@@ -269,6 +269,17 @@ def test_streamed_graphs_are_those_of_the_batch(spark):
         assert r.vlabel == batch[r.gid].vlabel and edges == list(zip(batch[r.gid].src, batch[r.gid].dst))
 
 
+def test_small_patterns_are_those_of_the_general_way():
+    r = random.Random(6)
+    for _ in range(60):
+        n = r.randint(2, 7)
+        labels, pairs = [r.randrange(3) for _ in range(n)], [(u, v) for u in range(n) for v in range(u + 1, n)]
+        src, dst = zip(*r.sample(pairs, r.randint(1, len(pairs))))
+        every = pt.sub_pattern_keys(labels, src, dst, 3, 4)
+        for most in (1, 2):
+            assert pt.sub_pattern_keys(labels, src, dst, most, 4) == {k for k in every if k.count("-") <= most}
+
+
 def test_page_trees(spark):
     pages = spark.createDataFrame([(1, "<html><body><p>a<br><p>b<b>c</b><x><li>d<li>e</x></body></html>"), (2, None), (3, ""), (4, "no elements")], "page_id long, html string")
     rows = builders.page_rows(pages).collect()
