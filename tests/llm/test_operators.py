@@ -266,6 +266,21 @@ def test_alignment_finds_the_first_copy(spark):
     assert got[5].match_id == 2 and got[5].match_offset == -40 and got[5].errors == 0 and got[9].match_id is None and got[3].n_codes == 0
 
 
+def test_alignment_finds_all_links_and_classes(spark):
+    r = random.Random(8)
+    noise = lambda n: bytes(r.randrange(256) for _ in range(32 * n))
+    a, b, near = noise(150), noise(150), noise(150)
+    parts = [noise(60) for _ in range(3)]
+    rows = [(1, a), (2, b), (3, a + b)]  # the third overlaps both
+    # all anchors of 13 and 14 occur in smaller ids, which are too long to match; they match each other
+    rows += [(10 + i, noise(400) + p + noise(400)) for i, p in enumerate(parts)] + [(13, b"".join(parts)), (14, b"".join(parts) + b"\x80" * 32)]
+    rows += [(20, near), (21, near)]
+    got = {x.id: x for x in fingerprints.align(spark.createDataFrame(rows, "id long, audio binary")).collect()}
+    assert len(got) == len(rows) and got[3].links == 2 and {got[i].class_id for i in (1, 2, 3)} == {1}
+    assert all(got[i].match_id is None and got[i].class_id == i for i in (10, 11, 12, 13)) and got[14].match_id == 13 and got[14].class_id == 13
+    assert got[21].match_id == 20 and got[21].errors == 0 and got[21].class_id == 20
+
+
 def test_url_lists(spark):
     captures = spark.createDataFrame([(1, "https://A.b.com:8/x", 50), (2, "http://b.com/", 150), (3, "http://c.org", 50), (4, None, 5), (5, "http://a.b.com", None), (6, "http://a.b.com.", 250)], "page_id long, url string, fetched_at long")
     entries = spark.createDataFrame([("b.com", 40, "block", "x"), ("b.com", 100, "allow", "x"), ("a.b.com", 200, "block", "y"), ("c.org", 60, "block", "x"), (None, 1, "block", "x")], "domain string, listed_at long, action string, category string")
