@@ -3,7 +3,8 @@
 Each table rotates unit vectors by sign flips and fast Hadamard transforms (three rounds) and assigns
 them to the nearest signed axis. A query looks into the buckets of its nearest few axes in every table.
 Buckets are cut into blocks of bounded size; a query meets the rows of a block in one task, keeps its
-best there by exact cosine on the original vectors, and the best of all blocks are merged.
+best there by exact cosine on the original vectors, and the best of all blocks are merged. Queries that
+find fewer than they want meet all rows. A bucket has few of those, so they don't grow with the table.
 """
 
 from __future__ import annotations
@@ -91,6 +92,7 @@ def cosines(query: np.ndarray, rows: np.ndarray) -> np.ndarray:
 def nearest(vectors: DataFrame, k: int = 5, every: int = 50, tables: int = 8, probes: int = 10, block_rows: int = 4096, seed: int = 11) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each row whose vec_id is divisible by `every`.
 
+    All candidates where there are no more than k; the exact k nearest where the tables find fewer.
     Vectors that are null, zero, empty or hold null or non-finite components, and rows with a null id, take no
     part. Vectors of other lengths than the query's aren't comparable and aren't candidates. Ties go to the smaller
     vec_id; a row that repeats a vec_id with the same vector counts once. Other columns are left out.
@@ -98,12 +100,8 @@ def nearest(vectors: DataFrame, k: int = 5, every: int = 50, tables: int = 8, pr
     own = vectors.select("vec_id", "embedding").distinct()
     index = cut(hashed(own, tables, 1, seed))
     asked = cut(hashed(own.where(F.pmod("vec_id", F.lit(every)) == 0), tables, probes, seed))
-    size = lambda df, name: df.groupBy("bucket").agg(F.ceil(F.count("*") / block_rows).cast("int").alias(name))
-    blocks = cut(size(index, "blocks").join(size(asked, "query_blocks"), "bucket"))
     part = lambda name: F.pmod(F.xxhash64("vec_id"), F.col(name).cast("long"))
     each = lambda name: F.explode(F.sequence(F.lit(0).cast("long"), F.col(name).cast("long") - 1))
-    placed = index.join(blocks, "bucket").withColumn("block", part("blocks")).withColumn("query_block", each("query_blocks"))
-    asked = asked.join(blocks, "bucket").withColumn("query_block", part("query_blocks")).withColumn("block", each("blocks"))
 
     def search(key: tuple, queries: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
         out = []
@@ -124,7 +122,20 @@ def nearest(vectors: DataFrame, k: int = 5, every: int = 50, tables: int = 8, pr
                 out += [(q, ids[i], s[i]) for i in best if s[i] > -np.inf]
         return pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
 
-    found = asked.groupBy("bucket", "block", "query_block").cogroup(placed.groupBy("bucket", "block", "query_block")).applyInPandas(search, "query_id long, vec_id long, score double")
-    found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    def meet(queries: DataFrame, rows: DataFrame) -> DataFrame:
+        """The best of each query in each block of the rows in its bucket."""
+        size = lambda df, name: df.groupBy("bucket").agg(F.ceil(F.count("*") / block_rows).cast("int").alias(name))
+        blocks = cut(size(rows, "blocks").join(size(queries, "query_blocks"), "bucket"))
+        placed = rows.join(blocks, "bucket").withColumn("block", part("blocks")).withColumn("query_block", each("query_blocks"))
+        queries = queries.join(blocks, "bucket").withColumn("query_block", part("query_blocks")).withColumn("block", each("blocks"))
+        on = ("bucket", "block", "query_block")
+        return queries.groupBy(*on).cogroup(placed.groupBy(*on)).applyInPandas(search, "query_id long, vec_id long, score double")
+
+    found = cut(meet(asked, index).groupBy("query_id", "vec_id").agg(F.max("score").alias("score")))
+    # those with fewer than k (each block keeps its k best, so k are left where there are k) meet all rows of their width
+    first = lambda df: df.where(F.pmod(F.shiftright("bucket", 20), F.lit(tables)) == 0).withColumn("bucket", F.floor(F.shiftright("bucket", 20) / tables))
+    enough = found.groupBy("query_id").agg(F.count("*").alias("n")).where(F.col("n") >= k).select(F.col("query_id").alias("vec_id"))
+    short = cut(first(asked).distinct().join(enough, "vec_id", "left_anti"))
+    found = found.unionByName(meet(short, first(index))).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     rank = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -196,6 +196,25 @@ def test_neighbours_recall_and_odd_vectors(spark):
     assert hits / 150 >= 0.9 and set(got.query_id) == set(range(0, 1500, 50))
 
 
+@pytest.mark.parametrize("n", [2, 3, 6, 400])
+def test_neighbours_of_small_tables_and_one_cluster(spark, n):
+    r = np.random.default_rng(n)
+    x = r.normal(size=(n, 64)).astype(np.float32)
+    if n > 6:  # one tight cluster; the query at 50 is opposite to it, so that no bucket holds candidates
+        x[1:] = x[1] + 1e-4 * x[1:]
+        x[50] = -x[1]
+    rows = [(50 * i if n <= 6 else i, v.tolist()) for i, v in enumerate(x)]
+    got = neighbours.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), block_rows=100).toPandas()
+    ids, u = np.array([i for i, _ in rows]), x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    for at in [i for i in range(n) if ids[i] % 50 == 0]:
+        s = u @ u[at]
+        s[at] = -9
+        own = got[got.query_id == ids[at]].sort_values("rank")
+        assert own["rank"].tolist() == list(range(1, min(5, n - 1) + 1))
+        if n <= 6 or at == 50:
+            assert np.allclose(own.score, np.sort(s)[::-1][: len(own)])
+
+
 def test_main_text():
     m = main_text.TreeModel(main_text.labelled_pages())
     page = "<html><head><title>no</title><script>x('</p>')</script></head><body><nav><ul><li><a href=/a>Home</a></ul></nav><div class=ad>Buy</div><article><h1>A &amp; B</h1><p><b>one\n two<br><p>Eau.</article><section class=comments><p>nice</p></section><footer>&copy; x</footer>"
