@@ -303,6 +303,24 @@ def gelman_rubin(s, d):
     return t.select(F.round(F.sqrt(((F.col("n") - 1) / F.col("n") * F.col("w") + F.col("vm")) / F.col("w")), 9).alias("r_hat"))
 
 
+@query()
+def gelman_rubin_all(s, d):
+    """Potential scale reduction over the whole series of all users; gelman_rubin, as its SQL, takes twenty ids."""
+    return scale_reduction(s.read.parquet(f"{d}/events.parquet").select(F.col("user_id").alias("chain"), "value"))
+
+
+def scale_reduction(values: DataFrame) -> DataFrame:
+    """r_hat of chains of any lengths (chain, value); those of a single value have no variance and are left out.
+
+    Variances within count by their degrees of freedom, means by their lengths, and the length is the mean length:
+    the usual figure where all lengths are equal. No value is cut off.
+    """
+    c = values.where("chain is not null").groupBy("chain").agg(F.count("value").alias("n"), F.avg("value").alias("m"), F.var_samp("value").alias("v")).where("n > 1")
+    t = c.agg(F.count("*").alias("j"), F.avg("n").alias("n"), (F.sum(F.expr("n * m")) / F.sum("n")).alias("mean"), (F.sum(F.expr("(n - 1) * v")) / F.sum(F.expr("n - 1"))).alias("w"))
+    b = c.select(F.col("n").alias("own"), "m").crossJoin(F.broadcast(t)).groupBy("j", "n", "w").agg((F.sum(F.expr("own * (m - mean) * (m - mean)")) / (F.first("j") - 1)).alias("b"))
+    return b.select(F.round(F.sqrt(((F.col("n") - 1) / F.col("n") * F.col("w") + F.col("b") / F.col("n")) / F.col("w")), 9).alias("r_hat"))
+
+
 @query(f"with {table_sql('click')}, k as (select * from sup order by support desc, pattern_key limit 15), u as (select *, (('0x' || substr(md5(pattern_key || ':3'), 1, 13))::bigint + 0.5::double) / 4503599627370496::double - 0.5::double as u from k) select pattern_key, round(support - 30 * sign(u) * ln(1 - 2 * abs(u)), 6) as noisy from u")
 def laplace_md5(s, d):
     """Noise of scale k / eps2 = 30 by the inverse distribution, from a hash, as tests need it repeatable."""

@@ -15,7 +15,7 @@ import __spark_entry__ as entry
 from latticewalk.functions import pattern as pt
 from latticewalk.operators import graphs, walk
 from latticewalk.plans import experiments as ex
-from latticewalk.plans.queries import ORACLES, QUERIES
+from latticewalk.plans.queries import ORACLES, QUERIES, scale_reduction
 from latticewalk.sources import builders
 
 RULES = pt.PatternRules((0, 1, 2), 3, 3)
@@ -302,3 +302,17 @@ def test_queries_agree_with_sql(spark, name):
     want = con.execute(ORACLES[name]).fetchdf()[list(got.columns)]
     tidy = lambda p: sorted(tuple(round(float(x), 7) if isinstance(x, (int, float, np.number)) else str(x) for x in r) for r in p.values.tolist())
     assert tidy(got) == tidy(want)
+
+
+def test_scale_reduction_takes_all_chains(spark):
+    r = np.random.default_rng(3)
+    even = [r.normal(i / 3, 1, 12).tolist() for i in range(30)]  # more than twenty, and ids that don't start at 0
+    df = lambda chains: spark.createDataFrame([(100 + i, float(x)) for i, c in enumerate(chains) for x in c], "chain long, value double")
+    assert math.isclose(scale_reduction(df(even)).first().r_hat, walk.gelman_rubin(even), abs_tol=1e-8)
+    assert scale_reduction(df(even)).first().r_hat == scale_reduction(df([*even, [5.0]])).first().r_hat
+    rows = spark.read.parquet(f"{SF}/events.parquet").toPandas().groupby("user_id").value
+    n, m, v = (getattr(rows, f)().to_numpy(float) for f in ("count", "mean", "var"))
+    n, m, v = n[n > 1], m[n > 1], v[n > 1]
+    w, b, k = ((n - 1) * v).sum() / (n - 1).sum(), (n * (m - (n * m).sum() / n.sum()) ** 2).sum() / (len(n) - 1), n.mean()
+    assert len(n) > 20 or n.sum() == len(rows.obj)
+    assert math.isclose(QUERIES["gelman_rubin_all"](spark, SF).first().r_hat, math.sqrt(((k - 1) / k * w + b / k) / w), abs_tol=1e-8)
