@@ -99,7 +99,8 @@ def mine_supports(packed: DataFrame, rules: PatternRules) -> DataFrame:
                 for k in sub_pattern_keys(labels, src, dst, rules.max_edges, rules.max_nodes):
                     keys[k] = keys.get(k, 0) + 1
             keys = {k: n for k, n in keys.items() if rules.allows(parse_key(k))}
-            yield pd.DataFrame({"pattern_key": list(keys), "n": list(keys.values())}).astype({"n": "int64"})
+            if keys:  # an empty column of texts has no Arrow form
+                yield pd.DataFrame({"pattern_key": list(keys), "n": list(keys.values())}).astype({"n": "int64"})
 
     return packed.mapInPandas(emit, "pattern_key string, n long").groupBy("pattern_key").agg(F.sum("n").alias("support"))
 

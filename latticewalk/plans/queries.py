@@ -156,6 +156,27 @@ def mine_growth_click(s, d):
     return two_edges(graphs.mine_growth(graphs.pack(builders.click(s, d)), 200, SMALL["click"]))
 
 
+@query()
+def mine_supports_click_whole(s, d):
+    """Under the workload's own bounds, 4 nodes and 3 edges; the queries with SQL stop at 3 and 2."""
+    return two_edges(mined(s, d, "click", ex.rules_of("click")))
+
+
+@query()
+def mine_levelwise_click_whole(s, d):
+    return graphs.mine_levelwise(graphs.pack(builders.click(s, d)), 200, ex.rules_of("click"))
+
+
+@query()
+def mine_growth_click_whole(s, d):
+    return two_edges(graphs.mine_growth(graphs.pack(builders.click(s, d)), 200, ex.rules_of("click")))
+
+
+@query()
+def topk_patterns_click_whole(s, d):
+    return two_edges(graphs.top_k(mined(s, d, "click", ex.rules_of("click")), 15))
+
+
 @query(f"with {table_sql('click')} select * from sup where support >= (select min(support) from (select support from sup order by support desc, pattern_key limit 15))")
 def topk_ties_click(s, d):
     return two_edges(graphs.top_k(mined(s, d, "click"), 15, ties=True))

@@ -316,3 +316,17 @@ def test_scale_reduction_takes_all_chains(spark):
     w, b, k = ((n - 1) * v).sum() / (n - 1).sum(), (n * (m - (n * m).sum() / n.sum()) ** 2).sum() / (len(n) - 1), n.mean()
     assert len(n) > 20 or n.sum() == len(rows.obj)
     assert math.isclose(QUERIES["gelman_rubin_all"](spark, SF).first().r_hat, math.sqrt(((k - 1) / k * w + b / k) / w), abs_tol=1e-8)
+
+
+def test_click_miners_reach_three_edges(spark):
+    packed, rules = graphs.pack(builders.click(spark, SF)).cache(), ex.rules_of("click")
+    rows = [(r.vlabel, pt.adjacency(len(r.vlabel), r.src, r.dst)) for r in packed.collect()]
+    got = {x.pattern_key: x.support for x in QUERIES["mine_supports_click_whole"](spark, SF).collect()}
+    brute = {k: sum(pt.contains(ls, near, pt.parse_key(k)) for ls, near in rows) for k in pt.enumerate_space(rules)}
+    assert got == {k: n for k, n in brute.items() if n} and any(k.count("-") == 3 for k in got)
+    f = sorted((n for k, n in got.items() if k.count("-") == 3), reverse=True)[5]  # so that three edges are frequent
+    frequent = {k: n for k, n in got.items() if n >= f}
+    assert all({x.pattern_key: x.support for x in mine(packed, f, rules).collect()} == frequent for mine in (graphs.mine_levelwise, graphs.mine_growth))
+    for name in "mine_levelwise_click_whole", "mine_growth_click_whole":
+        assert {x.pattern_key: x.support for x in QUERIES[name](spark, SF).collect()} == {k: n for k, n in got.items() if n >= 200}
+    assert [x.support for x in QUERIES["topk_patterns_click_whole"](spark, SF).collect()] == sorted(got.values(), reverse=True)[:15]
