@@ -14,6 +14,7 @@ import re
 import zlib
 from bisect import bisect_right
 from collections.abc import Iterator
+from itertools import islice
 from struct import pack as pack_ids
 
 import numpy as np
@@ -86,52 +87,62 @@ def best_fit(lengths: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def fillings(left: list[int], counts: dict[int, int], room: int, waste: int, width: int) -> list[tuple[int, ...]]:
-    """Undominated sets of up to three lengths that fill `room` with at most `waste` left, least waste first.
+def fillings(left: list[int], counts: dict[int, int], room: int, waste: int) -> Iterator[tuple[int, ...]]:
+    """All undominated sets of lengths that fill `room` with at most `waste` left, least waste first.
 
     left: distinct lengths, ascending. A set that a single length covers (fits in, and is at least as
     long as all of it) is dominated by that length, so it isn't tried.
     """
-    out: dict[int, tuple[int, ...]] = {}
     top = bisect_right(left, room)
-    single = left[top - 1] if top else 0
-    if single:
-        out[single] = (single,)
-    if room <= waste:
-        out.setdefault(0, ())
-    for i in range(top - 1, max(-1, top - 1 - width), -1):
-        a = left[i]
-        j = bisect_right(left, room - a, 0, i + 1) - 1
-        if j >= 0 and (left[j] != a or counts[a] > 1):
-            b = left[j]
-            if a + b > single:
-                out.setdefault(a + b, (a, b))
-        for j in range(min(j, i), max(-1, j - 8), -1):
-            b = left[j]
-            if b == a and counts[a] < 2:
-                continue
-            k = bisect_right(left, room - a - b, 0, j + 1) - 1
-            while k >= 0 and counts[left[k]] < 1 + (left[k] == a) + (left[k] == b):
-                k -= 1
-            if k >= 0 and a + b + left[k] > single:
-                out.setdefault(a + b + left[k], (a, b, left[k]))
-    return [s for total, s in sorted(out.items(), reverse=True) if room - total <= waste]
-
-
-def complete(lengths: list[int], capacity: int, nodes: int = 3000, width: int = 64) -> list[list[int]]:
-    """Pack pieces (all at most `capacity`) into few bins: lists of indexes.
+    if not top:
+        if room <= waste:
+            yield ()
+        return
+    single, lengths = left[top - 1], left[top - 1 :: -1] if top == len(left) else left[:top][::-1]
+    reach, full, first = [1], (1 << (room + 1)) - 1, None  # bit t of reach[i]: the first i lengths have a set of total t
+
+    def sets(i: int, total: int) -> Iterator[tuple[int, ...]]:
+        if not total:
+            yield ()
+            return
+        for at in range(1, i + 1):  # the last length used
+            n = lengths[at - 1]
+            if reach[at] >> total & 1:
+                for c in range(1, min(counts[n], total // n) + 1):
+                    if reach[at - 1] >> (total - c * n) & 1:
+                        for s in sets(at - 1, total - c * n):
+                            yield (*s, *(n,) * c)
 
-    nodes bounds the search, not the pieces: when it is spent the best packing so far is returned.
-    """
-    best = best_fit(lengths, capacity)
-    total = sum(lengths)
-    least = -(-total // capacity)
-    if len(best) <= least:
-        return best
+    for n in lengths:
+        bits, c, step = reach[-1], min(counts[n], room // n), 1
+        while c:
+            step = min(step, c)
+            bits |= bits << (n * step)
+            c, step = c - step, 2 * step
+        reach.append(bits & full)
+        if first is None and reach[-1] >> room & 1:  # no waste: most often the only one that is needed
+            first = next(sets(len(reach) - 1, room))
+            yield first
+    for total in range(room, max(single, room - waste) - 1, -1):
+        if reach[-1] >> total & 1:
+            for s in [(single,)] if total == single else sets(len(lengths), total):
+                if s != first:
+                    yield s
+
+
+def fewest(lengths: list[int], capacity: int) -> int:
+    """A number of sequences that no packing is below: by total, and as at most k pieces above capacity / (k + 1) fit in one."""
+    n, up = len(lengths), sorted(lengths)
+    by_count = (-(-(n - bisect_right(up, capacity // (k + 1))) // k) for k in range(1, 65))
+    return max(-(-sum(lengths) // capacity), *by_count)
+
+
+def better(lengths: list[int], capacity: int, most: int, nodes: int) -> tuple[list[tuple[int, ...]] | None, int]:
+    """A packing into at most `most` bins, as lengths, or None, and the nodes that are left."""
     counts: dict[int, int] = {}
     for n in lengths:
         counts[n] = counts.get(n, 0) + 1
-    left = sorted(counts)
+    left, pieces = sorted(counts), len(lengths)
 
     def take(n: int) -> None:
         counts[n] -= 1
@@ -143,44 +154,60 @@ def complete(lengths: list[int], capacity: int, nodes: int = 3000, width: int =
         if counts[n] == 1:
             left.insert(bisect_right(left, n), n)
 
-    spare = (len(best) - 1) * capacity - total  # the waste that a better packing may have
+    spare = most * capacity - sum(lengths)  # the waste that such a packing may have
     path: list[tuple[int, ...]] = []
-    stack: list[list[tuple[int, ...]]] = []
-    wastes = [0]
-    descend, found = True, None
-    while nodes > 0 and found is None:
+    tried, wastes = [0], [0]  # fillings tried at each depth; they are listed anew after a return, to hold none in memory
+    while nodes > 0:
         nodes -= 1
-        if descend:
-            if not left:
-                found = [*path]
-                break
-            big = left[-1]
-            take(big)
-            stack.append([(big, *s) for s in reversed(fillings(left, counts, capacity - big, spare - wastes[-1], width))][-4:])
+        if not left:
+            return path, nodes
+        if not tried[-1] and (len(path) % 64 == 0 or pieces <= 256):  # best fit for the rest may do
+            rest = [n for n in left for _ in range(counts[n])]
+            if len(path) + len(tail := best_fit(rest, capacity)) <= most:
+                return [*path, *(tuple(rest[i] for i in b) for b in tail)], nodes
+        big = left[-1]
+        take(big)
+        chosen = next(islice(fillings(left, counts, capacity - big, spare - wastes[-1]), tried[-1], None), None)
+        if chosen is None:
             give(big)
-        while stack and not stack[-1]:
-            stack.pop()
-            if path:
-                for n in path.pop():
-                    give(n)
-                wastes.pop()
-        if not stack:
-            break
-        chosen = stack[-1].pop()
+            tried.pop()
+            wastes.pop()
+            if not path:
+                return None, nodes
+            for n in path[-1]:
+                give(n)
+            pieces += len(path.pop())
+            continue
+        tried[-1] += 1
         for n in chosen:
             take(n)
-        path.append(chosen)
-        wastes.append(wastes[-1] + capacity - sum(chosen))
-        descend = True
-        rest = [n for n in left for _ in range(counts[n])] if len(path) % 64 == 0 else None
-        if rest and len(path) + len(tail := best_fit(rest, capacity)) < len(best):  # best fit for the rest may already be better
-            found = [*path, *(tuple(rest[i] for i in b) for b in tail)]
-    if found is None:
-        return best
-    where: dict[int, list[int]] = {}
-    for i, n in enumerate(lengths):
-        where.setdefault(n, []).append(i)
-    return [[where[n].pop() for n in b] for b in found]
+        path.append((big, *chosen))
+        pieces -= 1 + len(chosen)
+        wastes.append(wastes[-1] + capacity - big - sum(chosen))
+        tried.append(0)
+    rest = [n for n in left for _ in range(counts[n])]
+    tail = best_fit(rest, capacity)
+    return ([*path, *(tuple(rest[i] for i in b) for b in tail)] if len(path) + len(tail) <= most else None), 0
+
+
+def complete(lengths: list[int], capacity: int, nodes: int = 3000) -> list[list[int]]:
+    """Pack pieces (all at most `capacity`) into few bins: lists of indexes.
+
+    nodes bounds the search besides one way down, not the pieces: when it is spent the best packing so far is returned.
+    """
+    best = best_fit(lengths, capacity)
+    least = fewest(lengths, capacity) if lengths else 0
+    while nodes > 0 and len(best) > least:
+        down = len(best)
+        found, rest = better(lengths, capacity, len(best) - 1, nodes + down)
+        if found is None:
+            break
+        nodes = min(nodes, rest)
+        where: dict[int, list[int]] = {}
+        for i, n in enumerate(lengths):
+            where.setdefault(n, []).append(i)
+        best = [[where[n].pop() for n in b] for b in found]
+    return best
 
 
 def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups: int) -> DataFrame:

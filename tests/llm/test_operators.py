@@ -70,6 +70,27 @@ def test_bin_completion_is_optimal_on_small_cases():
         assert len(got) == fewest(sorted(lengths, reverse=True), [])
 
 
+@pytest.mark.parametrize("n", [40, 1640])
+def test_bin_completion_fills_with_five_pieces(n):
+    r = random.Random(n)
+    lengths = [r.randint(795, 835) for _ in range(n)]
+    got = packing.complete(lengths, 4096)
+    assert sorted(i for b in got for i in b) == list(range(n)) and all(sum(lengths[i] for i in b) <= 4096 for b in got)
+    assert len(got) == n // 5 < len(packing.best_fit(lengths, 4096))
+
+
+def test_fillings_are_all_undominated_sets():
+    r = random.Random(7)
+    for _ in range(40):
+        pieces, room, waste = sorted(r.randint(3, 30) for _ in range(9)), r.randint(10, 60), r.randint(0, 8)
+        counts = {x: pieces.count(x) for x in pieces}
+        every = {tuple(sorted(s)) for k in range(len(pieces) + 1) for s in combinations(pieces, k) if room - waste <= sum(s) <= room}
+        single = max((x for x in pieces if x <= room), default=0)
+        want = {s for s in every if sum(s) > single or s == ((single,) if single else ())}
+        got = [tuple(sorted(s)) for s in packing.fillings(sorted(counts), counts, room, waste)]
+        assert len(got) == len(set(got)) and set(got) == want and [sum(s) for s in got] == sorted(map(sum, got), reverse=True)
+
+
 def test_packing_of_odd_rows(spark, odd):
     got = packing.pack(odd, vocabulary("word_bpe_49k.json"), 64).toPandas()
     assert got.groupby("sequence_id").length.sum().max() <= 64
