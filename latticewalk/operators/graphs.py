@@ -123,10 +123,10 @@ def mine_levelwise(packed: DataFrame, threshold: int, rules: PatternRules) -> Da
 
 
 def mine_growth(packed: DataFrame, threshold: int, rules: PatternRules) -> DataFrame:
-    """F2. Depth-first growth: each row keeps growing only along patterns that are frequent in the whole database.
+    """In place of F2: the same patterns, without growth by minimal codes.
 
-    A first pass finds the frequent edges; rows then enumerate patterns over those edges alone and a second pass
-    counts them, so infrequent edges never take part in growth.
+    A first pass finds the frequent edges; rows then enumerate all patterns over those edges alone and a second pass
+    counts them, so infrequent edges never take part. Larger infrequent patterns are counted too, then dropped.
     """
     index = mine_supports(packed, PatternRules(rules.labels, 2, 1)).where(F.col("support") >= threshold)
     kinds = {tuple(parse_key(r.pattern_key).labels) for r in index.collect()}  # at most labels squared
