@@ -9,6 +9,7 @@ Groups of a band are never expanded to all pairs. First every member is compared
 smallest id, and components are found. In groups that are not one component by then, members outside
 the largest component are compared with each other and with it, in blocks. So each pair that shares a
 band is either compared or already connected, and thousands of copies need about as many comparisons.
+Groups and blocks hold sketches; full sets are made and moved only for pairs whose estimate passes.
 """
 
 from __future__ import annotations
@@ -109,11 +110,25 @@ def densified(registers: np.ndarray) -> np.ndarray:
     return out
 
 
+_HALVES = 2.0 ** -np.arange(65)
+
+
+def cells(sizes: np.ndarray) -> np.ndarray:
+    """For each set size, the chance that a bucket's minimum has 0, 1, ... leading zeros (a row each)."""
+    upto = np.exp(-np.asarray(sizes, float)[:, None] / BUCKETS * _HALVES[None, :])
+    return upto[:, 1:] - upto[:, :-1]
+
+
 def chance(n: int, m: int) -> float:
     """Expected share of equal registers of two unrelated sets of n and m shingles: both minima fall in one cell."""
-    i = np.arange(64)
-    hit = lambda k: np.exp(-k / BUCKETS * 2.0 ** -(i + 1)) - np.exp(-k / BUCKETS * 2.0**-i)
-    return float((hit(n) * hit(m)).sum() / 2**MANTISSA)
+    a, b = cells(np.array([n, m]))
+    return float(a @ b / 2**MANTISSA)
+
+
+def passes(about: np.ndarray, registers: np.ndarray, percent: int) -> np.ndarray:
+    """Whether an estimate that rests on so many registers is at most six standard errors below the threshold."""
+    least = percent / 100
+    return about + 6 * np.sqrt(least * (1 - least) / registers) >= least
 
 
 def estimate(a: np.ndarray, b: np.ndarray, n: int, m: int) -> tuple[float, int]:
@@ -154,80 +169,171 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def signatures(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n_shingles, a key of the whole set, and its registers for banding."""
+    """doc_id, n_shingles, a key of the whole set, and its sketch."""
 
-    @F.pandas_udf("n_shingles long, set_key binary, bands binary")
+    @F.pandas_udf("n_shingles long, set_key binary, sketch binary")
     def sign(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for part in parts:
             rows = []
             for text in part:
                 h = shingle_hashes(text if isinstance(text, str) else None, words)
-                rows.append((len(h), hashlib.blake2b(h.tobytes(), digest_size=16).digest(), densified(sketch(h)).tobytes() if len(h) else None))
-            yield pd.DataFrame(rows, columns=["n_shingles", "set_key", "bands"])
+                key = hashlib.blake2b(h.tobytes(), digest_size=16).digest()
+                rows.append((len(h), key, sketch(h).tobytes() if len(h) else None))
+            yield pd.DataFrame(rows, columns=["n_shingles", "set_key", "sketch"])
 
     return docs.select("doc_id", sign("text").alias("s")).select("doc_id", "s.*")
 
 
-def full_sets(docs: DataFrame, words: int) -> DataFrame:
-    """rep, sketch and the full set of shingles, for the rows of docs (rep, text)."""
+def registers_of(column: pd.Series) -> np.ndarray:
+    return np.frombuffer(b"".join(column), np.uint16).reshape(len(column), BUCKETS)
+
+
+def banded(registers: np.ndarray) -> np.ndarray:
+    """Sketches (a row each) as bands of densified registers."""
+    return np.stack([densified(r) for r in registers])[:, : BANDS * BAND].reshape(len(registers), BANDS, BAND)
+
+
+def band_rows(classes: DataFrame) -> DataFrame:
+    """key (of a band and its registers), b (band), rep, n: a row for each band of each class (rep, n, sketch)."""
+
+    def spread(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            if not len(batch):
+                continue
+            bands = banded(registers_of(batch["sketch"])).astype(np.uint64)
+            key = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * _ODD, bands.shape[:2])
+            for i in range(BAND):
+                key = _mix((key ^ bands[:, :, i]) * _POWER + _ODD)
+            repeat = lambda c: np.repeat(batch[c].to_numpy(), BANDS)
+            yield pd.DataFrame({"key": key.reshape(-1).view(np.int64), "b": np.tile(np.arange(BANDS, dtype=np.int32), len(batch)), "rep": repeat("rep"), "n": repeat("n")})
+
+    return classes.select("rep", "n", "sketch").mapInPandas(spread, "key long, b int, rep long, n long")
+
+
+def likely(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose estimated similarity, corrected for chance, isn't far below the threshold."""
+    side = lambda c: classes.select(F.col("rep").alias(c), F.col("n").alias(f"n_{c}"), F.col("sketch").alias(f"sketch_{c}"))
+
+    def weigh(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            if not len(batch):
+                continue
+            x, y = registers_of(batch["sketch_a"]), registers_of(batch["sketch_b"])
+            used = (x != EMPTY) | (y != EMPTY)
+            k = used.sum(axis=1)
+            by_chance = (cells(batch["n_a"]) * cells(batch["n_b"])).sum(axis=1) / 2**MANTISSA
+            about = (((x == y) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
+            yield batch[["a", "b"]][passes(about, k, percent)]
+
+    return pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a").mapInPandas(weigh, "a long, b long")
+
+
+def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
+    """rep and the full set of shingles, for the documents of reps (rep)."""
 
     def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            h = [shingle_hashes(t, words) for t in batch["text"]]
-            yield pd.DataFrame({"rep": batch["rep"], "sketch": [sketch(x).tobytes() for x in h], "full": [x.tobytes() for x in h]})
+            yield pd.DataFrame({"rep": batch["rep"], "full": [shingle_hashes(t, words).tobytes() for t in batch["text"]]})
 
-    return docs.select("rep", "text").mapInPandas(sets, "rep long, sketch binary, full binary")
+    own = docs.selectExpr("cast(doc_id as long) rep", "text").join(reps.select("rep").distinct(), "rep", "left_semi")
+    return own.dropDuplicates(["rep", "text"]).mapInPandas(sets, "rep long, full binary")
 
 
-def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) with a column linked: 100 * intersection >= percent * union of the full sets."""
-    a = sets.select(F.col("rep").alias("a"), F.col("sketch").alias("sketch_a"), F.col("full").alias("full_a"))
-    b = sets.select(F.col("rep").alias("b"), F.col("sketch").alias("sketch_b"), F.col("full").alias("full_b"))
-    least = percent / 100
+def confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """Of pairs (a, b, and what else they carry), those with 100 * intersection >= percent * union of their full sets."""
+    reps = pairs.select(F.explode(F.array("a", "b")).alias("rep"))
+    sets = cut(full_sets(docs, reps, words))
+    side = lambda c: sets.select(F.col("rep").alias(c), F.col("full").alias(f"full_{c}"))
+    columns = pairs.columns
 
     def check(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             linked = []
-            for x, y, p, q in zip(batch["full_a"], batch["full_b"], batch["sketch_a"], batch["sketch_b"], strict=True):
-                near, k = estimate(np.frombuffer(p, np.uint16), np.frombuffer(q, np.uint16), len(x) // 8, len(y) // 8)
-                if near + 6 * (least * (1 - least) / k) ** 0.5 < least:  # six standard errors below
-                    linked.append(False)
-                    continue
+            for x, y in zip(batch["full_a"], batch["full_b"], strict=True):
                 u, v = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
                 common = len(np.intersect1d(u, v, assume_unique=True))
                 linked.append(100 * common >= percent * (len(u) + len(v) - common))
-            yield pd.DataFrame({"a": batch["a"], "b": batch["b"], "linked": linked})
+            yield batch[columns][np.array(linked, bool)]
 
-    return pairs.select("a", "b").join(b, "b").join(a, "a").mapInPandas(check, "a long, b long, linked boolean")
+    return pairs.join(side("b"), "b").join(side("a"), "a").mapInPandas(check, pairs.schema)
 
 
-def cross_links(members: DataFrame, sets: DataFrame, percent: int, block: int = 512) -> DataFrame:
-    """Links (u, v) between the components (label) of members of one group: key, b (band), rep, label.
+def cross_blocks(members: DataFrame, block: int) -> DataFrame:
+    """key, b, rep, label, own, is_main, i, j: members of groups that aren't one component yet, dealt to pairs of blocks.
 
-    A group's members outside its largest component are compared with each other and with that component, in
-    blocks of bounded size; of the links of a block only those are returned that join components not joined
-    before. A pair is compared in the first band that it shares, and not if it is in one component already.
+    A group's members outside its largest component meet each other and that component, in blocks of bounded size:
+    block i of the rest meets the blocks from its own on, and all blocks of the main component (negative numbers).
     """
     by_label = members.groupBy("key", "label").agg(F.count("*").alias("c"))
     groups = by_label.groupBy("key").agg(F.max_by("label", F.struct("c", "label")).alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).where("n_rest > 0")
     live = members.join(groups, "key").withColumn("is_main", F.col("label") == F.col("main"))
     live = live.withColumn("blocks", F.ceil(F.col("n_rest") / block)).withColumn("main_blocks", F.ceil(F.col("n_main") / block))
     live = live.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("is_main"), F.col("main_blocks")).otherwise(F.col("blocks"))))
-    # a block of the rest meets the blocks from its own on, and all blocks of the main component (negative numbers)
-    rest = "concat(transform(sequence(own, blocks - 1), j -> named_struct('i', own, 'j', j)), if(own > 0, transform(sequence(0L, own - 1), j -> named_struct('i', j, 'j', own)), array()), transform(sequence(1L, main_blocks), j -> named_struct('i', own, 'j', -j)))"
+    later = "transform(sequence(own, blocks - 1), j -> named_struct('i', own, 'j', j))"
+    earlier = "if(own > 0, transform(sequence(0L, own - 1), j -> named_struct('i', j, 'j', own)), array())"
+    mains = "transform(sequence(1L, main_blocks), j -> named_struct('i', own, 'j', -j))"
     main = "transform(sequence(0L, blocks - 1), i -> named_struct('i', i, 'j', -own - 1))"
-    live = live.select("key", "b", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, {rest}))"))
-    least = percent / 100
+    return live.select("key", "b", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, concat({later}, {earlier}, {mains})))"))
+
+
+class Block:
+    """The members of two blocks of a group: pairs that may link different components, by estimate."""
+
+    def __init__(self, rows: pd.DataFrame, percent: int):
+        self.rows, self.percent, self.band = rows, percent, rows["b"].iloc[0]
+        i, j = rows["i"].iloc[0], rows["j"].iloc[0]
+        self.plain = registers_of(rows["sketch"])
+        self.bands, self.size = banded(self.plain), rows["n"].to_numpy()
+        self.cells, self.label = cells(self.size), rows["label"].to_numpy()
+        main, own = rows["is_main"].to_numpy(), rows["own"].to_numpy()
+        self.left, self.same = np.flatnonzero(~main & (own == i)), j == i
+        self.right = np.arange(len(rows)) if self.same else np.flatnonzero(main if j < 0 else own == j)
+
+    def near(self) -> Iterator[tuple[int, np.ndarray]]:
+        """For each member of the left block, the right ones to compare it with, likeliest first.
+
+        A pair is compared in the first band that it shares, and not if it is in one component already.
+        """
+        right, size, plain = self.right, self.size, self.plain
+        for a in self.left:
+            fits = 100 * np.minimum(size[right], size[a]) >= self.percent * np.maximum(size[right], size[a])
+            near = right[(self.label[right] != self.label[a]) & fits]
+            near = near[near > a] if self.same else near
+            near = near[(self.bands[near, self.band] == self.bands[a, self.band]).all(axis=1)]
+            near = near[(self.bands[near, : self.band] != self.bands[a, : self.band]).any(axis=2).all(axis=1)]
+            if len(near):
+                used = (plain[near] != EMPTY) | (plain[a] != EMPTY)
+                k = used.sum(axis=1)
+                by_chance = self.cells[near] @ self.cells[a] / 2**MANTISSA
+                about = (((plain[near] == plain[a]) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
+                order = np.argsort(-about, kind="stable")
+                yield a, near[order[passes(about[order], k[order], self.percent)]]
+
+
+def cross_links(members: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int, block: int = 512, most: int = 8) -> DataFrame:
+    """Links (u, v) between the components (label) of members of one group: key, b (band), rep, label.
+
+    Blocks hold sketches and give the pairs to confirm. A block with more than `most` of them a member, such as a large
+    group of texts that are all alike but not enough, is resolved in its own task with full sets instead, one member's
+    at a time, so that its pairs are never written out; of its links those are returned that join components.
+    """
+    live = cut(cross_blocks(members, block))
+    sized = classes.select("rep", "n", "sketch")
+
+    def propose(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("rep").reset_index(drop=True)
+        where = [rows[c].iloc[0] for c in ("key", "i", "j")]
+        rep, label, out = rows["rep"].to_numpy(), rows["label"].to_numpy(), []
+        for a, near in Block(rows, percent).near():
+            out += [(*where, int(rep[a]), int(rep[x]), int(label[a]), int(label[x])) for x in near]
+            if len(out) > most * len(rows):
+                out = [(*where, None, None, None, None)]
+                break
+        return pd.DataFrame(out, columns=["key", "i", "j", "a", "b", "u", "v"]).astype("Int64")
 
     def resolve(rows: pd.DataFrame) -> pd.DataFrame:
-        i, j, band = rows["i"].iloc[0], rows["j"].iloc[0], rows["b"].iloc[0]
-        full = [np.frombuffer(x, np.uint64) for x in rows["full"]]
-        plain = np.stack([sketch(x) for x in full])
-        bands = np.stack([densified(x) for x in plain])[:, : BANDS * BAND].reshape(len(full), BANDS, BAND)
-        size = np.array([len(x) for x in full])
-        label = rows["label"].to_numpy()
-        left = np.flatnonzero(~rows["is_main"].to_numpy() & (rows["own"].to_numpy() == i))
-        right = np.arange(len(full)) if j == i else np.flatnonzero(rows["is_main"].to_numpy() if j < 0 else rows["own"].to_numpy() == j)
+        rows = rows.sort_values("rep").reset_index(drop=True)
+        full, label = [np.frombuffer(x, np.uint64) for x in rows["full"]], rows["label"].to_numpy()
         parent: dict[int, int] = {}
 
         def find(x: int) -> int:
@@ -237,29 +343,25 @@ def cross_links(members: DataFrame, sets: DataFrame, percent: int, block: int =
             return x
 
         links = []
-        for a in left:
-            near = right[(label[right] != label[a]) & (100 * np.minimum(size[right], size[a]) >= percent * np.maximum(size[right], size[a]))]
-            near = near[near > a] if j == i else near
-            near = near[(bands[near] == bands[a]).all(axis=2).argmax(axis=1) == band]
-            if not len(near):
-                continue
-            used = (plain[near] != EMPTY) | (plain[a] != EMPTY)
-            k = used.sum(axis=1)
-            by_chance = np.array([chance(int(size[a]), m) for m in size[near].tolist()])
-            about = (((plain[near] == plain[a]) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
-            order = np.argsort(-about)
-            for at in order[about[order] + 6 * np.sqrt(least * (1 - least) / k[order]) >= least]:
-                b = near[at]
-                u, v = find(int(label[a])), find(int(label[b]))
+        for a, near in Block(rows, percent).near():
+            for x in near:
+                u, v = find(int(label[a])), find(int(label[x]))
                 if u == v:
                     continue
-                common = len(np.intersect1d(full[a], full[b], assume_unique=True))
-                if 100 * common >= percent * (size[a] + size[b] - common):
+                common = len(np.intersect1d(full[a], full[x], assume_unique=True))
+                if 100 * common >= percent * (len(full[a]) + len(full[x]) - common):
                     parent[max(u, v)] = min(u, v)
-                    links.append((int(label[a]), int(label[b])))
+                    links.append((int(label[a]), int(label[x])))
         return pd.DataFrame(links, columns=["u", "v"], dtype="int64")
 
-    return live.join(sets.select("rep", "full"), "rep").groupBy("key", "i", "j").applyInPandas(resolve, "u long, v long")
+    found = cut(live.join(sized, "rep").groupBy("key", "i", "j").applyInPandas(propose, "key long, i long, j long, a long, b long, u long, v long"))
+    links = confirm(found.where("a is not null").select("a", "b", "u", "v"), docs, words, percent).select("u", "v")
+    crowded = found.where("a is null").select("key", "i", "j")
+    if crowded.isEmpty():
+        return links
+    rows = cut(live.join(crowded, ["key", "i", "j"]))
+    rows = rows.join(sized, "rep").join(cut(full_sets(docs, rows, words)), "rep")
+    return links.unionByName(rows.groupBy("key", "i", "j").applyInPandas(resolve, "u long, v long"))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
@@ -271,24 +373,21 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     Other columns are left out. An empty table gives no rows.
     """
     sig = cut(signatures(docs, words))
-    classes = sig.where("n_shingles > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.first("bands").alias("bands"))
+    classes = sig.where("n_shingles > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
     classes = cut(classes)
-    band = f"inline(transform(sequence(0, {BANDS - 1}), b -> named_struct('b', b, 'r', substring(bands, b * {2 * BAND} + 1, {2 * BAND}))))"
-    rows = classes.select("rep", "n", F.expr(band).alias("b", "r"))
-    rows = rows.select(F.xxhash64("b", "r").alias("key"), "b", "rep", "n")
+    rows = band_rows(classes)
     shared = rows.groupBy("key").agg(F.min("rep").alias("a"), F.max("rep").alias("__hi"), F.min_by("n", "rep").alias("n_a")).where("a < __hi").drop("__hi")
     members = cut(rows.join(shared, "key"))
-    own = docs.selectExpr("cast(doc_id as long) rep", "text").join(members.select("rep").distinct(), "rep", "left_semi")
-    sets = cut(full_sets(own.dropDuplicates(["rep", "text"]), words))
     # first each member of a band's group against the smallest id in it
     pairs = members.where(f"a <> rep and 100 * least(n, n_a) >= {percent} * greatest(n, n_a)").select("a", F.col("rep").alias("b")).distinct()
-    root = components(confirm(pairs, sets, percent).where("linked").select(F.col("a").alias("u"), F.col("b").alias("v")))
+    near = confirm(cut(likely(pairs, classes, percent)), docs, words, percent)
+    root = components(near.select(F.col("a").alias("u"), F.col("b").alias("v")))
     labels = members.select("rep").distinct().join(root, F.col("rep") == F.col("node"), "left").select("rep", F.coalesce("root", "rep").alias("label"))
     labels = cut(labels)
     # then, in groups that are not one component yet, members of different components against each other
-    more = components(cross_links(members.select("key", "b", "rep").join(labels, "rep"), sets, percent))
+    more = components(cross_links(members.select("key", "b", "rep").join(labels, "rep"), classes, docs, words, percent))
     labels = labels.join(more, F.col("label") == F.col("node"), "left").select("rep", F.coalesce("root", "label").alias("label"))
     by_class = classes.join(labels, "rep", "left").select("set_key", F.coalesce("label", "rep").alias("label"))
-    out = sig.join(by_class, "set_key", "left")
+    out = sig.drop("sketch").join(by_class, "set_key", "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("label", "doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
