@@ -72,7 +72,8 @@ class PrefixCounter:
         self.longest = max(map(len, self.vocab))
         self.letters = dict(zip(map(chr, range(256)), byte_letters(), strict=True))
         self.table = str.maketrans(self.letters)
-        self.special = [t["content"] for t in j["added_tokens"]]
+        special = sorted((t["content"] for t in j["added_tokens"]), key=len, reverse=True)
+        self.specials = re.compile("|".join(map(re.escape, special))) if special else None
         self.pairs: dict[str, dict[str, bool]] = {}
         self.n_pairs = 0
         self.heads: dict[str, tuple[list[str], list[int]]] = {}
@@ -178,13 +179,18 @@ class PrefixCounter:
 
     def changes(self, text: str) -> bytes:
         """The change of the count at each character of the text, one signed byte each."""
-        for word in self.special:
-            if word in text:
-                head, _, tail = text.partition(word)
-                whole = head + word[:-1]
-                change = self.changes(whole) if word[:-1] else b""
-                last = self.total(head) + 1 - int(np.frombuffer(change, np.int8).sum(dtype=np.int64))
-                return change + np.int8(last).tobytes() + self.changes(tail)
+        out, at = [], 0
+        for m in self.specials.finditer(text) if self.specials else ():
+            # up to its last character a special string is plain text; with that the whole of it is one token
+            change = self.plain_changes(text[at : m.end() - 1])
+            counts = np.frombuffer(change, np.int8)
+            last = 1 - int(counts[m.start() - at :].sum(dtype=np.int64))
+            out += [change, np.int8(last).tobytes()]
+            at = m.end()
+        return b"".join([*out, self.plain_changes(text[at:])])
+
+    def plain_changes(self, text: str) -> bytes:
+        """The same of a text in which no special string counts as one."""
         units = (ODD_UNITS if ODD_SPACE.search(text) else UNITS).findall(text)
         return b"".join(map(self.units.__getitem__, units))
 
