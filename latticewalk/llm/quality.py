@@ -147,13 +147,14 @@ def with_features(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
 def train(docs: DataFrame, labels: DataFrame, rows: int = 20_000) -> AdditiveModel:
     """Fit on at most `rows` labelled documents outside the test fold: those with the smallest hash of the id.
 
-    The bound makes what the driver gets, and the broadcast of ids, fixed in size. Labels that are null are
-    left out; of contradicting labels of an id the larger holds. Without labels every score is a constant.
+    The bound makes what the driver gets, and the broadcast of ids, fixed in size: of rows that repeat a chosen id at
+    most `rows` more are taken, those with the smallest hash of the text. Labels that are null are left out; of
+    contradicting labels of an id the larger holds. Without labels every score is a constant.
     """
     chosen = labels.where("quality is not null and doc_id is not null").where(~held_out())
     chosen = chosen.groupBy("doc_id").agg(F.max("quality").alias("label")).withColumn("h", F.xxhash64("doc_id")).orderBy("h", "doc_id").limit(rows).select("doc_id", "label")
-    found = docs.selectExpr("cast(doc_id as long) doc_id", "text").join(F.broadcast(chosen), "doc_id").mapInPandas(with_features, "doc_id long, label int, x array<double>").select("doc_id", "label", "x").toPandas()
-    found = found.sort_values(["doc_id", "label"]).head(2 * rows)  # repeated rows of an id may add to the sample
+    own = docs.selectExpr("cast(doc_id as long) doc_id", "text", "xxhash64(text) h").join(F.broadcast(chosen), "doc_id")
+    found = own.mapInPandas(with_features, "doc_id long, h long, label int, x array<double>").orderBy("doc_id", "h").limit(2 * rows).toPandas()
     x = np.stack(found["x"]) if len(found) else np.zeros((0, len(FEATURES)))
     return AdditiveModel().fit(x, found["label"].to_numpy(float))
 
