@@ -3,7 +3,8 @@
 An example holds all turns before it as context and trains on that reply alone. A conversation that
 ends with other turns, or has no assistant, gets one more example with nothing to train on, so that
 every turn is in the output. Marks of the template inside roles and texts are escaped: each run of
-`<`, backslashes and `|` gets one backslash more, and unescaping takes it away.
+`<`, backslashes and `|` gets one backslash more, and unescaping takes it away. Examples leave a worker
+in batches of bounded size, as the last ones of a long conversation hold nearly all of it.
 """
 
 from __future__ import annotations
@@ -43,33 +44,51 @@ def read_back(formatted: str) -> list[tuple[str, str]]:
     return [(unescape_role(r), unescape(t)) for r, t in _TURN.findall(formatted)]
 
 
+#: Code points of the examples that leave a worker together, besides the last.
+BATCH = 4_000_000
+
+
+def each_example(turns) -> Iterator[tuple[str, int, int]]:
+    """The examples of one conversation, one at a time: formatted, loss_start, loss_end."""
+    context, trained = "", None
+    for t in turns:
+        head = f"{context}{START}{escape_role(t['role'])}\n"
+        body = escape(t["text"])
+        context = f"{head}{body}{END}\n"
+        trained = t["role"] == "assistant"
+        if trained:
+            yield context, len(head), len(head) + len(body)
+    if not trained:
+        yield context, 0, 0
+
+
 def examples(turns: DataFrame) -> DataFrame:
     """conv_id, example (from 0), formatted, loss_start, loss_end (code points of formatted; equal if nothing is trained on).
 
     Turns go by turn, nulls first, ties by role and text, so repeated turns follow each other. Null roles
-    and texts are empty. Rows with a null conv_id are one conversation. Other columns are left out. All
-    turns of one conversation meet in a row, as its last example must hold them; examples of a conversation
-    stand together in a partition.
+    and texts are empty. Rows with a null conv_id are one conversation. Other columns are left out. An empty table
+    gives no rows. All turns of one conversation meet in a row, as its last example must hold them; its examples are
+    made and sent one after the other.
     """
-    packed = turns.select("conv_id", F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).alias("t"))
+    packed = turns.select(F.col("conv_id").cast("string").alias("conv_id"), F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).alias("t"))
     packed = packed.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("turns"))
 
     def expand(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def frame(rows: list[tuple]) -> pd.DataFrame:
+            out = pd.DataFrame(rows, columns=["conv_id", "example", "formatted", "loss_start", "loss_end"])
+            return out.astype({"conv_id": "Int64"})
+
         for batch in batches:
+            rows, held = [], 0
             for conv_id, turns in zip(batch["conv_id"], batch["turns"], strict=True):
-                rows, context = [], ""
-                for t in turns:
-                    head = f"{context}{START}{escape_role(t['role'])}\n"
-                    body = escape(t["text"])
-                    context = f"{head}{body}{END}\n"
-                    if t["role"] == "assistant":
-                        rows.append((conv_id, len(rows), context, len(head), len(head) + len(body)))
-                if not rows or len(rows[-1][2]) < len(context):
-                    rows.append((conv_id, len(rows), context, 0, 0))
-                for at in range(0, len(rows), 16):
-                    out = pd.DataFrame(rows[at : at + 16], columns=["conv_id", "example", "formatted", "loss_start", "loss_end"])
-                    out["conv_id"] = out["conv_id"].astype("Int64")
-                    yield out
+                for number, example in enumerate(each_example(turns)):
+                    rows.append((conv_id and int(conv_id), number, *example))
+                    held += len(example[0])
+                    if held > BATCH:
+                        yield frame(rows)
+                        rows, held = [], 0
+            if rows:
+                yield frame(rows)
 
     return packed.mapInPandas(expand, "conv_id long, example int, formatted string, loss_start long, loss_end long")
 
@@ -77,40 +96,27 @@ def examples(turns: DataFrame) -> DataFrame:
 def digests(formatted: DataFrame) -> DataFrame:
     """What the examples of each conversation hold, read back from them.
 
-    conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, formatted_chars (of all its examples). Reads the
-    output of examples() as it comes, where a conversation's examples stand together and the last has all turns.
+    conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, formatted_chars (of all its examples). Examples are known
+    by conv_id and their number and may come in any order and place. Each is read where it lies; only what is trained
+    on, and the digest of its turns, meet by conversation. A row that repeats a conversation's example counts once.
     """
 
     def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        state = None
-
-        def result(s: dict) -> tuple:
-            turns = read_back(s["last"])
-            whole = "".join(f"{r}\n{t}\n" for r, t in turns).encode("utf-8", "surrogatepass")
-            return (s["id"], len(turns), hashlib.sha256(whole).hexdigest(), s["chars"], s["sha"].hexdigest(), s["formatted"])
-
-        def frame(rows: list[tuple]) -> pd.DataFrame:
-            out = pd.DataFrame(rows, columns=["conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars"])
-            out["conv_id"] = out["conv_id"].astype("Int64")
-            return out
-
         for batch in batches:
             rows = []
             for conv_id, number, text, start, end in batch[["conv_id", "example", "formatted", "loss_start", "loss_end"]].itertuples(index=False):
-                if number == 0:
-                    if state:
-                        rows.append(result(state))
-                    state = {"id": None if pd.isna(conv_id) else conv_id, "sha": hashlib.sha256(), "chars": 0, "formatted": 0}
-                said = unescape(text[start:end])
-                state["sha"].update(said.encode("utf-8", "surrogatepass"))
-                state["chars"] += len(said)
-                state["formatted"] += len(text)
-                state["last"] = text
-            yield frame(rows)
-        if state:
-            yield frame([result(state)])
-
-    return formatted.mapInPandas(read, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+                turns = read_back(text)
+                whole = "".join(f"{r}\n{t}\n" for r, t in turns).encode("utf-8", "surrogatepass")
+                rows.append((conv_id and int(conv_id), number, unescape(text[start:end]), len(text), len(turns), hashlib.sha256(whole).hexdigest()))
+            yield pd.DataFrame(rows, columns=["conv_id", "example", "said", "chars", "n_turns", "turns_sha256"]).astype({"conv_id": "Int64"})
+
+    own = formatted.withColumn("conv_id", F.col("conv_id").cast("string")).mapInPandas(read, "conv_id long, example int, said string, chars long, n_turns long, turns_sha256 string")
+    by = own.groupBy("conv_id").agg(
+        F.max_by(F.struct("n_turns", "turns_sha256"), "example").alias("last"),
+        F.sort_array(F.collect_set(F.struct("example", "said", "chars"))).alias("e"),
+    )
+    said, chars = F.array_join("e.said", ""), F.aggregate("e.chars", F.lit(0).cast("long"), lambda a, x: a + x)
+    return by.select("conv_id", "last.n_turns", "last.turns_sha256", F.length(said).cast("long").alias("loss_chars"), F.sha2(F.encode(said, "utf-8"), 256).alias("loss_sha256"), chars.alias("formatted_chars"))
 
 
 #: The same in SQL. The template's marks take 12 and 10 code points and two line ends a turn.
