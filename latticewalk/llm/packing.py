@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from latticewalk.llm.common import n_groups, once
+from latticewalk.llm.common import cut, n_groups, once
 from latticewalk.llm.token_counts import TwoGenerations, byte_letters
 
 #: Blanks are dropped by the word vocabulary, so a text may be encoded run by run.
@@ -213,8 +213,8 @@ def complete(lengths: list[int], capacity: int, nodes: int = 3000) -> list[list[
 def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups: int) -> DataFrame:
     """Pieces of at most `capacity` tokens: doc_id, piece, start, length, ids_crc32 and the group that packs it.
 
-    Groups are dealt out in turn within each input partition, so that repeated rows don't meet in one;
-    for a task that is run again, the order of rows in its partition must be the same, as it is in files.
+    Groups are dealt out in turn within each input partition, so that repeated rows don't meet in one. The pieces are
+    written before they are dealt, so that a task that is run again over rows in another order loses and doubles none.
     """
 
     def cut_up(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -232,7 +232,7 @@ def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups:
             out["doc_id"] = pd.array([None if x is None else int(x) for x in out["doc_id"]], dtype="Int64")
             yield out
 
-    return docs.selectExpr("cast(doc_id as string) doc_id", "text").mapInPandas(cut_up, "doc_id long, piece int, start long, length long, ids_crc32 long, group long")
+    return cut(docs.selectExpr("cast(doc_id as string) doc_id", "text").mapInPandas(cut_up, "doc_id long, piece int, start long, length long, ids_crc32 long, group long"))
 
 
 def pack(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1, group_rows: int = 16_384) -> DataFrame:
