@@ -35,18 +35,19 @@ def source_targets(sizes: DataFrame, share: float, most: float, weights: Sequenc
     return w.select("source", "source_size", F.coalesce(F.least("cap", F.col("final") * F.col("w")), "cap").alias("target"))
 
 
-def mix(docs: DataFrame, share: float = 1.5, most: float = 2.0, weights: Sequence[int] = (5, 2, 1), seed: str = "mix", range_rows: int = 20_000) -> DataFrame:
+def mix(docs: DataFrame, share: float = 1.5, most: float = 2.0, weights: Sequence[int] = (5, 2, 1), seed: str = "mix", range_rows: int = 8_000) -> DataFrame:
     """All rows of docs with columns size, source_size, target, copies, taken added (replacing columns of these names).
 
     size: words of the text (null: 0). copies: how often the mix takes the document, taken: its words in all.
     The last epoch takes the documents before the source's cut; the one that the cut goes through is taken if
-    most of it is before the cut. A null source is a source. Repeated rows count each; ties of keys (equal
-    ids) are cut in order of source and size, so reruns agree. An empty table gives no rows.
+    most of it is before the cut. A null source is a source. Keys are of id and text, so rows of one id, or without
+    any, are dealt over all ranges; rows that repeat both count each and are alike, so reruns agree whichever of them
+    are before the cut. An empty table gives no rows.
     """
     own = docs.drop("size", "source_size", "target", "copies", "taken").withColumn("size", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long"))
     ranges = n_groups(docs.count(), range_rows)
-    key = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).cast("binary"))
-    # rows of one id repeated without end would meet in one range; the row's size and text spread them
+    text = F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
+    key = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), text).cast("binary"))
     own = own.withColumn("__key", key).withColumn("__range", F.floor(F.conv(F.substring("__key", 1, 8), 16, 10).cast("long") * ranges / 4294967296).cast("int"))
     sums = own.groupBy("source", "__range").agg(F.sum("size").alias("__sum"))
     before = Window.partitionBy("source").orderBy("__range").rowsBetween(Window.unboundedPreceding, Window.currentRow)
@@ -72,7 +73,7 @@ def mixed_rows(docs: DataFrame, **how) -> DataFrame:
 
 #: The same in SQL, for the contract's parameters.
 ORACLE = r"""
-with own as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size, md5('mix:' || coalesce(doc_id::varchar, '')) as k from documents),
+with own as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size, md5('mix:' || coalesce(doc_id::varchar, '') || ':' || md5(coalesce(text, ''))) as k from documents),
 s as (select source, sum(size)::bigint as source_size from own group by source),
 n as (select *, [5, 2, 1][((row_number() over (order by source is null, source)) - 1) % 3 + 1] as w from s),
 c as (select *, 2.0::double * source_size as cap from n),
