@@ -2,8 +2,9 @@
 
 DataFrame functions only. List entries (domain, listed_at, action, category) become validity intervals that
 end where the next entry of the domain begins. Intervals are cut at months, so that the join is on equal
-domain and month; this also spreads a domain with very many captures over time. The most specific domain
-that has an active entry decides: `block` drops the capture, `allow` keeps it.
+domain and month. Domain and month that very many captures ask for are dropped before the join if no entry
+is for them, such as those of a whole top-level domain, and dealt over several tasks if one is. The most specific
+domain that has an active entry decides: `block` drops the capture, `allow` keeps it.
 """
 
 from __future__ import annotations
@@ -33,11 +34,25 @@ def intervals(entries: DataFrame) -> DataFrame:
     return e.withColumn("valid_to", F.lead("valid_from").over(order)).where("valid_to is null or valid_to > valid_from")
 
 
-def filter_captures(captures: DataFrame, entries: DataFrame) -> DataFrame:
+def crowded_keys(asked: DataFrame, cut: DataFrame, rows_each: int, most: int = 10_000) -> DataFrame:
+    """domain, slot, salts, listed: keys with more than `rows_each` rows of asked, and into how many parts to deal them.
+
+    Counts are summed before they are shuffled. A key counts as crowded from a share of 1 / most of all rows on at the
+    least, so there are never more than `most` of them, and they may be broadcast.
+    """
+    counts = asked.groupBy("domain", "slot").agg(F.count("*").alias("n"))
+    each = F.greatest(F.lit(rows_each), F.ceil(F.col("total") / most))
+    found = counts.crossJoin(F.broadcast(counts.agg(F.sum("n").alias("total")))).where(F.col("n") > each)
+    listed = cut.select("domain", "slot", F.lit(True).alias("listed")).distinct()
+    return found.select("domain", "slot", F.ceil(F.col("n") / each).alias("salts")).join(listed, ["domain", "slot"], "left")
+
+
+def filter_captures(captures: DataFrame, entries: DataFrame, rows_each: int = 10_000) -> DataFrame:
     """Columns of captures (page_id, url, fetched_at in seconds) with host, rule_domain, rule_action, rule_category, rule_from, allowed.
 
     Captures without a host or a time match nothing and are allowed, as are those that no active entry covers.
-    Repeated captures each get a row. Other columns are left out. An empty list allows everything.
+    Repeated captures each get a row. Other columns are left out. An empty list allows everything, and an empty table
+    gives no rows.
     """
     own = captures.select("page_id", "url", F.col("fetched_at").cast("long").alias("fetched_at"), host_of().alias("host"))
     lists = intervals(entries).withColumn("slot_lo", F.floor(F.col("valid_from") / SLOT))
@@ -46,14 +61,24 @@ def filter_captures(captures: DataFrame, entries: DataFrame) -> DataFrame:
     hi = F.least(F.col("last_slot"), F.coalesce(F.floor((F.col("valid_to") - 1) / SLOT), F.col("last_slot")))
     cut = cut.withColumn("hi", hi).where("slot_lo <= hi").withColumn("slot", F.explode(F.sequence("slot_lo", "hi")))
     cut = cut.select("domain", "slot", "valid_from", "valid_to", "action", "category")
-    # distinct (host, hour) before suffixes are spread: copies of a capture are decided once
+    # distinct (host, second) before suffixes are spread: copies of a capture are decided once
     asked = own.where("host is not null and fetched_at is not null").select("host", "fetched_at").distinct()
     asked = asked.withColumn("parts", F.split("host", r"\.")).withColumn("k", F.explode(F.expr("sequence(1, size(parts))")))
     asked = asked.select("host", "fetched_at", F.floor(F.col("fetched_at") / SLOT).alias("slot"), F.expr("array_join(slice(parts, k, size(parts)), '.')").alias("domain"))
-    hit = asked.join(cut, ["domain", "slot"]).where("valid_from <= fetched_at and (valid_to is null or fetched_at < valid_to)")
+    crowded = F.broadcast(crowded_keys(asked, cut, rows_each))
+    part = F.when(F.col("salts").isNull(), 0).otherwise(F.pmod(F.xxhash64("host", "fetched_at"), F.col("salts")))
+    asked = asked.join(crowded, ["domain", "slot"], "left").where("salts is null or listed").withColumn("salt", part.cast("long"))
+    cut = cut.join(crowded, ["domain", "slot"], "left").withColumn("salt", F.explode(F.expr("sequence(0L, coalesce(salts, 1L) - 1)")))
+    hit = asked.join(cut, ["domain", "slot", "salt"]).where("valid_from <= fetched_at and (valid_to is null or fetched_at < valid_to)")
     best = hit.groupBy("host", "fetched_at").agg(F.max(F.struct(F.length("domain").alias("n"), "domain", "action", "category", "valid_from")).alias("r"))
-    out = own.join(best, ["host", "fetched_at"], "left")
-    return out.select("page_id", "url", "host", "fetched_at", F.col("r.domain").alias("rule_domain"), F.col("r.action").alias("rule_action"), F.col("r.category").alias("rule_category"), F.col("r.valid_from").alias("rule_from"), F.coalesce(F.col("r.action") != "block", F.lit(True)).alias("allowed"))
+    # captures that can't match get a key of their own (no host holds a question mark), so that they don't meet in one task
+    whole = F.col("host").isNotNull() & F.col("fetched_at").isNotNull()
+    own = own.withColumn("__host", F.when(whole, F.col("host")).otherwise(F.concat(F.lit("?"), F.xxhash64("page_id", "url").cast("string"))))
+    own = own.withColumn("__at", F.coalesce("fetched_at", F.lit(0)))
+    out = own.join(best.select(F.col("host").alias("__host"), F.col("fetched_at").alias("__at"), "r"), ["__host", "__at"], "left")
+    rule = {"rule_domain": "domain", "rule_action": "action", "rule_category": "category", "rule_from": "valid_from"}
+    found = [F.col(f"r.{c}").alias(name) for name, c in rule.items()]
+    return out.select("page_id", "url", "host", "fetched_at", *found, F.coalesce(F.col("r.action") != "block", F.lit(True)).alias("allowed"))
 
 
 def dated_captures(pages: DataFrame) -> DataFrame:
