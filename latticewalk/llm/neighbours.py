@@ -63,8 +63,16 @@ def usable(batch: pd.Series, ids: pd.Series) -> tuple[np.ndarray, list]:
     return rows, at
 
 
+def dtype_of(vectors: DataFrame) -> type:
+    return np.float32 if vectors.schema["embedding"].dataType.simpleString() == "array<float>" else np.float64
+
+
 def hashed(vectors: DataFrame, tables: int, probes: int, seed: int) -> DataFrame:
-    """vec_id, bucket (of table, width and axis) and the vector as bytes, a row for each table and probe."""
+    """vec_id, bucket (of table, width and axis) and the vector as bytes, a row for each table and probe.
+
+    The bytes are of the column's own type, which holds the vector exactly: single precision is half as much to move.
+    """
+    kind = dtype_of(vectors)
 
     def spread(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -75,7 +83,7 @@ def hashed(vectors: DataFrame, tables: int, probes: int, seed: int) -> DataFrame
                 x = np.stack([rows[i] for i in pick])
                 unit = x / np.abs(x).max(axis=1, keepdims=True)
                 unit /= np.sqrt((unit * unit).sum(axis=1, keepdims=True))
-                raw = [r.tobytes() for r in x]
+                raw = [r.tobytes() for r in x.astype(kind)]
                 for t in range(tables):
                     a = axes(rotated(unit, t, seed), probes)
                     for p in range(a.shape[1]):
@@ -97,7 +105,7 @@ def nearest(vectors: DataFrame, k: int = 5, every: int = 50, tables: int = 8, pr
     part. Vectors of other lengths than the query's aren't comparable and aren't candidates. Ties go to the smaller
     vec_id; a row that repeats a vec_id with the same vector counts once. Other columns are left out.
     """
-    own = vectors.select("vec_id", "embedding").distinct()
+    own, kind = vectors.select("vec_id", "embedding").distinct(), dtype_of(vectors)
     index = cut(hashed(own, tables, 1, seed))
     asked = cut(hashed(own.where(F.pmod("vec_id", F.lit(every)) == 0), tables, probes, seed))
     part = lambda name: F.pmod(F.xxhash64("vec_id"), F.col(name).cast("long"))
@@ -109,9 +117,9 @@ def nearest(vectors: DataFrame, k: int = 5, every: int = 50, tables: int = 8, pr
             ids = rows["vec_id"].to_numpy()
             order = np.argsort(ids, kind="stable")
             ids = ids[order]
-            x = np.stack([np.frombuffer(v, np.float64) for v in rows["vector"]])[order]
+            x = np.stack([np.frombuffer(v, kind) for v in rows["vector"]])[order].astype(np.float64)
             for q, v in zip(queries["vec_id"], queries["vector"], strict=True):
-                s = cosines(np.frombuffer(v, np.float64), x)
+                s = cosines(np.frombuffer(v, kind).astype(np.float64), x)
                 s[ids == q] = -np.inf
                 if len(s) > k:
                     edge = np.partition(s, -k)[-k]
