@@ -19,37 +19,75 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^'\">]|\"[^\"]*\"|'[^']*')*)>", re.DOTALL)
+#: Possessive, so that what was read once is never read again.
+NAME = re.compile(r"[a-zA-Z][^\s/>]*+")
+ATTRIBUTES = re.compile(r"(?:[^'\">]++|\"[^\"]*+\"|'[^']*+')*+")
 ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.IGNORECASE)
 TOKEN = re.compile(r"[a-z]+|[A-Z][a-z]*")
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style title textarea noscript iframe template xmp".split())
+RAW_ENDS = {name: re.compile(rf"</{name}(?=[\s/>])", re.IGNORECASE) for name in RAW}
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul caption option select".split())
+#: Marks of labelled pages: from here on main text (1), or no longer (0); in a declaration, the state of the page as such.
+MARK = re.compile(r'data-main="([01])"')
+#: Elements whose share of links counts by tag, those at the top of a page, and those that texts are written in.
+LINKED, TOP = ("p", "li", "div", "section", "ul"), ("#root", "html", "body")
+FLOW = frozenset("p h1 h2 h3 h4 h5 h6 ul ol blockquote pre table dl figure".split())
 #: An opening tag ends these open elements, up to an element that holds them.
 ENDS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"}), "body": ({"head"}, {"html"})}
 HOLDS_P = frozenset("article aside body blockquote div section td th li table main form figure header footer nav dd button".split())
 
 
+def tags(html: str) -> Iterator[tuple[int, int, bool, str, str]]:
+    """start, end, whether it closes, name and attributes of each tag; name is empty for comments and declarations.
+
+    One pass, in time linear in the page. What is never closed reaches to the end of the page; a quote that is never
+    closed is a plain character, so the tag ends at the next `>`.
+    """
+    at, last = 0, html.rfind(">")
+    while True:
+        start = html.find("<", at)
+        if start < 0:
+            return
+        closes = html.startswith("/", start + 1)
+        name = NAME.match(html, start + 1 + closes)
+        if name:
+            if start > last:
+                yield start, len(html), closes, "", ""
+                return
+            end = ATTRIBUTES.match(html, name.end()).end()
+            if end >= len(html) or html[end] != ">":
+                end = html.find(">", name.end())
+            yield start, end + 1, closes, name[0].lower(), html[name.end() : end]
+            at = end + 1
+        elif closes or html.startswith(("!", "?"), start + 1):
+            opened, close = next((x for x in (("<!--", "-->"), ("<![CDATA[", "]]>")) if html.startswith(x[0], start)), ("<!", ">"))
+            end = html.find(close, start + len(opened))
+            at = end + len(close) if end >= 0 else len(html)
+            yield start, at, False, "", html[start:at] if close == ">" else ""
+        else:
+            at = start + 1
+
+
 class Page:
     """Elements in document order: parent, tag, hint tokens, and the runs of text with the element that holds each."""
 
     def __init__(self, html: str):
         self.parent, self.tag, self.hints = [-1], ["#root"], [()]
         self.runs: list[tuple[int, str | None]] = []  # (element, text); text None: a block begins or ends there
-        stack, at, find = [0], 0, TAG.search
-        while True:
-            m = find(html, at)
-            text = html[at : m.start()] if m else html[at:]
-            if text:
-                self.runs.append((stack[-1], unescape(text) if "&" in text else text))
-            if not m:
-                break
-            at = m.end()
-            name = m[2]
-            if name is None:
+        self.marks: dict[int, int] = {}  # of labelled pages
+        stack, at = [0], 0
+        for start, end, closes, name, attributes in tags(html):
+            if start < at:  # within the raw text of an element
                 continue
-            name = name.lower()
-            if m[1]:
+            self.text(stack[-1], html[at:start])
+            at = end
+            mark = MARK.search(attributes) if "data-main=" in attributes else None
+            if not name:
+                if mark:
+                    self.marks[0] = int(mark[1])
+                continue
+            if closes:
                 self.close(stack, name)
                 continue
             if name in BLOCK:
@@ -59,19 +97,23 @@ class Page:
             me = len(self.tag)
             self.parent.append(stack[-1])
             self.tag.append(name)
-            attributes = m[3]
-            self.hints.append(tuple({t.lower() for a in ATTRIBUTE.finditer(attributes) for t in TOKEN.findall(a[2] or a[3] or a[4] or "")}) if attributes and "=" in attributes else ())
+            self.hints.append(tuple({t.lower() for a in ATTRIBUTE.finditer(attributes) for t in TOKEN.findall(a[2] or a[3] or a[4] or "")}) if "=" in attributes else ())
+            if mark:
+                self.marks[me] = int(mark[1])
             if name in BLOCK:
                 self.runs.append((me, None))
             if name == "br":
                 self.runs.append((stack[-1], " "))
             if name in RAW:
-                end = re.compile(rf"</{re.escape(name)}\b[^>]*>", re.IGNORECASE).search(html, at)
-                at = end.end() if end else len(html)
-            elif name not in VOID and not attributes.endswith("/"):
-                stack.append(me)
-            elif name not in VOID and name in BLOCK:
+                close = RAW_ENDS[name].search(html, at)
+                at = len(html) if not close else html.find(">", close.end()) + 1 or len(html)
+            elif name not in VOID and (name in BLOCK or not attributes.endswith("/")):
                 stack.append(me)
+        self.text(stack[-1], html[at:])
+
+    def text(self, holder: int, text: str) -> None:
+        if text:
+            self.runs.append((holder, unescape(text) if "&" in text else text))
 
     def end(self, stack: list[int], names: set[str], within: frozenset | set) -> None:
         for k in range(len(stack) - 1, 0, -1):
@@ -114,7 +156,13 @@ class Page:
         for i in range(n):
             share = "none" if not whole[i] else "high" if linked[i] * 2 > whole[i] else "some" if linked[i] * 5 > whole[i] else "low"
             length = 0 if not whole[i] else 1 if whole[i] < 20 else 2 if whole[i] < 80 else 3 if whole[i] < 400 else 4
-            out.append([("tag", self.tag[i]), ("links", self.tag[i] in ("p", "li", "div", "section", "ul") and self.tag[i], share), ("length", length), *(("hint", h) for h in self.hints[i])])
+            tag = self.tag[i]
+            if tag in ("#root", "body"):  # by the share of the page's text that it holds itself
+                tag += " none" if not own[i] else " most" if own[i] * 2 > whole[i] else " some"
+            found = [("tag", tag), ("links", tag in LINKED and tag, share), ("length", length), *(("hint", h) for h in self.hints[i])]
+            if tag in BLOCK and i and self.tag[self.parent[i]] in TOP:
+                found.append(("top", self.tag[self.parent[i]], tag in FLOW))
+            out.append(found)
         return out
 
 
@@ -122,20 +170,14 @@ class TreeModel:
     """Node and edge potentials, in logs, of the states 0 (other) and 1 (main text)."""
 
     def __init__(self, pages: list[str], smooth: float = 0.5):
-        """pages: html whose main elements carry the attribute data-main (1: from here on main text, 0: no longer)."""
-        seen, edges, kinds = Counter(), Counter(), Counter()
+        """pages: html whose main elements carry a MARK."""
+        seen, edges, kinds, roots = Counter(), Counter(), Counter(), Counter()
         for html in pages:
             page = Page(html)
-            marks = {}
-            number = 0
-            for m in TAG.finditer(html):
-                if m[2] and not m[1]:
-                    number += 1
-                    if "data-main=" in m[3]:
-                        marks[number] = int(m[3].split('data-main="')[1][0])
-            state = [0] * len(page.tag)
+            state = [page.marks.get(0, 0)] + [0] * (len(page.tag) - 1)
+            roots[state[0]] += 1
             for i in range(1, len(page.tag)):
-                state[i] = marks.get(i, state[page.parent[i]])
+                state[i] = page.marks.get(i, state[page.parent[i]])
                 edges[state[page.parent[i]], state[i]] += 1
             for s, features in zip(state, page.features(), strict=True):
                 for f in features:
@@ -146,6 +188,7 @@ class TreeModel:
         for f in {f for f, _ in seen}:
             p = [(seen[f, s] + smooth) / (kinds[f[0], s] + smooth * values[f[0]]) for s in (0, 1)]
             self.node[f] = log(p[1] / p[0])
+        self.root = log((roots[1] + smooth) / (roots[0] + smooth))
         self.edge = [[log((edges[s, t] + smooth) / (edges[s, 0] + edges[s, 1] + 2 * smooth)) for t in (0, 1)] for s in (0, 1)]
 
     def marginals(self, page: Page) -> list[float]:
@@ -164,7 +207,7 @@ class TreeModel:
             up0[p] += m0[i]
             up1[p] += m1[i]
         belief = [0.0] * n  # log odds with all messages
-        belief[0] = -50.0  # the page as such is not main text
+        belief[0] = up1[0] - up0[0] + self.root
         for i in range(1, n):
             p = page.parent[i]
             odds = belief[p] - (m1[i] - m0[i])  # the parent's without this child
@@ -224,18 +267,53 @@ def labelled_pages(n: int = 400, seed: int = 5) -> list[str]:
             "comments": lambda: r.choice((f"<section{named('comments', 'comment', 'replies', 'discussion')}{mark}><h2>{words(2)}</h2>" + "".join(f'<div class="comment"><p>{words(r.randint(1, 40))}</p></div>' for _ in range(r.randint(1, 5))) + "</section>", f"<ol{named('comments', 'commentlist', 'replies')}{mark}>" + "".join(f"<li>{words(r.randint(1, 30))}</li>" for _ in range(3)) + "</ol>")),
         }[kind]()
 
+    def part() -> str:
+        """A part of an article: most often a paragraph."""
+        close = "</p>" if r.random() < 0.85 else ""
+        if r.random() < 0.8:
+            return f"<p>{prose()}{close}"
+        return r.choice((
+            lambda: f"<h2>{words(3)}</h2>",
+            lambda: "<ul>" + "".join(f"<li>{prose()}</li>" for _ in range(3)) + "</ul>",
+            lambda: f"<blockquote><p>{prose()}</p></blockquote>",
+            lambda: f"<div>{prose()}</div>",
+            lambda: f"<pre>{words(9)}</pre>",
+            lambda: f"<table><tr><td>{words(2)}<td>{words(3)}</table>",
+            lambda: f"<section><h3>{words(2)}</h3><p>{prose()}</section>",
+            lambda: f"<figure><img src=x><figcaption>{words(6)}</figcaption></figure>",
+        ))()
+
+    def plain() -> str:
+        """A page of nothing but text: in a body, in paragraphs alone, or without any element."""
+        text = "".join(f"<p>{prose()}</p>" for _ in range(r.randint(1, 9)))
+        return r.choice((
+            lambda: f'<html><head><title>x</title></head><body data-main="1">{text}</body></html>',
+            lambda: f'<html><body data-main="1">{words(r.randint(1, 60))}</body></html>',
+            lambda: f'<!data-main="1">{text}',
+            lambda: f'<!data-main="1">{words(r.randint(1, 60))}' + r.choice(("", f"<br>{words(9)}", f" <b>{words(2)}</b> {words(5)}")),
+        ))()
+
+    mains = (
+        lambda body, name: f'<article data-main="1">{body}</article>',
+        lambda body, name: f'<article class="{name}" data-main="1">{body}</article>',
+        lambda body, name: f'<main data-main="1">{body}</main>',
+        lambda body, name: f'<main><article data-main="1">{body}</article></main>',
+        lambda body, name: f'<div id="{name}" data-main="1">{body}</div>',
+        lambda body, name: f'<div class="{name}-body" data-main="1">{body}</div>',
+        lambda body, name: f'<section class="{name}" data-main="1">{body}</section>',
+    )
     pages = []
     for _ in range(n):
-        close = lambda: "</p>" if r.random() < 0.85 else ""
+        if r.random() < 0.12:
+            pages.append(plain())
+            continue
         parts = [f"<h1>{words(r.randint(1, 12))}</h1>"] if r.random() < 0.9 else []
-        for _ in range(r.randint(1, 25)):
-            parts.append(r.choice((lambda: f"<p>{prose()}{close()}", lambda: f"<p>{prose()}{close()}", lambda: f"<p>{prose()}{close()}", lambda: f"<p>{prose()}{close()}", lambda: r.choice((lambda: f"<h2>{words(3)}</h2>", lambda: "<ul>" + "".join(f"<li>{prose()}</li>" for _ in range(3)) + "</ul>", lambda: f"<blockquote><p>{prose()}</p></blockquote>", lambda: f"<div>{prose()}</div>", lambda: f"<pre>{words(9)}</pre>", lambda: f"<table><tr><td>{words(2)}<td>{words(3)}</table>", lambda: f"<section><h3>{words(2)}</h3><p>{prose()}</section>", lambda: f"<figure><img src=x><figcaption>{words(6)}</figcaption></figure>"))()))())
+        parts += [part() for _ in range(r.randint(1, 25))]
         for kind in ("ad", "share", "form", "aside", "notice", "comments"):
             if r.random() < 0.12:
                 parts.insert(r.randint(0, len(parts)) if kind in ("ad", "aside", "notice") else len(parts), other(kind, ' data-main="0"'))
-        body = "".join(parts)
         name = r.choice(("content", "post", "entry", "article", "story", "main", "text"))
-        main = r.choice((lambda: f'<article data-main="1">{body}</article>', lambda: f'<article class="{name}" data-main="1">{body}</article>', lambda: f'<main data-main="1">{body}</main>', lambda: f'<main><article data-main="1">{body}</article></main>', lambda: f'<div id="{name}" data-main="1">{body}</div>', lambda: f'<div class="{name}-body" data-main="1">{body}</div>', lambda: f'<section class="{name}" data-main="1">{body}</section>'))()
+        main = r.choice(mains)("".join(parts), name)
         outer = [k for k in ("nav", "header", "footer", "aside", "ad", "notice", "form", "comments", "share") if r.random() < 0.55]
         before = [other(k, "") for k in outer if k in ("nav", "header", "ad", "notice") or k != "footer" and r.random() < 0.3]
         after = [other(k, "") for k in outer if k in ("footer", "aside", "comments", "form", "share", "nav", "ad")]
@@ -243,9 +321,8 @@ def labelled_pages(n: int = 400, seed: int = 5) -> list[str]:
         middle = "".join(before) + main + "".join(after)
         if r.random() < 0.3:
             middle = f'<div class="{r.choice(("wrapper", "page", "container", "layout"))}">{middle}</div>'
-        pages.append(f"<!DOCTYPE html><html><head><meta charset=utf-8><title>{words(4)}</title><style>p{{}}</style><script>x()</script></head><body>{middle}</body></html>")
-        if r.random() < 0.06:  # a page of nothing but text
-            pages[-1] = '<html><head><title>x</title></head><body data-main="1">' + "".join(f"<p>{prose()}</p>" for _ in range(r.randint(1, 9))) + "</body></html>"
+        head = f"<head><meta charset=utf-8><title>{words(4)}</title><style>p{{}}</style><script>x()</script></head>"
+        pages.append(f"<!DOCTYPE html><html>{head}<body>{middle}</body></html>")
     return pages
 
 
