@@ -193,25 +193,30 @@ def banded(registers: np.ndarray) -> np.ndarray:
     return np.stack([densified(r) for r in registers])[:, : BANDS * BAND].reshape(len(registers), BANDS, BAND)
 
 
+#: Low bits of a band's key: its number.
+BAND_BITS = 6
+
+
 def band_rows(classes: DataFrame) -> DataFrame:
-    """key (of a band and its registers), b (band), rep, n: a row for each band of each class (rep, n, sketch)."""
+    """key (of a band's registers, with its number in the lowest bits), rep: a row for each band of each class (rep, sketch)."""
 
     def spread(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        number = np.arange(BANDS, dtype=np.uint64)
         for batch in batches:
             if not len(batch):
                 continue
             bands = banded(registers_of(batch["sketch"])).astype(np.uint64)
-            key = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * _ODD, bands.shape[:2])
+            key = np.broadcast_to((number + np.uint64(1)) * _ODD, bands.shape[:2])
             for i in range(BAND):
                 key = _mix((key ^ bands[:, :, i]) * _POWER + _ODD)
-            repeat = lambda c: np.repeat(batch[c].to_numpy(), BANDS)
-            yield pd.DataFrame({"key": key.reshape(-1).view(np.int64), "b": np.tile(np.arange(BANDS, dtype=np.int32), len(batch)), "rep": repeat("rep"), "n": repeat("n")})
+            key = key >> np.uint64(BAND_BITS) << np.uint64(BAND_BITS) | number
+            yield pd.DataFrame({"key": key.reshape(-1).view(np.int64), "rep": np.repeat(batch["rep"].to_numpy(), BANDS)})
 
-    return classes.select("rep", "n", "sketch").mapInPandas(spread, "key long, b int, rep long, n long")
+    return classes.select("rep", "sketch").mapInPandas(spread, "key long, rep long")
 
 
 def likely(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose estimated similarity, corrected for chance, isn't far below the threshold."""
+    """The pairs (a, b) whose sizes allow a link and whose similarity, estimated and corrected for chance, isn't far below it."""
     side = lambda c: classes.select(F.col("rep").alias(c), F.col("n").alias(f"n_{c}"), F.col("sketch").alias(f"sketch_{c}"))
 
     def weigh(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -225,7 +230,8 @@ def likely(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
             about = (((x == y) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
             yield batch[["a", "b"]][passes(about, k, percent)]
 
-    return pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a").mapInPandas(weigh, "a long, b long")
+    both = pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a").where(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)")
+    return both.mapInPandas(weigh, "a long, b long")
 
 
 def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
@@ -235,10 +241,28 @@ def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
         for batch in batches:
             yield pd.DataFrame({"rep": batch["rep"], "full": [shingle_hashes(t, words).tobytes() for t in batch["text"]]})
 
-    own = docs.selectExpr("cast(doc_id as long) rep", "text").join(reps.select("rep").distinct(), "rep", "left_semi")
+    reps = reps.select("rep").distinct()
+    own = maybe_in(docs.selectExpr("cast(doc_id as long) rep", "text"), reps).join(reps, "rep", "left_semi")
     return own.dropDuplicates(["rep", "text"]).mapInPandas(sets, "rep long, full binary")
 
 
+#: Bits of the bitmap of ids, in parts of 4 kB: 4 MB, whatever the number of ids.
+ID_BITS = 1 << 25
+
+
+def maybe_in(rows: DataFrame, reps: DataFrame) -> DataFrame:
+    """Rows whose rep may be one of reps: all that are, and some that aren't, the fewer the emptier the bitmap.
+
+    So that texts that take no part aren't shuffled. The bitmap of hashed ids has a fixed size and is broadcast.
+    """
+    at = F.pmod(F.xxhash64("rep"), F.lit(ID_BITS))
+    bits = reps.select(at.alias("at")).groupBy(F.expr("bitmap_bucket_number(at)").alias("__part"))
+    bits = bits.agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("__bits"))
+    known = rows.withColumn("at", at).selectExpr("*", "bitmap_bucket_number(at) __part", "bitmap_bit_position(at) __bit").join(F.broadcast(bits), "__part")
+    byte = "conv(hex(substring(__bits, cast(__bit div 8 as int) + 1, 1)), 16, 10)"
+    return known.where(f"(shiftright(cast({byte} as int), cast(__bit % 8 as int)) & 1) = 1").select(*rows.columns)
+
+
 def confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
     """Of pairs (a, b, and what else they carry), those with 100 * intersection >= percent * union of their full sets."""
     reps = pairs.select(F.explode(F.array("a", "b")).alias("rep"))
@@ -259,7 +283,7 @@ def confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Data
 
 
 def cross_blocks(members: DataFrame, block: int) -> DataFrame:
-    """key, b, rep, label, own, is_main, i, j: members of groups that aren't one component yet, dealt to pairs of blocks.
+    """key, rep, label, own, is_main, i, j: members of groups that aren't one component yet, dealt to pairs of blocks.
 
     A group's members outside its largest component meet each other and that component, in blocks of bounded size:
     block i of the rest meets the blocks from its own on, and all blocks of the main component (negative numbers).
@@ -273,119 +297,172 @@ def cross_blocks(members: DataFrame, block: int) -> DataFrame:
     earlier = "if(own > 0, transform(sequence(0L, own - 1), j -> named_struct('i', j, 'j', own)), array())"
     mains = "transform(sequence(1L, main_blocks), j -> named_struct('i', own, 'j', -j))"
     main = "transform(sequence(0L, blocks - 1), i -> named_struct('i', i, 'j', -own - 1))"
-    return live.select("key", "b", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, concat({later}, {earlier}, {mains})))"))
+    return live.select("key", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, concat({later}, {earlier}, {mains})))"))
 
 
-class Block:
-    """The members of two blocks of a group: pairs that may link different components, by estimate."""
+class Blocks:
+    """Members of pairs of blocks, sorted by key, i, j and rep: the pairs that may link different components, by estimate."""
 
     def __init__(self, rows: pd.DataFrame, percent: int):
-        self.rows, self.percent, self.band = rows, percent, rows["b"].iloc[0]
-        i, j = rows["i"].iloc[0], rows["j"].iloc[0]
-        self.plain = registers_of(rows["sketch"])
+        self.percent, self.plain = percent, registers_of(rows["sketch"])
         self.bands, self.size = banded(self.plain), rows["n"].to_numpy()
-        self.cells, self.label = cells(self.size), rows["label"].to_numpy()
-        main, own = rows["is_main"].to_numpy(), rows["own"].to_numpy()
-        self.left, self.same = np.flatnonzero(~main & (own == i)), j == i
-        self.right = np.arange(len(rows)) if self.same else np.flatnonzero(main if j < 0 else own == j)
-
-    def near(self) -> Iterator[tuple[int, np.ndarray]]:
-        """For each member of the left block, the right ones to compare it with, likeliest first.
+        self.cells, self.label, self.rep = cells(self.size), rows["label"].to_numpy(), rows["rep"].to_numpy()
+        self.main, self.own = rows["is_main"].to_numpy(bool), rows["own"].to_numpy()
+        self.key, self.i, self.j = (rows[c].to_numpy() for c in ("key", "i", "j"))
+        new = (np.diff(self.key) != 0) | (np.diff(self.i) != 0) | (np.diff(self.j) != 0)
+        self.starts = np.concatenate([[0], np.flatnonzero(new) + 1, [len(rows)]]).tolist()
+
+    def sides(self, start: int, end: int) -> tuple[np.ndarray, np.ndarray, bool]:
+        """Rows of the left block, those of the right one, and whether they are the same block."""
+        i, j, here = self.i[start], self.j[start], slice(start, end)
+        if i == j:
+            return np.arange(start, end), np.arange(start, end), True
+        left = ~self.main[here] & (self.own[here] == i)
+        right = self.main[here] if j < 0 else ~self.main[here] & (self.own[here] == j)
+        return start + np.flatnonzero(left), start + np.flatnonzero(right), False
+
+    def pairs(self, start: int, end: int, most: int = 20_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """All pairs of a left with a right row, a bounded number at a time."""
+        left, right, same = self.sides(start, end)
+        step = max(1, most // max(1, len(right)))
+        for at in range(0, len(left), step):
+            some = left[at : at + step]
+            a, b = np.repeat(some, len(right)), np.tile(right, len(some))
+            yield (a[a < b], b[a < b]) if same else (a, b)
+
+    def likely(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of pairs of rows those to compare, and their estimates.
 
         A pair is compared in the first band that it shares, and not if it is in one component already.
         """
-        right, size, plain = self.right, self.size, self.plain
-        for a in self.left:
-            fits = 100 * np.minimum(size[right], size[a]) >= self.percent * np.maximum(size[right], size[a])
-            near = right[(self.label[right] != self.label[a]) & fits]
-            near = near[near > a] if self.same else near
-            near = near[(self.bands[near, self.band] == self.bands[a, self.band]).all(axis=1)]
-            near = near[(self.bands[near, : self.band] != self.bands[a, : self.band]).any(axis=2).all(axis=1)]
-            if len(near):
-                used = (plain[near] != EMPTY) | (plain[a] != EMPTY)
-                k = used.sum(axis=1)
-                by_chance = self.cells[near] @ self.cells[a] / 2**MANTISSA
-                about = (((plain[near] == plain[a]) & used).sum(axis=1) / k - by_chance) / (1 - by_chance)
-                order = np.argsort(-about, kind="stable")
-                yield a, near[order[passes(about[order], k[order], self.percent)]]
+        fits = 100 * np.minimum(self.size[a], self.size[b]) >= self.percent * np.maximum(self.size[a], self.size[b])
+        keep = (self.label[a] != self.label[b]) & fits
+        a, b = a[keep], b[keep]
+        shared = (self.bands[a] == self.bands[b]).all(axis=2)
+        keep = shared.any(axis=1) & (shared.argmax(axis=1) == self.key[a] & ((1 << BAND_BITS) - 1))
+        a, b = a[keep], b[keep]
+        used = (self.plain[a] != EMPTY) | (self.plain[b] != EMPTY)
+        k = used.sum(axis=1)
+        by_chance = (self.cells[a] * self.cells[b]).sum(axis=1) / 2**MANTISSA
+        about = (((self.plain[a] == self.plain[b]) & used).sum(axis=1) / np.maximum(k, 1) - by_chance) / (1 - by_chance)
+        keep = passes(about, np.maximum(k, 1), self.percent)
+        return a[keep], b[keep], about[keep]
+
+    def proposals(self, most: int) -> Iterator[pd.DataFrame]:
+        """The pairs to confirm; a block pair with more than `most` of them a member is one row without a pair instead."""
+
+        def frame(a: np.ndarray, b: np.ndarray, group: np.ndarray) -> pd.DataFrame:
+            crowded = np.bincount(group, minlength=len(self.starts)) > most * np.diff([*self.starts, self.starts[-1]])
+            where = np.flatnonzero(crowded)
+            a, b = a[~crowded[group]], b[~crowded[group]]
+            whole = pd.DataFrame({"key": self.key[a], "i": self.i[a], "j": self.j[a], "a": self.rep[a], "b": self.rep[b], "u": self.label[a], "v": self.label[b]})
+            at = np.array(self.starts)[where]
+            return pd.concat([whole, pd.DataFrame({"key": self.key[at], "i": self.i[at], "j": self.j[at]})]).astype("Int64")
+
+        held, n = [], 0
+        for g, (start, end) in enumerate(zip(self.starts, self.starts[1:])):
+            found = 0
+            for a, b in self.pairs(start, end):
+                if len(a) > 1000:  # many at once are looked at by themselves, and only until there are too many
+                    a, b, _ = self.likely(a, b)
+                    found += len(a)
+                held.append((a, b))
+                n += len(a)
+                if found > most * (end - start):
+                    break
+            if n > 20_000 or g == len(self.starts) - 2:
+                a, b = (np.concatenate(x) for x in zip(*held)) if held else [np.zeros(0, int)] * 2
+                a, b, _ = self.likely(a, b)
+                yield frame(a, b, np.searchsorted(np.array(self.starts), a, side="right") - 1)
+                held, n = [], 0
+
+    def links(self, full: list[np.ndarray]) -> list[tuple[int, int]]:
+        """Links that join components, of one pair of blocks, with the full sets of its rows; likeliest first."""
+        parent: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while parent.get(x, x) != x:
+                parent[x] = parent.get(parent[x], parent[x])
+                x = parent[x]
+            return x
+
+        out = []
+        for a, b in self.pairs(0, len(full)):
+            a, b, about = self.likely(a, b)
+            for at in np.argsort(-about, kind="stable"):
+                x, y = a[at], b[at]
+                u, v = find(int(self.label[x])), find(int(self.label[y]))
+                if u != v:
+                    common = len(np.intersect1d(full[x], full[y], assume_unique=True))
+                    if 100 * common >= self.percent * (len(full[x]) + len(full[y]) - common):
+                        parent[max(u, v)] = min(u, v)
+                        out.append((int(self.label[x]), int(self.label[y])))
+        return out
 
 
 def cross_links(members: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int, block: int = 512, most: int = 8) -> DataFrame:
-    """Links (u, v) between the components (label) of members of one group: key, b (band), rep, label.
+    """Links (u, v) between the components (label) of members of one group: key, rep, label.
 
-    Blocks hold sketches and give the pairs to confirm. A block with more than `most` of them a member, such as a large
-    group of texts that are all alike but not enough, is resolved in its own task with full sets instead, one member's
-    at a time, so that its pairs are never written out; of its links those are returned that join components.
+    Blocks hold sketches and give the pairs to confirm. A pair of blocks with more than `most` of them a member, such as
+    those of a large group of texts that are all alike but not enough, is resolved in its own task with full sets
+    instead, so that its pairs are never written out; of its links those are returned that join components.
     """
     live = cut(cross_blocks(members, block))
     sized = classes.select("rep", "n", "sketch")
 
-    def propose(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("rep").reset_index(drop=True)
-        where = [rows[c].iloc[0] for c in ("key", "i", "j")]
-        rep, label, out = rows["rep"].to_numpy(), rows["label"].to_numpy(), []
-        for a, near in Block(rows, percent).near():
-            out += [(*where, int(rep[a]), int(rep[x]), int(label[a]), int(label[x])) for x in near]
-            if len(out) > most * len(rows):
-                out = [(*where, None, None, None, None)]
-                break
-        return pd.DataFrame(out, columns=["key", "i", "j", "a", "b", "u", "v"]).astype("Int64")
+    def propose(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rest = None
+        for batch in batches:
+            rows = batch if rest is None else pd.concat([rest, batch], ignore_index=True)
+            last = rows.iloc[-1] if len(rows) else None
+            if last is None:
+                continue
+            whole = ((rows["key"] != last["key"]) | (rows["i"] != last["i"]) | (rows["j"] != last["j"])).to_numpy()
+            rest = rows[~whole]  # the last group may go on
+            if whole.any():
+                yield from Blocks(rows[whole].reset_index(drop=True), percent).proposals(most)
+        if rest is not None and len(rest):
+            yield from Blocks(rest.reset_index(drop=True), percent).proposals(most)
 
     def resolve(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values("rep").reset_index(drop=True)
-        full, label = [np.frombuffer(x, np.uint64) for x in rows["full"]], rows["label"].to_numpy()
-        parent: dict[int, int] = {}
-
-        def find(x: int) -> int:
-            while parent.get(x, x) != x:
-                parent[x] = parent.get(parent[x], parent[x])
-                x = parent[x]
-            return x
-
-        links = []
-        for a, near in Block(rows, percent).near():
-            for x in near:
-                u, v = find(int(label[a])), find(int(label[x]))
-                if u == v:
-                    continue
-                common = len(np.intersect1d(full[a], full[x], assume_unique=True))
-                if 100 * common >= percent * (len(full[a]) + len(full[x]) - common):
-                    parent[max(u, v)] = min(u, v)
-                    links.append((int(label[a]), int(label[x])))
+        links = Blocks(rows, percent).links([np.frombuffer(x, np.uint64) for x in rows["full"]])
         return pd.DataFrame(links, columns=["u", "v"], dtype="int64")
 
-    found = cut(live.join(sized, "rep").groupBy("key", "i", "j").applyInPandas(propose, "key long, i long, j long, a long, b long, u long, v long"))
+    on = ("key", "i", "j")
+    dealt = live.join(sized, "rep").repartition(*on).sortWithinPartitions(*on, "rep")
+    found = cut(dealt.mapInPandas(propose, "key long, i long, j long, a long, b long, u long, v long"))
     links = confirm(found.where("a is not null").select("a", "b", "u", "v"), docs, words, percent).select("u", "v")
-    crowded = found.where("a is null").select("key", "i", "j")
+    crowded = found.where("a is null").select(*on)
     if crowded.isEmpty():
         return links
-    rows = cut(live.join(crowded, ["key", "i", "j"]))
+    rows = cut(live.join(crowded, [*on]))
     rows = rows.join(sized, "rep").join(cut(full_sets(docs, rows, words)), "rep")
-    return links.unionByName(rows.groupBy("key", "i", "j").applyInPandas(resolve, "u long, v long"))
+    return links.unionByName(rows.groupBy(*on).applyInPandas(resolve, "u long, v long"))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, **blocks) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept (doc_id = component_id), a row each.
 
     Links join documents with 100 * intersection >= percent * union of their shingle sets. Null and empty
     texts have no set and are linked with nothing. Rows with a null id take part in nothing: component_id is
     null and they are kept. Rows that repeat an id are one node; of rows repeated whole each comes back.
-    Other columns are left out. An empty table gives no rows.
+    Other columns are left out. An empty table gives no rows. blocks: sizes of cross_links; they don't change rows.
     """
     sig = cut(signatures(docs, words))
     classes = sig.where("n_shingles > 0 and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min("n_shingles").alias("n"), F.first("sketch").alias("sketch"))
     classes = cut(classes)
     rows = band_rows(classes)
-    shared = rows.groupBy("key").agg(F.min("rep").alias("a"), F.max("rep").alias("__hi"), F.min_by("n", "rep").alias("n_a")).where("a < __hi").drop("__hi")
+    shared = rows.groupBy("key").agg(F.min("rep").alias("a"), F.max("rep").alias("__hi")).where("a < __hi").drop("__hi")
     members = cut(rows.join(shared, "key"))
     # first each member of a band's group against the smallest id in it
-    pairs = members.where(f"a <> rep and 100 * least(n, n_a) >= {percent} * greatest(n, n_a)").select("a", F.col("rep").alias("b")).distinct()
+    pairs = members.where("a <> rep").select("a", F.col("rep").alias("b")).distinct()
     near = confirm(cut(likely(pairs, classes, percent)), docs, words, percent)
     root = components(near.select(F.col("a").alias("u"), F.col("b").alias("v")))
     labels = members.select("rep").distinct().join(root, F.col("rep") == F.col("node"), "left").select("rep", F.coalesce("root", "rep").alias("label"))
     labels = cut(labels)
     # then, in groups that are not one component yet, members of different components against each other
-    more = components(cross_links(members.select("key", "b", "rep").join(labels, "rep"), classes, docs, words, percent))
+    more = components(cross_links(members.select("key", "rep").join(labels, "rep"), classes, docs, words, percent, **blocks))
     labels = labels.join(more, F.col("label") == F.col("node"), "left").select("rep", F.coalesce("root", "label").alias("label"))
     by_class = classes.join(labels, "rep", "left").select("set_key", F.coalesce("label", "rep").alias("label"))
     out = sig.drop("sketch").join(by_class, "set_key", "left")

@@ -161,6 +161,29 @@ def test_near_duplicates_against_brute_force(spark, words):
     assert got == brute_components(dict(rows), words)
 
 
+@pytest.mark.parametrize("how", [{"block": 5}, {"block": 5, "most": 0}, {"most": 0}])
+def test_near_duplicates_in_small_and_crowded_blocks(spark, how):
+    """Texts around the threshold, of which many share bands and few are linked; blocks are split, or resolved in place."""
+    r, rows = random.Random(9), []
+    vocab = ["".join(r.choice("abcdef") for _ in range(5)) for _ in range(400)]
+    for base in range(3):
+        text = [r.choice(vocab) for _ in range(100)]
+        for _ in range(25):
+            copy = [*text]
+            for at in r.sample(range(100), r.randint(2, 9)):
+                copy[at] = r.choice(vocab)
+            rows.append((len(rows) + 1, " ".join(copy)))
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in near_dups.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 2, 80, **how).collect()}
+    want = brute_components(dict(rows), 2)
+    assert got == want and 3 < len({c for _, c in want.values()}) < 75
+
+
+def test_bitmap_keeps_all_ids(spark):
+    rows, some = spark.range(50_000).selectExpr("id * 7919 as rep", "id as x"), spark.range(0, 50_000, 9).selectExpr("id * 7919 as rep")
+    got = {r.x for r in near_dups.maybe_in(rows, some).collect()}
+    assert got >= set(range(0, 50_000, 9)) and len(got) < 5700
+
+
 def test_near_duplicates_of_odd_rows(spark, odd):
     got = near_dups.near_duplicates(odd, 2).collect()
     assert len(got) == 10 and all(r.component_id == 1 for r in got if r.doc_id in (1, 2))
