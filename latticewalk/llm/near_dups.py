@@ -242,7 +242,8 @@ def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
             yield pd.DataFrame({"rep": batch["rep"], "full": [shingle_hashes(t, words).tobytes() for t in batch["text"]]})
 
     reps = reps.select("rep").distinct()
-    own = maybe_in(docs.selectExpr("cast(doc_id as long) rep", "text"), reps).join(reps, "rep", "left_semi")
+    # an inner join, as the optimizer would push a semi join below the filter by the bitmap
+    own = maybe_in(docs.selectExpr("cast(doc_id as long) rep", "text"), reps).join(reps, "rep")
     return own.dropDuplicates(["rep", "text"]).mapInPandas(sets, "rep long, full binary")
 
 
