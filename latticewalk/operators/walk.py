@@ -1,19 +1,21 @@
 """The private pattern walk: scores, proposals, acceptance, removal, convergence (D1-D14) and whole releases.
 
-The chain itself is driver control flow over a support service; supports come from one scan of the data
-(`Materialized`), or per explored neighbourhood (`OnDemand`). Neighbours are ordered by key before drawing, so
-every service gives the same chain for a seed.
+The chain itself is driver control flow over a service that classifies neighbourhoods: from a table of supports made in
+one scan (`Materialized`), from supports asked for when needed (`OnDemand`, `Frontier`), or by one of the explorers on
+the data (`graphs.DataExplorer`: naive, monotone, reuse). Neighbours are ordered by key before drawing, so every service
+gives the same chain for a seed.
 """
 
 from __future__ import annotations
 
 import math
 import random
+import time
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field, replace
 from fractions import Fraction
 
-from latticewalk.functions.pattern import PatternRules, lattice_neighbors, parse_key, enumerate_space
+from latticewalk.functions.pattern import Neighbor, PatternRules, Recent, enumerate_space, lattice_neighbors, parse_key
 
 
 # ---- D1-D3 ----
@@ -52,32 +54,54 @@ def alpha(u_x: float, u_y: float, q_xy: float, q_yx: float, eps1: float, k: int,
 
 
 # ---- support services ----
-class Materialized:
+class BySupport:
+    """Classes of neighbours from the supports of patterns, which a subclass knows."""
+
+    ahead = 0
+
+    def __init__(self, f: int | None = None):
+        self.f, self.jobs, self.tests = f, 0, 0
+        self.worked = self.seconds = 0.0
+
+    def of(self, keys: Iterable[str]) -> dict[str, int]:
+        raise NotImplementedError
+
+    def classify(self, wanted: dict[str, tuple[Neighbor, ...]]) -> dict[str, tuple[int, dict[str, bool]]]:
+        out = {}
+        for key, near in wanted.items():
+            s = self.of([key, *(n.key for n in near)])
+            out[key] = s[key], {n.key: s[n.key] >= self.f for n in near}
+        return out
+
+
+class Materialized(BySupport):
     """Supports of all patterns that occur, from one scan; others have support 0."""
 
-    def __init__(self, supports: dict[str, int]):
+    def __init__(self, supports: dict[str, int], f: int | None = None):
+        super().__init__(f)
         self.supports = supports
 
     def of(self, keys: Iterable[str]) -> dict[str, int]:
         return {k: self.supports.get(k, 0) for k in keys}
 
 
-class OnDemand:
-    """Supports asked from the data when the walk needs them, kept for later (C6, at most `memory` patterns)."""
+class OnDemand(BySupport):
+    """Supports asked from the data when the walk needs them; those used least recently are forgotten."""
 
-    def __init__(self, count: Callable[[list[str]], dict[str, int]], memory: int = 100_000):
-        self.count, self.memory, self.known, self.jobs = count, memory, {}, 0
+    def __init__(self, count: Callable[[list[str]], dict[str, int]], memory: int = 100_000, f: int | None = None):
+        super().__init__(f)
+        self.count, self.known = count, Recent(memory)
 
     def of(self, keys: Iterable[str]) -> dict[str, int]:
         keys = list(keys)
-        new = [k for k in keys if k not in self.known]
+        found = {k: self.known[k] for k in keys if k in self.known}
+        new = [k for k in keys if k not in found]
         if new:
             self.jobs += 1
-            found = self.count(new)
-            if len(self.known) > self.memory:
-                self.known = {k: self.known[k] for k in keys if k in self.known}
-            self.known.update({k: found.get(k, 0) for k in new})
-        return {k: self.known[k] for k in keys}
+            counts = self.count(new)
+            for k in new:
+                found[k] = self.known[k] = counts.get(k, 0)
+        return found
 
 
 class Frontier(OnDemand):
@@ -86,8 +110,8 @@ class Frontier(OnDemand):
     `most` bounds the patterns of one job that weren't asked for; a pattern left out is asked for when it is needed.
     """
 
-    def __init__(self, count: Callable[[list[str]], dict[str, int]], rules: PatternRules, most: int = 5_000, memory: int = 100_000):
-        super().__init__(count, memory)
+    def __init__(self, count: Callable[[list[str]], dict[str, int]], rules: PatternRules, most: int = 5_000, memory: int = 100_000, f: int | None = None):
+        super().__init__(count, memory, f)
         self.rules, self.most = rules, most
 
     def of(self, keys: Iterable[str]) -> dict[str, int]:
@@ -125,12 +149,16 @@ def geweke_z(series: list[float], first: float = 0.1, last: float = 0.5, var: st
 
 
 def gelman_rubin(chains: list[list[float]]) -> float:
-    """D14. Potential scale reduction of several chains of one length."""
-    m, n = len(chains), len(chains[0])
-    means = [sum(c) / n for c in chains]
-    grand = sum(means) / m
-    b = n * sum((x - grand) ** 2 for x in means) / (m - 1)
-    w = sum(sum((y - x) ** 2 for y in c) / (n - 1) for c, x in zip(chains, means)) / m
+    """D14. Potential scale reduction of several chains; those of a single value have no variance and are left out.
+
+    Variances within count by their degrees of freedom, means by their lengths, and the length is the mean length: the
+    usual figure where all lengths are equal.
+    """
+    chains = [c for c in chains if len(c) > 1]
+    sizes, means = [len(c) for c in chains], [sum(c) / len(c) for c in chains]
+    n, grand = sum(sizes) / len(chains), sum(map(sum, chains)) / sum(sizes)
+    w = sum(sum((y - x) ** 2 for y in c) for c, x in zip(chains, means)) / (sum(sizes) - len(chains))
+    b = sum(k * (x - grand) ** 2 for k, x in zip(sizes, means)) / (len(chains) - 1)
     return math.sqrt(((n - 1) / n * w + b / n) / w) if w else 1.0
 
 
@@ -163,6 +191,13 @@ class Convergence:
 
 @dataclass(frozen=True)
 class WalkConfig:
+    """seed: None draws from the system's randomness, as a release must; tests and experiments fix it.
+
+    start: a pattern, or None for a random one of the least size. bridge: see PunchedLattice. contribution: the most
+    graphs that one person may have; scores and supports then move by so many at once. theta: a bound that the caller
+    vouches for on each chain's distance from its law; without one, the ledger claims no (eps, delta).
+    """
+
     rules: PatternRules
     k: int = 15
     f: int = 1
@@ -172,24 +207,65 @@ class WalkConfig:
     eta: float = 0.9
     rho: float = 0.5
     proposal: str = "balanced"
-    seed: int = 7
+    seed: int | None = None
     min_steps: int = 40
     max_steps: int = 3000
     lazy: float = 0.0
+    start: str | None = None
     f_source: str = "given"
-    bridge: bool = True
-    noise: str = "laplace"
+    bridge: bool = False
+    noise: str = "discrete"
+    contribution: int = 1
+    theta: float | None = None
+    memory: int = 100_000
+
+    def randomness(self) -> random.Random:
+        return random.SystemRandom() if self.seed is None else random.Random(self.seed)
+
+
+class BudgetLedger:
+    """E9, E10. Spent budget by phase; sums of eps, and of delta for approximate steps.
+
+    ideal is what holds if every chain ends at its law; total adds what is known of their distance from it: a delta of 1
+    stands for no bound.
+    """
+
+    def __init__(self):
+        self.rows: list[tuple[str, float, float]] = []
+        self.off_law = 0.0
+
+    def spend(self, phase: str, eps: float, delta: float = 0.0) -> None:
+        if eps < 0 or delta < 0:
+            raise ValueError("a budget can't be negative")
+        self.rows.append((phase, eps, delta))
+
+    def away(self, k: int, eps1: float, theta: float | None) -> None:
+        """E6. What k chains at a distance of at most theta from their laws add; None: not known."""
+        self.off_law = 1.0 if theta is None else min(1.0, k * delta_for(theta, eps1, k))
+        self.rows.append(("distance of the chains from their laws" + (": not bounded" if theta is None else ""), 0.0, self.off_law))
+
+    @property
+    def total(self) -> tuple[float, float]:
+        return sum(r[1] for r in self.rows), min(1.0, sum(r[2] for r in self.rows))
+
+    @property
+    def ideal(self) -> tuple[float, float]:
+        return self.total[0], sum(r[2] for r in self.rows) - self.off_law
+
+    def to_df(self, spark):
+        return spark.createDataFrame(self.rows, "phase string, eps double, delta double")
 
 
 @dataclass
 class Release:
-    """What leaves: rank, pattern, noisy support if paid for. The trace and true supports stay inside."""
+    """What leaves: rank, pattern, noisy support if paid for. The trace, its costs and true supports stay inside."""
 
     patterns: list[str]
     noisy: list[float | None]
     ledger: BudgetLedger
     trace: list[tuple] = field(default_factory=list, repr=False)
     steps: list[int] = field(default_factory=list, repr=False)
+    seconds: list[float] = field(default_factory=list, repr=False)
 
     def to_df(self, spark):
         rows = []
@@ -199,22 +275,6 @@ class Release:
         return spark.createDataFrame(rows, "rank int, pattern_key string, vlabel array<int>, edges array<struct<u:int,v:int,elabel:int>>, noisy_support double")
 
 
-class BudgetLedger:
-    """E9. Spent budget by phase; sums of eps, and of delta for approximate steps."""
-
-    def __init__(self):
-        self.rows: list[tuple[str, float, float]] = []
-
-    def spend(self, phase: str, eps: float, delta: float = 0.0) -> None:
-        if eps < 0 or delta < 0:
-            raise ValueError("a budget can't be negative")
-        self.rows.append((phase, eps, delta))
-
-    @property
-    def total(self) -> tuple[float, float]:
-        return sum(r[1] for r in self.rows), sum(r[2] for r in self.rows)
-
-
 class PunchedLattice:
     """D10. Neighbours in the space without released patterns: a removed neighbour is replaced by its own, transitively.
 
@@ -232,10 +292,11 @@ class PunchedLattice:
         self.removed.add(key)
         self.memo.clear()
 
-    def neighbors(self, key: str) -> tuple[str, ...]:
+    def around(self, key: str) -> tuple[Neighbor, ...]:
+        """The neighbours in order of key, with their kinds and edits; a substitute's kind is "other"."""
         found = self.memo.get(key)
         if found is None:
-            seen, out, todo = {key}, set(), [key]
+            direct, seen, out, todo = {n.key: n for n in lattice_neighbors(key, self.rules)}, {key}, set(), [key]
             while todo:
                 for n in lattice_neighbors(todo.pop(), self.wide):
                     if n.key in seen:
@@ -245,31 +306,56 @@ class PunchedLattice:
                         todo.append(n.key)
                     else:
                         out.add(n.key)
-            found = self.memo[key] = tuple(sorted(out))
+            found = self.memo[key] = tuple(direct.get(k) or Neighbor(k, "other", ()) for k in sorted(out))
         return found
 
+    def neighbors(self, key: str) -> tuple[str, ...]:
+        return tuple(n.key for n in self.around(key))
+
+
+def joined(lattice: PunchedLattice, space: list[str]) -> bool:
+    """A10. Whether a walk can get from each pattern of the space that is left to every other."""
+    left = {k for k in space if k not in lattice.removed}
+    todo = [min(left)] if left else []
+    left -= {*todo}
+    while todo:
+        near = left.intersection(lattice.neighbors(todo.pop()))
+        left -= near
+        todo += near
+    return not left
+
 
 class NotConverged(RuntimeError):
     """A chain used up its steps; no pattern may leave."""
 
 
 class Walker:
+    """A chain over the patterns of a space, by what the service says of their neighbourhoods."""
+
     def __init__(self, service, config: WalkConfig):
         self.service, self.config, self.lattice = service, config, PunchedLattice(config.rules, config.bridge)
-        self.utility, self.delta_u = SCORES[config.score](config.f)
-        self.classes_of: dict[str, tuple] = {}
-
-    def explore(self, key: str) -> tuple[int, list[str], list[str], list[str]]:
-        """Support, and frequent smaller, frequent larger and infrequent neighbours, each in order of key."""
-        found = self.classes_of.get(key)
-        if found is None:
-            near = self.lattice.neighbors(key)
-            s = self.service.of([key, *near])
-            size = key.count("-")
-            sub = [n for n in near if s[n] >= self.config.f and n.count("-") < size]
-            sup = [n for n in near if s[n] >= self.config.f and n.count("-") >= size]
-            found = self.classes_of[key] = (s[key], sub, sup, [n for n in near if s[n] < self.config.f])
-        return found
+        if service.f is None:
+            service.f = config.f
+        if service.f != config.f:
+            raise ValueError("the service classifies by another threshold")
+        self.utility, delta_u = SCORES[config.score](config.f)
+        self.delta_u = delta_u * config.contribution
+        self.classes_of: Recent = Recent(config.memory)
+
+    def explore(self, key: str, soon: Iterable[str] = ()) -> tuple[int, list[str], list[str], list[str]]:
+        """Support, and frequent smaller, frequent larger and infrequent neighbours, each in order of key.
+
+        soon: patterns that may be asked for next; if the service looks ahead, they share the job.
+        """
+        if key not in self.classes_of:
+            more = [k for k in soon if k != key and k not in self.classes_of][: self.service.ahead]
+            wanted = {k: self.lattice.around(k) for k in (key, *more)}
+            for k, (support, frequent) in self.service.classify(wanted).items():
+                near, size = [n.key for n in wanted[k]], k.count("-")
+                sub = [n for n in near if frequent[n] and n.count("-") < size]
+                sup = [n for n in near if frequent[n] and n.count("-") >= size]
+                self.classes_of[k] = (support, sub, sup, [n for n in near if not frequent[n]])
+        return self.classes_of[key]
 
     def mass(self, x: str, y: str) -> float:
         """q(x, y)."""
@@ -294,16 +380,21 @@ class Walker:
         if (self.config.lazy and r.random() < self.config.lazy) or not self.lattice.neighbors(x):
             return x, x, 1.0, 1.0, 1.0, False
         y = self.propose(x, r)
+        self.explore(y, self.lattice.neighbors(x))
         q, back = self.mass(x, y), self.mass(y, x)
         a = alpha(self.utility(self.explore(x)[0]), self.utility(self.explore(y)[0]), q, back, self.config.eps1, self.config.k, self.delta_u)
         ok = r.random() < a
         return (y if ok else x), y, q, back, a, ok
 
     def start(self, r: random.Random) -> str:
-        """D9. A pattern of one edge of declared labels, without reading data (or, if all are gone, any pattern left)."""
-        labels = self.config.rules.labels
-        ones = [k for k in (f"{a},{b}|0-1" for a in sorted(labels) for b in sorted(labels) if a <= b) if k not in self.lattice.removed and self.config.rules.allows(parse_key(k))]
-        return r.choice(ones or [k for k in enumerate_space(self.config.rules) if k not in self.lattice.removed])
+        """D9. The given pattern, or one of the least size of declared labels, without reading data (or any that is left)."""
+        rules, gone = self.config.rules, self.lattice.removed
+        if self.config.start is not None and self.config.start not in gone:
+            return self.config.start
+        labels = sorted(rules.labels)
+        least = [f"{a}|" for a in labels] if rules.min_edges == 0 else [f"{a},{b}|0-1" for a in labels for b in labels if a <= b]
+        least = [k for k in least if k not in gone and rules.allows(parse_key(k))]
+        return r.choice(least or [k for k in enumerate_space(rules) if k not in gone])
 
     def chain(self, number: int, r: random.Random) -> tuple[str, int, list[tuple]]:
         """D11, D13. One sample of a converged chain; fails closed if it doesn't converge."""
@@ -318,10 +409,13 @@ class Walker:
         raise NotConverged(f"chain {number} didn't converge in {self.config.max_steps} steps; nothing is released")
 
 
+def laplace_quantile(u: float, scale: float) -> float:
+    """E1. The inverse distribution function, at u - 0.5 for u uniform in (-0.5, 0.5)."""
+    return math.copysign(-scale * math.log(max(1e-300, 1 - 2 * abs(u))), u)
+
+
 def laplace(r: random.Random, scale: float) -> float:
-    """E1. By the inverse distribution function."""
-    u = r.random() - 0.5
-    return -scale * math.copysign(math.log(max(1e-300, 1 - 2 * abs(u))), u)
+    return laplace_quantile(r.random() - 0.5, scale)
 
 
 def bernoulli_exp(r: random.Random, num: int, den: int) -> bool:
@@ -350,30 +444,30 @@ def discrete_laplace(r: random.Random, scale: float) -> int:
 NOISES = {"laplace": laplace, "discrete": discrete_laplace}
 
 
-def sample_private_patterns(service, config: WalkConfig, secret: int | None = None) -> Release:
-    """E3. k patterns, each the sample of a chain over the space without those before; E5 adds noise to supports.
-
-    config.seed fixes the randomness for tests; a real release passes a secret seed.
-    """
-    if config.k < 1 or config.eps1 <= 0 or (config.eps2 is not None and config.eps2 <= 0) or not 0 < config.eta <= 1 or not 0 <= config.rho <= 1:
-        raise ValueError("k, eps1, eps2, eta or rho out of range")
-    r, walker, ledger = random.Random(config.seed if secret is None else secret), Walker(service, config), BudgetLedger()
-    patterns, noisy, trace, steps = [], [], [], []
+def sample_private_patterns(service, config: WalkConfig) -> Release:
+    """E3. k patterns, each the sample of a chain over the space without those before; E5 adds noise to supports."""
+    if config.k < 1 or config.eps1 <= 0 or (config.eps2 is not None and config.eps2 <= 0) or not 0 < config.eta <= 1 or not 0 <= config.rho <= 1 or config.contribution < 1:
+        raise ValueError("k, eps1, eps2, eta, rho or contribution out of range")
+    r, walker, ledger = config.randomness(), Walker(service, config), BudgetLedger()
+    release = Release([], [], ledger)
     for number in range(1, config.k + 1):
+        began = time.perf_counter()
         key, n, own = walker.chain(number, r)
         support = walker.explore(key)[0]
-        patterns.append(key)
-        steps.append(n)
-        trace += own
-        noisy.append(float(support + NOISES[config.noise](r, config.k / config.eps2)) if config.eps2 else None)
+        release.patterns.append(key)
+        release.steps.append(n)
+        release.trace += own
+        release.noisy.append(float(support + NOISES[config.noise](r, config.contribution * config.k / config.eps2)) if config.eps2 else None)
+        release.seconds.append(time.perf_counter() - began)
         walker.lattice.remove(key)
         walker.classes_of.clear()
     ledger.spend("sampling", config.eps1)
     if config.eps2:
         ledger.spend("supports", config.eps2)
+    ledger.away(config.k, config.eps1, config.theta)
     if config.f_source != "given":
         ledger.spend(f"threshold: {config.f_source}, not accounted for", 0.0)
-    return Release(patterns, noisy, ledger, trace, steps)
+    return release
 
 
 # ---- exact laws for small spaces: D8, E2, E6-E8, E11-E14, F4, F5 ----
@@ -392,11 +486,32 @@ def transition_matrix(walker: Walker, space: list[str]):
     return out
 
 
+def chain_distance(walker: Walker, space: list[str], steps: int) -> float:
+    """E6. Distance of the law after so many steps, begun as the walk begins, from the limit; for spaces that fit the driver."""
+    import numpy as np
+
+    left = [k for k in space if k not in walker.lattice.removed]
+    law = exponential_law([walker.utility(walker.explore(k)[0]) for k in left], walker.config.eps1, walker.config.k, walker.delta_u)
+    least = min(k.count("-") for k in left)
+    begins = [k == walker.config.start if walker.config.start else k.count("-") == least for k in left]
+    now, matrix = np.array(begins, float) / sum(begins), transition_matrix(walker, left)
+    for _ in range(steps):
+        now = now @ matrix
+    return tv_distance(now, law)
+
+
 def exponential_law(utilities: list[float], eps: float, k: int, delta_u: float = 1.0) -> list[float]:
-    """E2. The exponential mechanism's distribution at budget eps / k."""
+    """E2. The exponential mechanism's distribution at budget eps / k; utilities of the whole space, patterns of support 0 too."""
     top = max(utilities)
     w = [math.exp(eps * (u - top) / (2 * k * delta_u)) for u in utilities]
-    return [x / sum(w) for x in w]
+    total = sum(w)
+    return [x / total for x in w]
+
+
+def exponential_probs(space: list[str], supports: dict[str, int], eps: float, k: int, score: str = "linear", f: int = 1) -> dict[str, float]:
+    """E2. The probability of each pattern of a declared space, whether or not it occurs."""
+    u, d = SCORES[score](f)
+    return dict(zip(space, exponential_law([u(supports.get(x, 0)) for x in space], eps, k, d), strict=True))
 
 
 def sample_exact_exponential(space: list[str], supports: dict[str, int], k: int, eps: float, r: random.Random, score: str = "linear", f: int = 1) -> list[str]:
@@ -406,13 +521,23 @@ def sample_exact_exponential(space: list[str], supports: dict[str, int], k: int,
     return [x for _, x in sorted(noisy, reverse=True)[:k]]
 
 
-def laplace_all(space: list[str], supports: dict[str, int], k: int, eps: float, r: random.Random) -> list[str]:
-    """F5. Noise of scale |space| / eps on every support, then the k largest."""
-    return [x for _, x in sorted(((supports.get(x, 0) + laplace(r, len(space) / eps), x) for x in space), reverse=True)[:k]]
+def laplace_all(space: list[str], supports: dict[str, int], k: int, eps: float, noise: Callable[[str, float], float]) -> list[tuple[str, float]]:
+    """F5. Noise of scale |space| / eps on every support of the space, then the k largest, ties by key.
+
+    noise(key, scale): what is added to a pattern's support.
+    """
+    noisy = [(x, supports.get(x, 0) + noise(x, len(space) / eps)) for x in space]
+    return sorted(noisy, key=lambda t: (-t[1], t[0]))[:k]
 
 
 def tv_distance(p: list[float], q: list[float]) -> float:
-    return sum(abs(a - b) for a, b in zip(p, q)) / 2
+    return float(sum(abs(a - b) for a, b in zip(p, q)) / 2)
+
+
+def tv_between(p: dict[str, float], q: dict[str, float]) -> float:
+    """E7. Of two laws by pattern; a pattern that one of them lacks has probability 0 there."""
+    every = sorted({*p, *q})
+    return tv_distance([p.get(k, 0.0) for k in every], [q.get(k, 0.0) for k in every])
 
 
 def tv_curve(matrix, law, start: int, steps: int) -> list[float]:
@@ -440,6 +565,25 @@ def noise_beta(k: int, eps2: float, gamma: float, together: bool = False) -> flo
     return k / eps2 * math.log((k if together else 1) / gamma)
 
 
+def sound(out: list[str], supports: dict[str, int], f: int, beta: float) -> bool:
+    """E11. Whether all outputs have support above f - beta."""
+    return all(supports.get(o, 0) > f - beta for o in out)
+
+
+def complete(out: list[str], supports: dict[str, int], f: int, beta: float) -> bool:
+    """E12. Whether all patterns of support above f + beta are among the outputs.
+
+    The same beta as for soundness: if such a pattern is missing, some output of support at most f was drawn while it was
+    there, which the exponential mechanism does with probability gamma at most.
+    """
+    return {p for p, s in supports.items() if s > f + beta} <= set(out)
+
+
+def frequency_form(supports: dict[str, float], graphs: int) -> dict[str, float]:
+    """E14. Supports, noisy or not, as shares of the (public) number of graphs; noise of scale k / eps2 becomes k / (eps2 n)."""
+    return {p: s / graphs for p, s in supports.items()}
+
+
 # ---- G1-G4 ----
 def metrics(out: list[str], supports: dict[str, int], k: int) -> dict[str, float]:
     best = sorted(supports.items(), key=lambda t: (-t[1], t[0]))[:k]

@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from latticewalk.functions.pattern import Pattern, PatternRules, lattice_neighbors
-from latticewalk.operators import graphs, walk
+from latticewalk.functions import udfs
+from latticewalk.functions.pattern import Pattern, PatternRules, enumerate_space, lattice_neighbors, parse_key, space_upper_bound
+from latticewalk.operators import diagnostics, graphs, walk
+from latticewalk.operators.store import shared_folder
 from latticewalk.plans import experiments as ex
-from latticewalk.sources import builders
+from latticewalk.plans import sql
+from latticewalk.sources import builders, sinks
 from latticewalk.streaming import sessions as streaming
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -18,92 +22,137 @@ QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
 
-def query(sql: str | None = None, name: str | None = None):
+def query(oracle: str | None = None, name: str | None = None):
     def add(f: Query) -> Query:
         QUERIES[name or f.__name__] = f
-        if sql:
-            ORACLES[name or f.__name__] = sql
+        if oracle:
+            ORACLES[name or f.__name__] = oracle
         return f
 
     return add
 
 
-def case(column: str, names: tuple[str, ...]) -> str:
-    return f"list_position([{', '.join(repr(n) for n in names)}], {column}) - 1"
+def each(names, oracle: Callable[[str], str | None], name: str):
+    """One query for each of names, by a function of session, folder and name."""
+
+    def add(f):
+        for n in names:
+            query(oracle(n), name.format(n))(lambda s, d, n=n: f(s, d, n))
+        return f
+
+    return add
+
+
+CLICK_SQL, DENSE_SQL, HALF = sql.CLICK, sql.DENSE, sql.HALF
+#: Patterns of up to two edges, which SQL can state for all workloads, and of up to three over three vertices.
+SMALL = {w: PatternRules(ex.rules_of(w).labels, 3, 2) for w in sql.BASE}
+WIDE = {w: PatternRules(ex.rules_of(w).labels, 3, 3) for w in sql.BASE}
+
+
+def packed(s: SparkSession, d: str, name: str = "click") -> DataFrame:
+    return ex.packed_of(s, d, name)
 
 
-CLICK_SQL = f"""
-e0 as (select user_id, ts, event_id, event_type, case when lag(ts) over w is null or ts - lag(ts) over w > interval 12 hours then 1 else 0 end as brk from events window w as (partition by user_id order by ts, event_id)),
-e1 as (select *, sum(brk) over (partition by user_id order by ts, event_id rows unbounded preceding) as sess from e0),
-e2 as (select (user_id * {builders.SESSIONS} + sess)::bigint as gid, row_number() over (partition by user_id, sess order by ts, event_id) - 1 as vid, count(*) over (partition by user_id, sess) as size, event_type from e1),
-v as (select gid, vid::int as vid, ({case('event_type', builders.CLICK)})::int as label, event_type from e2 where size >= 2),
-ed as (select gid, coalesce(last_value(case when event_type = 'view' then vid end ignore nulls) over (partition by gid order by vid rows between unbounded preceding and 1 preceding), 0)::int as src, vid as dst from v qualify vid > 0)"""
-DENSE_SQL = f"""
-l0 as (select l_orderkey, l_returnflag || l_linestatus as name, l_quantity, row_number() over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_shipdate, l_returnflag || l_linestatus) - 1 as vid, count(*) over (partition by l_orderkey) as size from lineitem),
-v as (select l_orderkey as gid, vid::int as vid, ({case('name', builders.DENSE)})::int as label, l_quantity as q from l0 where size >= 8),
-ed as (select a.gid, a.vid as src, b.vid as dst from v a join v b on a.gid = b.gid and a.vid < b.vid and abs(a.q - b.q) <= 27)"""
-PROFILE_SQL = f"""
-o as (select o_custkey as gid, o_orderkey, o_orderdate, o_orderpriority, row_number() over w as vid, lag(o_orderdate) over w as before, count(*) over (partition by o_custkey) as n from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey)),
-l as (select o.gid, o.vid as src, l_returnflag, o.n + row_number() over (partition by o.gid order by o.vid, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_shipdate, l_returnflag) as vid from lineitem join o on l_orderkey = o_orderkey),
-v as (select c_custkey as gid, 0::int as vid, ({case('c_mktsegment', builders.PROFILE)})::int as label from customer union all select gid, vid::int, ({case('o_orderpriority', builders.PROFILE)})::int from o union all select gid, vid::int, ({case('l_returnflag', builders.PROFILE)})::int from l),
-ed as (select gid, 0::int as src, vid::int as dst from o union all select gid, src::int, vid::int from l union all select gid, (vid - 1)::int, vid::int from o where datediff('day', before, o_orderdate) <= 30)"""
-BASE = {"click": CLICK_SQL, "dense": DENSE_SQL, "profile": PROFILE_SQL}
-HALF = "h as (select ed.gid, src as v, dst as w, a.label as lv, b.label as lw from ed join v a on a.gid = ed.gid and a.vid = src join v b on b.gid = ed.gid and b.vid = dst union all select ed.gid, dst, src, b.label, a.label from ed join v a on a.gid = ed.gid and a.vid = src join v b on b.gid = ed.gid and b.vid = dst)"
-EDGE_KEYS = "ek as (select distinct gid, lv || ',' || lw || '|0-1' as pattern_key from h where lv <= lw)"
-# the middle vertex stands after the leaves with smaller labels
-PATH_KEYS = """pk as (select distinct x.gid, case when x.lv <= x.lw then x.lv || ',' || x.lw || ',' || y.lw || '|0-1,0-2' when x.lv <= y.lw then x.lw || ',' || x.lv || ',' || y.lw || '|0-1,1-2' else x.lw || ',' || y.lw || ',' || x.lv || '|0-2,1-2' end as pattern_key
-from h x join h y on x.gid = y.gid and x.v = y.v and x.w <> y.w and x.lw <= y.lw)"""
-MINED = "sup as (select pattern_key, count(*) as support from (select * from ek union all select * from pk) group by 1)"
+def halves(s: SparkSession, d: str, name: str = "click") -> DataFrame:
+    return graphs.half_edges(packed(s, d, name))
 
 
-def table_sql(name: str) -> str:
-    return f"{BASE[name]},\n{HALF},\n{EDGE_KEYS},\n{PATH_KEYS},\n{MINED}"
+def mined(s: SparkSession, d: str, name: str = "click", rules: PatternRules | None = None) -> DataFrame:
+    return graphs.mine_supports(packed(s, d, name), rules or SMALL[name])
 
 
-SMALL = {w: PatternRules(ex.rules_of(w).labels, 3, 2) for w in BASE}
+def supports(s: SparkSession, d: str, name: str = "click", rules: PatternRules | None = None) -> dict[str, int]:
+    return ex.table_of(mined(s, d, name, rules))
 
 
-def mined(spark: SparkSession, sf_dir: str, name: str, rules: PatternRules | None = None) -> DataFrame:
-    return graphs.mine_supports(graphs.pack(builders.WORKLOADS[name](spark, sf_dir)), rules or SMALL[name])
+# ---- graph databases ----
 
 
-def two_edges(df: DataFrame) -> DataFrame:
-    """Without triangles, which need three edges anyway."""
-    return df.select("pattern_key", F.col("support").cast("long").alias("support"))
+@each(sql.BASE, lambda n: f"with {sql.BASE[n]} select gid, vid, label from v", "build_{}_vertices")
+def build_vertices(s, d, n):
+    return builders.WORKLOADS[n](s, d).vertices
 
 
-for _name in BASE:
-    query(f"with {BASE[_name]} select gid, vid, label from v", f"build_{_name}_vertices")(lambda s, d, n=_name: builders.WORKLOADS[n](s, d).vertices)
-    query(f"with {BASE[_name]} select gid, src, dst from ed", f"build_{_name}_edges")(lambda s, d, n=_name: builders.WORKLOADS[n](s, d).edges)
-    query(f"with {BASE[_name]}, {HALF} select lv as label_lo, lw as label_hi, count(distinct gid) as support from h where lv <= lw group by 1, 2", f"edge_support_{_name}")(lambda s, d, n=_name: graphs.edge_supports(graphs.half_edges(builders.WORKLOADS[n](s, d))))
-    query(f"with {BASE[_name]}, {HALF}, {PATH_KEYS} select pattern_key, count(*) as support from pk group by 1", f"support_path3_{_name}")(lambda s, d, n=_name: two_edges(mined(s, d, n).where("pattern_key like '%-%-%'")))
-    query(f"with {table_sql(_name)} select * from sup", f"mine_supports_{_name}")(lambda s, d, n=_name: two_edges(mined(s, d, n)))
-    query(f"with {table_sql(_name)} select * from sup order by support desc, pattern_key limit 15", f"topk_patterns_{_name}")(lambda s, d, n=_name: two_edges(graphs.top_k(mined(s, d, n), 15)))
-    query(f"with {BASE[_name]}, c as (select gid, count(*) as n_vertices from v group by 1), k as (select gid, count(*) as n_edges from ed group by 1) select n_vertices, coalesce(n_edges, 0) as n_edges, count(*) as n_graphs from c left join k using (gid) group by 1, 2", f"graph_sizes_{_name}")(
-        lambda s, d, n=_name: (lambda g: g.vertices.groupBy("gid").agg(F.count("*").alias("n_vertices")).join(g.edges.groupBy("gid").agg(F.count("*").alias("n_edges")), "gid", "left").groupBy("n_vertices", F.coalesce("n_edges", F.lit(0)).alias("n_edges")).agg(F.count("*").alias("n_graphs")))(builders.WORKLOADS[n](s, d))
-    )
-    query(f"with {BASE[_name]}, {HALF}, g as (select gid, v, lv, count(*) as degree from h group by 1, 2, 3) select lv as label, degree, count(*) as n from g group by 1, 2", f"degree_histogram_{_name}")(lambda s, d, n=_name: graphs.half_edges(builders.WORKLOADS[n](s, d)).groupBy("gid", "v", F.col("v_label").alias("label")).agg(F.count("*").alias("degree")).groupBy("label", "degree").agg(F.count("*").alias("n")))
+@each(sql.BASE, lambda n: f"with {sql.BASE[n]} select gid, src, dst from ed", "build_{}_edges")
+def build_edges(s, d, n):
+    return builders.WORKLOADS[n](s, d).edges
 
 
-@query("select conv_id as gid, (k - 1)::int as src, k::int as dst from (select conv_id, row_number() over (partition by conv_id order by turn, role, text) - 1 as k from conversations) where k > 0")
+@each(
+    sql.BASE,
+    lambda n: f"""with {sql.BASE[n]}, c as (select gid, count(*) as n_vertices from v group by 1), k as (select gid, count(*) as n_edges from ed group by 1)
+select n_vertices, coalesce(n_edges, 0) as n_edges, count(*) as n_graphs from c left join k using (gid) group by 1, 2""",
+    "graph_sizes_{}",
+)
+def graph_sizes(s, d, n):
+    sizes = packed(s, d, n).select(F.size("vlabel").cast("long").alias("n_vertices"), F.size("src").cast("long").alias("n_edges"))
+    return sizes.groupBy("n_vertices", "n_edges").agg(F.count("*").alias("n_graphs"))
+
+
+@each(
+    sql.BASE,
+    lambda n: f"with {sql.BASE[n]}, {HALF}, g as (select gid, v, lv, count(*) as degree from h group by 1, 2, 3) select lv as label, degree, count(*) as n from g group by 1, 2",
+    "degree_histogram_{}",
+)
+def degree_histogram(s, d, n):
+    degrees = halves(s, d, n).groupBy("gid", "v", F.col("v_label").alias("label")).agg(F.count("*").alias("degree"))
+    return degrees.groupBy("label", "degree").agg(F.count("*").alias("n"))
+
+
+@query("""select conv_id as gid, (k - 1)::int as src, k::int as dst
+from (select conv_id, row_number() over (partition by conv_id order by turn, role, text) - 1 as k from conversations) where k > 0""")
 def build_role_edges(s, d):
-    g = builders.role_paths(s, d)
-    return g.edges.selectExpr("gid", "cast(src as int) src", "cast(dst as int) dst")
+    return builders.role_paths(s, d).edges.selectExpr("gid", "cast(src as int) src", "cast(dst as int) dst")
+
+
+@query()
+def build_page_vertices(s, d):
+    return builders.page_trees(s, d).vertices
+
+
+@query()
+def build_page_edges(s, d):
+    return builders.page_trees(s, d).edges
 
 
-@query(f"with {CLICK_SQL}, p as (select gid, list(label order by vid) as vlabel from v group by gid), q as (select gid, count(*) as n_edges from ed group by gid) select gid, array_to_string(vlabel, ',') as labels, n_edges from p join q using (gid)")
+@query(f"""with {CLICK_SQL}, p as (select gid, list(label order by vid) as vlabel from v group by gid), q as (select gid, count(*) as n_edges from ed group by gid)
+select gid, array_to_string(vlabel, ',') as labels, n_edges from p join q using (gid)""")
 def pack_graphs(s, d):
-    return graphs.pack(builders.click(s, d)).select("gid", F.array_join(F.col("vlabel").cast("array<string>"), ",").alias("labels"), F.size("src").cast("long").alias("n_edges"))
+    return packed(s, d).select("gid", F.array_join(F.col("vlabel").cast("array<string>"), ",").alias("labels"), F.size("src").cast("long").alias("n_edges"))
 
 
 @query(f"with {CLICK_SQL} select gid, src, dst from ed")
 def unpack_edges(s, d):
-    return graphs.unpack_edges(graphs.pack(builders.click(s, d)))
+    return graphs.unpack_edges(packed(s, d))
 
 
-@query(f"with {CLICK_SQL}, {HALF} select distinct lv as label_lo, lw as label_hi, gid from h where lv <= lw")
-def edge_index(s, d):
-    return graphs.edge_index(graphs.half_edges(builders.click(s, d)))
+@query(f"with {CLICK_SQL} select gid, vid, label from v")
+def src_graph_text(s, d):
+    """Written as text in lines and read back."""
+    place = shared_folder(s, "graph-text")
+    sinks.write_graph_text(packed(s, d), place)
+    return builders.read_graph_text(s, place).vertices
+
+
+@query(f"with {CLICK_SQL} select gid, src, dst from ed")
+def sink_packed(s, d):
+    """Written as packed Parquet and read back."""
+    place = shared_folder(s, "packed")
+    sinks.write_packed(packed(s, d), place)
+    return graphs.unpack_edges(s.read.parquet(place))
+
+
+@query(f"""with {CLICK_SQL}, g as (select distinct gid from v), k as (select gid, row_number() over (partition by gid // {builders.SESSIONS} order by md5(gid::varchar), gid) as n from g)
+select gid, count(*) as n_vertices from v where gid in (select gid from k where n <= 3) group by 1""")
+def contribution_cap_click(s, d):
+    """At most three sessions of each user, so that a user moves a support by three at the most."""
+    g = builders.cap_contributions(builders.click(s, d), F.floor(F.col("gid") / builders.SESSIONS), 3)
+    return g.vertices.groupBy("gid").agg(F.count("*").alias("n_vertices"))
+
+
+@query(f"with {CLICK_SQL} select gid, label, count(*) as n from v group by 1, 2")
+def label_histogram_map(s, d):
+    return graphs.label_histogram(packed(s, d)).select("gid", F.explode("histogram").alias("label", "n")).withColumn("n", F.col("n").cast("long"))
 
 
 @query(f"with {CLICK_SQL} select label, count(*) as n from v group by rollup (label)")
@@ -111,171 +160,445 @@ def label_rollup(s, d):
     return builders.click(s, d).vertices.rollup("label").agg(F.count("*").alias("n"))
 
 
-TRIANGLE, STAR, PATH4 = Pattern((0, 1, 3), ((0, 1), (0, 2), (1, 2))), Pattern((4, 0, 1, 3), ((0, 1), (0, 2), (0, 3))), Pattern((0, 4, 4, 1), ((0, 1), (1, 2), (2, 3)))
+@query(f"with {CLICK_SQL} select label, vid = 0 as root, count(*) as n from v group by cube (label, vid = 0)")
+def label_cube(s, d):
+    return builders.click(s, d).vertices.withColumn("root", F.col("vid") == 0).cube("label", "root").agg(F.count("*").alias("n"))
+
+
+@query(f"with {CLICK_SQL} select count(distinct gid) as n from v where ('0x' || substr(md5(gid::varchar), 1, 8))::bigint % 100 < 40")
+def fraction_md5(s, d):
+    """A stable, nested share of the graphs, as the sweep of sizes takes it, by a hash that SQL has too."""
+    h = F.conv(F.substring(F.md5(F.col("gid").cast("string").cast("binary")), 1, 8), 16, 10).cast("long")
+    return builders.click(s, d).vertices.where(h % 100 < 40).agg(F.count_distinct("gid").alias("n"))
+
+
+@query("select event_type, (json_extract(props, '$.k'))::int // 10 as k, count(*) as n from events group by 1, 2")
+def src_props_label(s, d):
+    e = builders.read(s, d, "events").select("event_type", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    return e.groupBy("event_type", F.floor(F.col("k") / 10).cast("int").alias("k")).agg(F.count("*").alias("n"))
+
+
+# ---- lattice ----
+
+LATTICE_SQL = f"with {sql.space(5)}, {sql.LATTICE}"
+
+
+@query(f"with {sql.space(5)} select k as pattern_key from se union select k from sp union select k from st")
+def space_enumeration(s, d):
+    """All patterns of the click labels with up to three vertices and edges, whether or not they occur."""
+    return s.createDataFrame([(k,) for k in enumerate_space(WIDE["click"])], "pattern_key string")
+
+
+@query("select (5 * 5 + 5 * 5 * 5 * (3 + 1))::bigint as bound")
+def space_bound(s, d):
+    return s.createDataFrame([(space_upper_bound(WIDE["click"]),)], "bound long")
+
+
+@query(f"{LATTICE_SQL} select * from lat")
+def lattice_pairs(s, d):
+    """A2-A5: every pattern of that space with its neighbours."""
+    return graphs.neighbors_of(space_enumeration(s, d), WIDE["click"])
+
+
+@query("select 0::bigint as one_way")
+def lattice_reversible(s, d):
+    """Pairs of neighbours that hold in one direction only."""
+    pairs = lattice_pairs(s, d).select("pattern_key", "near_key")
+    back = pairs.select(F.col("near_key").alias("pattern_key"), F.col("pattern_key").alias("near_key"))
+    return pairs.join(back, ["pattern_key", "near_key"], "left_anti").agg(F.count("*").alias("one_way"))
+
+
+@query("select * from (values (0, true), (5, true), (20, true)) t(removed, joined)")
+def chain_conditions(s, d):
+    """The space stays joined after the most supported patterns are removed one after the other."""
+    rules, table = SMALL["click"], supports(s, d)
+    lattice, rows = walk.PunchedLattice(rules), []
+    for n, k in enumerate([*sorted(table, key=lambda k: (-table[k], k))[:20], ""]):
+        if n in (0, 5, 20):
+            rows.append((n, walk.joined(lattice, enumerate_space(rules))))
+        lattice.remove(k)
+    return s.createDataFrame(rows, "removed int, joined boolean")
 
 
-@query(f"with {DENSE_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.w = b.v join h c on c.gid = b.gid and c.v = b.w and c.w = a.v where a.lv = 0 and b.lv = 1 and c.lv = 3 group by 1")
+@query(f"{LATTICE_SQL} select pattern_key, near_key, kind from lat where pattern_key = '0,4|0-1' and near_key like '%-%-%'")
+def neighbors_of(s, d):
+    return graphs.neighbors_of(s.createDataFrame([("0,4|0-1",)], "pattern_key string"), SMALL["click"])
+
+
+@query(f"{LATTICE_SQL} select near_key from lat where pattern_key = '0,4|0-1' except select near_key from lat where pattern_key = '3,4|0-1'")
+def lattice_except(s, d):
+    near = lambda k: graphs.neighbors_of(s.createDataFrame([(k,)], "pattern_key string"), SMALL["click"]).select("near_key")
+    return near("0,4|0-1").exceptAll(near("3,4|0-1"))
+
+
+@query(f"""with {CLICK_SQL}, {HALF}, q as (select distinct x.gid, {sql.path_key('x.lv', 'x.lw', 'y.lw')} as pattern_key
+from h x join h y on x.gid = y.gid and x.v = y.v and x.w <> y.w and x.lw <= y.lw where x.lv <> 4) select pattern_key, count(*) as support from q group by 1""")
+def filter_rules(s, d):
+    """Only patterns of three vertices in which a view has one edge at the most."""
+    return mined(s, d, rules=PatternRules(SMALL["click"].labels, 3, 2, 3, 2, degree_cap=((4, 1),)))
+
+
+@query(f"with {CLICK_SQL}, {HALF}, {sql.PATH_KEYS} select * from pk")
+def udf_pattern_key(s, d):
+    """Keys of the paths in each graph, by the Arrow function."""
+    h = halves(s, d)
+    other = h.select("gid", "v", F.col("w").alias("w2"), F.col("w_label").alias("l2"))
+    pairs = h.join(other, ["gid", "v"]).where("w <> w2 and w_label <= l2").select("gid", F.array("v_label", "w_label", "l2").alias("labels")).distinct()
+    ends = [F.array(*map(F.lit, x)) for x in ((0, 0), (1, 2))]
+    return pairs.select("gid", udfs.pattern_key("labels", *ends).alias("pattern_key"))
+
+
+@query(f"with {CLICK_SQL}, {HALF}, {sql.PATH_KEYS} select gid from pk where pattern_key = '0,1,4|0-2,1-2'")
+def udf_contains(s, d):
+    return packed(s, d).where(udfs.contains_pattern("0,1,4|0-2,1-2")).select("gid")
+
+
+# ---- matching and supports ----
+
+
+@query(f"with {CLICK_SQL}, {HALF} select distinct lv as label_lo, lw as label_hi, gid from h where lv <= lw")
+def edge_index(s, d):
+    return graphs.edge_index(halves(s, d))
+
+
+@each(sql.BASE, lambda n: f"with {sql.BASE[n]}, {HALF} select lv as label_lo, lw as label_hi, count(distinct gid) as support from h where lv <= lw group by 1, 2", "edge_support_{}")
+def edge_support(s, d, n):
+    return graphs.edge_supports(halves(s, d, n))
+
+
+@each(sql.BASE, lambda n: f"with {sql.BASE[n]}, {HALF}, {sql.PATH_KEYS} select pattern_key, count(*) as support from pk group by 1", "support_path3_{}")
+def support_path3(s, d, n):
+    return mined(s, d, n).where("pattern_key like '%-%-%'")
+
+
+@each(sql.BASE, lambda n: f"with {sql.table(n)} select * from sup", "mine_supports_{}")
+def mine_supports(s, d, n):
+    return mined(s, d, n)
+
+
+@query(f"with {sql.table_3('dense')} select * from sup")
+def mine_supports_dense_triangles(s, d):
+    return mined(s, d, "dense", WIDE["dense"])
+
+
+@query(f"""with {CLICK_SQL}, {HALF}, {sql.EDGE_KEYS}, vk as (select distinct gid, label || '|' as pattern_key from v)
+select pattern_key, count(*) as support from (select * from vk union all select * from ek) group by 1""")
+def mine_supports_click_vertices(s, d):
+    """The space that begins at single vertices."""
+    return mined(s, d, rules=PatternRules(SMALL["click"].labels, 2, 1, 1, 0))
+
+
+@query()
+def mine_supports_page(s, d):
+    return graphs.mine_supports(builders.page_rows(builders.read(s, d, "pages")), ex.rules_of("page"))
+
+
+@each(sql.BASE, lambda n: f"with {sql.table(n)} select * from sup order by support desc, pattern_key limit 15", "topk_patterns_{}")
+def topk_patterns(s, d, n):
+    return graphs.top_k(mined(s, d, n), 15)
+
+
+TRIANGLE = Pattern((0, 1, 3), ((0, 1), (0, 2), (1, 2)))
+STAR = Pattern((4, 0, 1, 3), ((0, 1), (0, 2), (0, 3)))
+PATH4 = Pattern((0, 4, 4, 1), ((0, 1), (1, 2), (2, 3)))
+
+
+@query(f"""with {DENSE_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.w = b.v join h c on c.gid = b.gid and c.v = b.w and c.w = a.v
+where a.lv = 0 and b.lv = 1 and c.lv = 3 group by 1""")
 def support_triangle_dense(s, d):
-    return graphs.gid_set(graphs.half_edges(builders.dense(s, d)), TRIANGLE)
+    return graphs.gid_set(packed(s, d, "dense"), TRIANGLE)
 
 
-@query(f"with {CLICK_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.v = b.v join h c on c.gid = b.gid and c.v = b.v where a.lv = 4 and a.lw = 0 and b.lw = 1 and c.lw = 3 group by 1")
+@query(f"""with {CLICK_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.v = b.v join h c on c.gid = b.gid and c.v = b.v
+where a.lv = 4 and a.lw = 0 and b.lw = 1 and c.lw = 3 group by 1""")
 def support_star4_click(s, d):
-    return graphs.gid_set(graphs.half_edges(builders.click(s, d)), STAR)
+    return graphs.gid_set(packed(s, d), STAR)
 
 
-@query(f"with {CLICK_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.w = b.v join h c on c.gid = b.gid and c.v = b.w where a.lv = 0 and b.lv = 4 and b.lw = 4 and c.lw = 1 and b.w <> a.v and c.w <> a.w and c.w <> a.v group by 1")
+@query(f"""with {CLICK_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.w = b.v join h c on c.gid = b.gid and c.v = b.w
+where a.lv = 0 and b.lv = 4 and b.lw = 4 and c.lw = 1 and b.w <> a.v and c.w <> a.w and c.w <> a.v group by 1""")
 def support_path4_click(s, d):
-    return graphs.gid_set(graphs.half_edges(builders.click(s, d)), PATH4)
+    return graphs.gid_set(packed(s, d), PATH4)
+
+
+@query(f"""with {DENSE_SQL}, {HALF} select a.gid from h a join h b on a.gid = b.gid and a.w = b.v join h c on c.gid = b.gid and c.v = b.w
+where a.lv = 0 and b.lv = 3 and c.lv = 1 and c.lw = 5 and b.w <> a.v and c.w <> a.w and c.w <> a.v group by 1""")
+def support_rarest_first_dense(s, d):
+    """B2 with the order of joins by the supports of the kinds of edges (the planner's table, which is small)."""
+    own = packed(s, d, "dense")
+    rare = {(r.label_lo, r.label_hi): r.support for r in graphs.edge_supports(graphs.half_edges(own)).collect()}
+    p = Pattern((0, 3, 1, 5), ((0, 1), (1, 2), (2, 3)))
+    return graphs.match_pattern(graphs.half_edges(graphs.holding_kinds(own, p)), p, rare).select("gid").distinct()
 
 
 @query(f"with {CLICK_SQL}, {HALF} select distinct gid, 1::int as held from h where lv = 0 and lw = 4")
 def membership_edge_click_view(s, d):
-    hits = graphs.support_many(graphs.pack(builders.click(s, d)), ["0,4|0-1"], also_graphs=True)
-    return hits.select("gid", F.lit(1).alias("held"))
+    """B7 and B8 together: the graphs tested are those that the kinds of edges leave."""
+    left = graphs.holding_kinds(packed(s, d), parse_key("0,4|0-1"))
+    return graphs.support_many(left, ["0,4|0-1"], also_graphs=True).select("gid", F.lit(1).alias("held"))
 
 
 @query(f"with {CLICK_SQL}, {HALF} select count(distinct gid) as support from h where lv = 0 and lw = 4")
 def bitmap_support(s, d):
     """Ids numbered densely, kept as bitmaps, counted by bits."""
-    ids = graphs.gid_set(graphs.half_edges(builders.click(s, d)), Pattern((0, 4), ((0, 1),)))
+    ids = graphs.gid_set(packed(s, d), Pattern((0, 4), ((0, 1),)))
     b = ids.groupBy(F.expr("bitmap_bucket_number(gid)").alias("b")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(gid))").alias("m"))
     return b.agg(F.sum(F.expr("bitmap_count(m)")).alias("support"))
 
 
-FREQUENT = f"with {table_sql('click')} select * from sup where support >= 200"
+@query(f"with {CLICK_SQL}, {HALF} select gid from h where lv = 0 and lw = 4 intersect select gid from h where lv = 1 and lw = 4")
+def edgeset_intersect(s, d):
+    i = graphs.edge_index(halves(s, d))
+    return i.where("label_lo = 0 and label_hi = 4").select("gid").intersect(i.where("label_lo = 1 and label_hi = 4").select("gid"))
+
+
+@query(f"""with {CLICK_SQL}, {HALF}, t(i, name) as (values {", ".join(f"({i}, '{n}')" for i, n in enumerate(builders.CLICK))})
+select a.name as lo, b.name as hi, count(distinct gid) as support from h join t a on a.i = lv join t b on b.i = lw where lv <= lw group by 1, 2""")
+def edge_support_named(s, d):
+    """Names come from the declared labels, which are few."""
+    names = F.broadcast(s.createDataFrame([*enumerate(builders.CLICK)], "i int, name string"))
+    e = graphs.edge_supports(halves(s, d))
+    return e.join(names.toDF("label_lo", "lo"), "label_lo").join(names.toDF("label_hi", "hi"), "label_hi").select("lo", "hi", "support")
+
+
+@query(f"""with {sql.table('click')} select pattern_key, list_aggregate(list_transform(string_split(split_part(pattern_key, '|', 1), ','),
+lambda x: [{', '.join(repr(n) for n in builders.CLICK)}][x::int + 1]), 'string_agg', ' ') as names from sup""")
+def pattern_label_text(s, d):
+    names = F.array(*map(F.lit, builders.CLICK))
+    labels = F.split(F.split("pattern_key", r"\|")[0], ",")
+    return mined(s, d).select("pattern_key", F.array_join(F.transform(labels, lambda x: F.element_at(names, x.cast("int") + 1)), " ").alias("names"))
+
+
+@query()
+def plan_stats_approx(s, d):
+    """Sizes for planning only; supports are always exact."""
+    h = halves(s, d).where("v_label <= w_label")
+    return h.groupBy(F.col("v_label").alias("label_lo"), F.col("w_label").alias("label_hi")).agg(F.approx_count_distinct("gid").alias("about"))
+
+
+# ---- miners ----
+
+FREQUENT = f"with {sql.table('click')} select * from sup where support >= 200"
+FREQUENT_3 = f"with {sql.table_3('dense')} select * from sup where support >= 150"
 
 
 @query(FREQUENT)
 def mine_levelwise_click(s, d):
-    return graphs.mine_levelwise(graphs.pack(builders.click(s, d)), 200, SMALL["click"])
+    return graphs.mine_levelwise(packed(s, d), 200, SMALL["click"])
 
 
 @query(FREQUENT)
 def mine_growth_click(s, d):
-    return two_edges(graphs.mine_growth(graphs.pack(builders.click(s, d)), 200, SMALL["click"]))
+    return graphs.mine_growth(packed(s, d), 200, SMALL["click"])
+
+
+@query(FREQUENT_3)
+def mine_levelwise_dense(s, d):
+    return graphs.mine_levelwise(packed(s, d, "dense"), 150, WIDE["dense"])
+
+
+@query(FREQUENT_3)
+def mine_growth_dense(s, d):
+    return graphs.mine_growth(packed(s, d, "dense"), 150, WIDE["dense"])
 
 
 @query()
 def mine_supports_click_whole(s, d):
     """Under the workload's own bounds, 4 nodes and 3 edges; the queries with SQL stop at 3 and 2."""
-    return two_edges(mined(s, d, "click", ex.rules_of("click")))
+    return mined(s, d, "click", ex.rules_of("click"))
 
 
 @query()
 def mine_levelwise_click_whole(s, d):
-    return graphs.mine_levelwise(graphs.pack(builders.click(s, d)), 200, ex.rules_of("click"))
+    return graphs.mine_levelwise(packed(s, d), 200, ex.rules_of("click"))
 
 
 @query()
 def mine_growth_click_whole(s, d):
-    return two_edges(graphs.mine_growth(graphs.pack(builders.click(s, d)), 200, ex.rules_of("click")))
+    return graphs.mine_growth(packed(s, d), 200, ex.rules_of("click"))
 
 
 @query()
 def topk_patterns_click_whole(s, d):
-    return two_edges(graphs.top_k(mined(s, d, "click", ex.rules_of("click")), 15))
+    return graphs.top_k(mined(s, d, "click", ex.rules_of("click")), 15)
+
 
+BEST_15 = "(select support from sup order by support desc, pattern_key limit 15)"
 
-@query(f"with {table_sql('click')} select * from sup where support >= (select min(support) from (select support from sup order by support desc, pattern_key limit 15))")
+
+@query(f"with {sql.table('click')} select * from sup where support >= (select min(support) from {BEST_15})")
 def topk_ties_click(s, d):
-    return two_edges(graphs.top_k(mined(s, d, "click"), 15, ties=True))
+    return graphs.top_k(mined(s, d), 15, ties=True)
 
 
-@query(f"with {table_sql('click')} select min(support) as f from (select support from sup order by support desc, pattern_key limit 15)")
+@query(f"with {sql.table('click')} select min(support) as f from {BEST_15}")
 def threshold_k15(s, d):
-    return graphs.top_k(mined(s, d, "click"), 15).agg(F.min("support").alias("f"))
+    return s.createDataFrame([(ex.threshold(supports(s, d), 15),)], "f long")
+
+
+# ---- neighbour exploration ----
 
 
-@query(f"with {CLICK_SQL}, {HALF}, m as (select gid, v, w from h where lv = 0 and lw = 4), f as (select m.gid, 0 as pos, h.lw as label from m join h on h.gid = m.gid and h.v = m.v and h.w <> m.w union all select m.gid, 1, h.lw from m join h on h.gid = m.gid and h.v = m.w and h.w <> m.v) select pos::int as pos, label, count(distinct gid) as support from f group by 1, 2")
+@query(f"""with {CLICK_SQL}, {HALF}, m as (select gid, v, w from h where lv = 0 and lw = 4),
+f as (select m.gid, 0 as pos, h.lw as label from m join h on h.gid = m.gid and h.v = m.v and h.w <> m.w union all
+      select m.gid, 1, h.lw from m join h on h.gid = m.gid and h.v = m.w and h.w <> m.v)
+select pos::int as pos, label, count(distinct gid) as support from f group by 1, 2""")
 def forward_supports_click_view(s, d):
-    h = graphs.half_edges(builders.click(s, d))
-    return graphs.forward_supports(graphs.match_pattern(h, Pattern((0, 4), ((0, 1),))), h, 2).groupBy(F.col("at").alias("pos"), "label").agg(F.count_distinct("gid").alias("support"))
+    h = halves(s, d)
+    found = graphs.forward_supports(graphs.match_pattern(h, Pattern((0, 4), ((0, 1),))), h, 2)
+    return found.groupBy(F.col("at").alias("pos"), "label").agg(F.count_distinct("gid").alias("support"))
 
 
-@query(f"with {DENSE_SQL}, {HALF} select count(distinct a.gid) as support from h a join h b on a.gid = b.gid and a.w = b.v and b.w <> a.v join h c on c.gid = a.gid and c.v = a.v and c.w = b.w where a.lv = 0 and a.lw = 2 and b.lw = 4")
+@query(f"""with {DENSE_SQL}, {HALF} select count(distinct a.gid) as support from h a join h b on a.gid = b.gid and a.w = b.v and b.w <> a.v
+join h c on c.gid = a.gid and c.v = a.v and c.w = b.w where a.lv = 0 and a.lw = 2 and b.lw = 4""")
 def back_supports_dense_path(s, d):
-    h = graphs.half_edges(builders.dense(s, d))
+    h = halves(s, d, "dense")
     m = graphs.match_pattern(h, Pattern((0, 2, 4), ((0, 1), (1, 2))))
-    return m.join(h.select("gid", F.col("v").alias("m0"), F.col("w").alias("m2")), ["gid", "m0", "m2"], "left_semi").agg(F.count_distinct("gid").alias("support"))
+    return graphs.back_supports(m, h, (0, 2)).agg(F.count_distinct("gid").alias("support"))
 
 
-@query(f"with {DENSE_SQL}, {HALF}, ix as (select distinct gid, lv, lw from h), b as (select a.gid from h a join h b on a.gid = b.gid and a.w = b.v and b.w <> a.v where a.lv = 1 and a.lw = 5 and b.lw = 2) (select gid from ix where lv = 1 and lw = 5 intersect select gid from ix where lv = 2 and lw = 5) except select gid from b")
+@query(f"""with {DENSE_SQL}, {HALF}, ix as (select distinct gid, lv, lw from h),
+b as (select a.gid from h a join h b on a.gid = b.gid and a.w = b.v and b.w <> a.v where a.lv = 1 and a.lw = 5 and b.lw = 2)
+(select gid from ix where lv = 1 and lw = 5 intersect select gid from ix where lv = 2 and lw = 5) except select gid from b""")
 def sub_candidates_dense(s, d):
-    h = graphs.half_edges(builders.dense(s, d))
-    i = graphs.edge_index(h)
-    both = i.where("label_lo = 1 and label_hi = 5").select("gid").intersect(i.where("label_lo = 2 and label_hi = 5").select("gid"))
-    return both.subtract(graphs.gid_set(h, Pattern((1, 5, 2), ((0, 1), (1, 2)))))
+    """The graphs with all kinds of edges of a path that don't hold it."""
+    own, path = packed(s, d, "dense"), Pattern((1, 5, 2), ((0, 1), (1, 2))).key
+    return graphs.sub_candidates(own, graphs.half_edges(own), path, path).select("gid")
 
 
-_NEAR = lattice_neighbors("0,4|0-1", SMALL["click"])
-_NEAR_SQL = f"with {table_sql('click')}, n(pattern_key) as (values {', '.join(f'({chr(39)}{x.key}{chr(39)})' for x in _NEAR)}) select n.pattern_key, coalesce(support, 0) >= 100 as frequent from n left join sup using (pattern_key)"
+#: A state with two smaller neighbours, a larger one that closes a triangle, and others; frequent or not by the threshold.
+STATE, LOW, HIGH = "1,2,5|0-2,1-2", 100, 100_000
+NEAR = lattice_neighbors("0,4|0-1", SMALL["click"])
+NEAR_SQL = f"""with {sql.table('click')}, n(pattern_key) as (values {sql.values(x.key for x in NEAR)})
+select n.pattern_key, coalesce(support, 0) >= 100 as frequent from n left join sup using (pattern_key)"""
+DENSE_NEAR = f"with {sql.table_3('dense')}, {sql.space(6)}, {sql.LATTICE}"
+STATE_SQL = f"""{DENSE_NEAR} select f, near_key as pattern_key, coalesce(support, 0) >= f as frequent
+from lat left join sup on sup.pattern_key = near_key, (values ({LOW}), ({HIGH})) t(f) where lat.pattern_key = '{STATE}'"""
 
+EXPLORERS = {
+    "naive": lambda p, g, key, f, rules: graphs.explore_naive(p, key, f, rules),
+    "monotone": lambda p, g, key, f, rules: graphs.explore_monotone(p, key, f, rules),
+    "reuse": lambda p, g, key, f, rules: graphs.explore_reuse(p, key, f, rules),
+    "reuse_joins": lambda p, g, key, f, rules: graphs.explore_reuse_joins(g, p, key, f, rules),
+    "table": lambda p, g, key, f, rules: graphs.explore_table(ex.table_of(graphs.mine_supports(p, rules)), key, f, rules),
+}
 
-def _neighborhood(s: SparkSession, n: graphs.Neighborhood) -> DataFrame:
-    return s.createDataFrame([(k, True) for k in [*n.freq_sub, *n.freq_super]] + [(k, False) for k in n.infreq], "pattern_key string, frequent boolean")
 
+def classes(n: graphs.Neighborhood) -> list[tuple[str, bool]]:
+    return [(k, True) for k in [*n.freq_sub, *n.freq_super]] + [(k, False) for k in n.infreq]
 
-@query(_NEAR_SQL)
-def neighbors_naive(s, d):
-    return _neighborhood(s, graphs.explore_naive(graphs.pack(builders.click(s, d)), "0,4|0-1", 100, SMALL["click"]))
 
-
-@query(_NEAR_SQL)
-def neighbors_monotone(s, d):
-    return _neighborhood(s, graphs.explore_monotone(graphs.pack(builders.click(s, d)), "0,4|0-1", 100, SMALL["click"]))
+@each(EXPLORERS, lambda n: NEAR_SQL, "neighbors_{}")
+def neighbors(s, d, n):
+    g = builders.click(s, d)
+    return s.createDataFrame(classes(EXPLORERS[n](graphs.pack(g), g, "0,4|0-1", 100, SMALL["click"])), "pattern_key string, frequent boolean")
 
 
-@query(_NEAR_SQL)
-def neighbors_reuse(s, d):
-    return _neighborhood(s, graphs.explore_reuse(graphs.pack(builders.click(s, d)), "0,4|0-1", 100, SMALL["click"]))
+@each(EXPLORERS, lambda n: STATE_SQL, "explore_dense_{}")
+def explore_dense(s, d, n):
+    """A path under a threshold that it meets and under one that it doesn't."""
+    g, rows = builders.dense(s, d), []
+    own = graphs.pack(g).persist()
+    for f in (LOW, HIGH):
+        rows += [(f, *x) for x in classes(EXPLORERS[n](own, g, STATE, f, WIDE["dense"]))]
+    own.unpersist()
+    return s.createDataFrame(rows, "f int, pattern_key string, frequent boolean")
 
 
-@query(_NEAR_SQL)
-def neighbors_reuse_joins(s, d):
-    g = builders.click(s, d)
-    return _neighborhood(s, graphs.explore_reuse_joins(g, graphs.pack(g), "0,4|0-1", 100, SMALL["click"]))
+@query(f"{DENSE_NEAR} select near_key as pattern_key, support from lat join sup on sup.pattern_key = near_key where lat.pattern_key = '{STATE}' and kind <> 'sub' union all select pattern_key, support from sup where pattern_key = '{STATE}'")
+def grown_supports_dense(s, d):
+    """C3c, C3d: a path and its larger neighbours that occur, from the path's own mappings."""
+    return graphs.grown_supports(packed(s, d, "dense"), STATE, lattice_neighbors(STATE, WIDE["dense"])).where("support > 0")
 
 
-@query(_NEAR_SQL)
-def neighbors_table(s, d):
-    table = {r.pattern_key: r.support for r in mined(s, d, "click").collect()}
-    return _neighborhood(s, graphs.explore_table(table, "0,4|0-1", 100, SMALL["click"]))
+@query(f"{DENSE_NEAR} select near_key as pattern_key, a.support - coalesce(b.support, 0) as n from lat join sup a on a.pattern_key = near_key left join sup b on b.pattern_key = lat.pattern_key where lat.pattern_key = '{STATE}' and kind = 'sub'")
+def missed_supports_dense(s, d):
+    """The graphs that hold an edge of the path and not the path."""
+    return graphs.missed_supports(packed(s, d, "dense"), STATE, [x.key for x in lattice_neighbors(STATE, WIDE["dense"]) if x.kind == "sub"])
 
 
-@query(f"with {CLICK_SQL}, n as (select count(distinct gid) as n from v) select {len(_NEAR) + 1} * n as naive_tests, {len(_NEAR) + 1} * n as monotone_tests from n")
+@query(f"""with {sql.table('click')}, n as (select count(distinct gid) as n from v), o as (select coalesce(sum(support), 0) >= 100 as fr from sup where pattern_key = '0,4|0-1')
+select {len(NEAR) + 1} * n as naive_tests, case when fr then {len(NEAR) + 1} * n else n end as monotone_tests from n, o""")
 def explorer_cost(s, d):
-    """Of a frequent pattern of one edge, which has no smaller neighbours: the monotone rule saves nothing there."""
-    p = graphs.pack(builders.click(s, d)).persist()
-    rows = [(graphs.explore_naive(p, "0,4|0-1", 100, SMALL["click"]).counters["subgraph_tests"], graphs.explore_monotone(p, "0,4|0-1", 100, SMALL["click"]).counters["subgraph_tests"])]
+    """Of a pattern of one edge, which has no smaller neighbours: if it is frequent, the monotone rule saves nothing."""
+    p = packed(s, d).persist()
+    ways = (graphs.explore_naive, graphs.explore_monotone)
+    rows = [tuple(explore(p, "0,4|0-1", 100, SMALL["click"]).counters["subgraph_tests"] for explore in ways)]
     p.unpersist()
     return s.createDataFrame(rows, "naive_tests long, monotone_tests long")
 
 
+#: Graphs with both kinds of edges of the path (b), and with each that don't hold it: what reuse tests.
+COST_SQL = f"""{DENSE_NEAR}, ix as (select distinct gid, lv, lw from h),
+b as (select count(*) as b from (select gid from ix where lv = 1 and lw = 5 intersect select gid from ix where lv = 2 and lw = 5)),
+n as (select count(distinct gid) as n from v), k as (select count(*) filter (kind = 'sub') as sub, count(*) filter (kind <> 'sub') as sup from lat where pattern_key = '{STATE}'),
+o as (select coalesce(sum(support), 0) as own from sup where pattern_key = '{STATE}'),
+e as (select coalesce(sum(support), 0) as ends from sup where pattern_key in ('1,5|0-1', '2,5|0-1'))"""
+
+
+@query(f"""{COST_SQL} select f, n * (1 + sub + sup) as naive, case when own >= f then n * (1 + sup) else n * (1 + sub) end as monotone,
+(2 * b + case when own >= f then 0 else ends - sub * own end)::bigint as reuse from b, n, k, o, e, (values ({LOW}), ({HIGH})) t(f)""")
+def explorer_cost_dense(s, d):
+    """Subgraph tests of each explorer on the path, from scratch (its own support counts a second time for reuse)."""
+    own, rows = packed(s, d, "dense").persist(), []
+    for f in (LOW, HIGH):
+        rows.append((f, *(EXPLORERS[n](own, None, STATE, f, WIDE["dense"]).counters["subgraph_tests"] for n in ("naive", "monotone", "reuse"))))
+    own.unpersist()
+    return s.createDataFrame(rows, "f int, naive long, monotone long, reuse long")
+
+
+# ---- scores, proposals, acceptance ----
+
 SCORE_SQL = {"linear": "support::double", "plateau": "least(support, 100)::double", "steep": "case when support >= 100 then support::double else 0.5::double * (support - 1) end"}
-SCORE_COLUMN = {"linear": lambda: F.col("support").cast("double"), "plateau": lambda: F.least(F.col("support"), F.lit(100)).cast("double"), "steep": lambda: F.when(F.col("support") >= 100, F.col("support").cast("double")).otherwise(0.5 * (F.col("support") - 1))}
-for _score in SCORE_SQL:
-    query(f"with {table_sql('click')} select pattern_key, {SCORE_SQL[_score]} as u from sup", f"score_{_score}")(lambda s, d, n=_score: mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n]().alias("u")))
-    if _score != "steep":
-        query(f"with {table_sql('click')}, u as (select pattern_key, {SCORE_SQL[_score]} as u from sup), w as (select pattern_key, exp(0.5::double * (u - (select max(u) from u)) / 30) as w from u) select pattern_key, round(w / (select sum(w) from w), 9) as p from w", f"expmech_probs_{_score}")(
-            lambda s, d, n=_score: (lambda u: (lambda w: w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("t")))).select("pattern_key", F.round(F.col("w") / F.col("t"), 9).alias("p")))(u.crossJoin(F.broadcast(u.agg(F.max("u").alias("top")))).select("pattern_key", F.exp(0.5 * (F.col("u") - F.col("top")) / 30).alias("w"))))(mined(s, d, "click").select("pattern_key", SCORE_COLUMN[n]().alias("u")))
-        )
+#: The declared space of up to two edges with its supports, patterns of support 0 too.
+SPACE_SQL = f"{sql.table('click')}, {sql.space(5)}, s as (select k as pattern_key, coalesce(support, 0) as support from (select k from se union select k from sp) left join sup on k = pattern_key)"
+
+
+@each(SCORE_SQL, lambda n: f"with {sql.table('click')} select pattern_key, {SCORE_SQL[n]} as u from sup", "score_{}")
+def score(s, d, n):
+    u, _ = walk.SCORES[n](100)
+    return s.createDataFrame([(k, u(x)) for k, x in supports(s, d).items()], "pattern_key string, u double")
+
+
+@each(
+    ("linear", "plateau"),
+    lambda n: f"""with {SPACE_SQL}, u as (select pattern_key, {SCORE_SQL[n]} as u from s), w as (select pattern_key, exp(0.5::double * (u - (select max(u) from u)) / 30) as w from u)
+select pattern_key, round(w / (select sum(w) from w), 9) as p from w""",
+    "expmech_probs_{}",
+)
+def expmech_probs(s, d, n):
+    """E2 over the declared space: patterns that don't occur have their share too."""
+    law = walk.exponential_probs(enumerate_space(SMALL["click"]), supports(s, d), 0.5, 15, n, 100)
+    return s.createDataFrame([(k, round(p, 9)) for k, p in law.items()], "pattern_key string, p double")
+
+
+@query(f"""with {SPACE_SQL}, p as (select pattern_key, exp(0.02::double * (support - (select max(support) from s)) / 2) as w from s),
+q as (select pattern_key, exp(0.02::double * (least(support, 100) - (select max(least(support, 100)) from s join se on k = pattern_key)) / 2) as w from s join se on k = pattern_key)
+select round(sum(abs(coalesce(p.w / (select sum(w) from p), 0) - coalesce(q.w / (select sum(w) from q), 0))) / 2, 9) as tv from p full join q using (pattern_key)""")
+def tv_distance(s, d):
+    """E7 between the linear law over the space and the plateau's over its edges alone."""
+    space, table = enumerate_space(SMALL["click"]), supports(s, d)
+    p = walk.exponential_probs(space, table, 0.02, 1)
+    q = walk.exponential_probs([k for k in space if k.count("-") == 1], table, 0.02, 1, "plateau", 100)
+    return s.createDataFrame([(round(walk.tv_between(p, q), 9),)], "tv double")
 
 
-@query(f"with {table_sql('click')}, n(pattern_key) as (values {', '.join(f'({chr(39)}{x.key}{chr(39)})' for x in _NEAR)}), c as (select n.pattern_key, coalesce(support, 0) >= 100 as fr from n left join sup using (pattern_key)), t as (select count(*) filter (fr) as a, count(*) filter (not fr) as b from c) select pattern_key, round(case when fr then case when b = 0 then 1 else 0.9::double end / a else case when a = 0 then 1 else 0.1::double end / b end, 9) as q from c, t")
+@query(f"""with {sql.table('click')}, n(pattern_key) as (values {sql.values(x.key for x in NEAR)}), c as (select n.pattern_key, coalesce(support, 0) >= 100 as fr from n left join sup using (pattern_key)),
+t as (select count(*) filter (fr) as a, count(*) filter (not fr) as b from c)
+select pattern_key, round(case when fr then case when b = 0 then 1 else 0.9::double end / a else case when a = 0 then 1 else 0.1::double end / b end, 9) as q from c, t""")
 def proposal_mass(s, d):
-    n = graphs.explore_table({r.pattern_key: r.support for r in mined(s, d, "click").collect()}, "0,4|0-1", 100, SMALL["click"])
+    n = graphs.explore_table(supports(s, d), "0,4|0-1", 100, SMALL["click"])
     a, b, c = walk.balanced_masses(len(n.freq_sub), len(n.freq_super), len(n.infreq), 0.9, 0.5)
     rows = [(k, round(m / len(ks), 9)) for m, ks in ((a, n.freq_sub), (b, n.freq_super), (c, n.infreq)) for k in ks]
     return s.createDataFrame(rows, "pattern_key string, q double")
 
 
-@query(f"with {table_sql('click')}, x as (select support as ux from sup where pattern_key = '0,4|0-1') select pattern_key, round(least(1.0::double, exp(0.5::double * (support - ux) / 30) * (1 / 5.0::double) / (1 / 10.0::double)), 9) as alpha from sup, x")
+@query(f"""with {sql.table('click')}, x as (select support as ux from sup where pattern_key = '0,4|0-1')
+select pattern_key, round(least(1.0::double, exp(0.5::double * (support - ux) / 30) * (1 / 5.0::double) / (1 / 10.0::double)), 9) as alpha from sup, x""")
 def mh_alpha(s, d):
-    """Acceptance from one fixed state with |N(x)| = 10 and |N(y)| = 5 under uniform proposals."""
-    m = mined(s, d, "click")
-    x = m.where("pattern_key = '0,4|0-1'").select(F.col("support").alias("ux"))
-    return m.crossJoin(F.broadcast(x)).select("pattern_key", F.round(F.least(F.lit(1.0), F.exp(0.5 * (F.col("support") - F.col("ux")) / 30) * (1 / 5) / (1 / 10)), 9).alias("alpha"))
+    """D7 from one fixed state with |N(x)| = 10 and |N(y)| = 5 under uniform proposals."""
+    table = supports(s, d)
+    return s.createDataFrame([(k, round(walk.alpha(table["0,4|0-1"], x, 1 / 10, 1 / 5, 0.5, 15), 9)) for k, x in table.items()], "pattern_key string, alpha double")
 
 
 @query("select round(least(1.0::double, exp(3 / 2.0::double) * (1 / 10.0::double) / (exp(2 / 2.0::double) * (1 / 5.0::double))), 9) as alpha")
@@ -283,70 +606,87 @@ def acceptance_example(s, d):
     return s.createDataFrame([(round(walk.alpha(2, 3, 1 / 5, 1 / 10, 1.0, 1), 9),)], "alpha double")
 
 
-@query(f"with {table_sql('click')}, s as (select pattern_key, support::double as u from sup), p as (select pattern_key, exp(0.02::double * (u - (select max(u) from s)) / 2) as w from s), q as (select pattern_key, exp(0.02::double * (least(u, 100) - (select max(least(u, 100)) from s)) / 2) as w from s) select round(sum(abs(p.w / (select sum(w) from p) - q.w / (select sum(w) from q))) / 2, 9) as tv from p join q using (pattern_key)")
-def tv_distance(s, d):
-    m = mined(s, d, "click").select("pattern_key", F.col("support").cast("double").alias("u"), F.least(F.col("support"), F.lit(100)).cast("double").alias("t"))
-    top = m.agg(F.max("u").alias("mu"), F.max("t").alias("mt"))
-    w = m.crossJoin(F.broadcast(top)).select(F.exp(0.02 * (F.col("u") - F.col("mu")) / 2).alias("p"), F.exp(0.02 * (F.col("t") - F.col("mt")) / 2).alias("q"))
-    return w.crossJoin(F.broadcast(w.agg(F.sum("p").alias("sp"), F.sum("q").alias("sq")))).agg(F.round(F.sum(F.abs(F.col("p") / F.col("sp") - F.col("q") / F.col("sq"))) / 2, 9).alias("tv"))
+@query(f"""with {SPACE_SQL}, {sql.LATTICE_2},
+n as (select lat.pattern_key as x, near_key as y, a.support as sx, b.support as sy, case when b.support < 100 then 2 when kind = 'sub' then 0 else 1 end as class
+      from lat join s a on a.pattern_key = lat.pattern_key join s b on b.pattern_key = near_key),
+c as (select x, count(*) filter (class = 0) as n0, count(*) filter (class = 1) as n1, count(*) filter (class = 2) as n2 from n group by 1),
+m as (select *, case when n0 = 0 then 0.0::double when n1 = 0 then 1 else 0.5 end as rho, case when n2 = 0 then 1.0::double else 0.9 end as eta from c),
+q as (select n.*, case when n0 = 0 and n1 = 0 then 1.0::double / n2 when class = 0 then eta * rho / n0 when class = 1 then eta * (1 - rho) / n1 else (1 - eta) / n2 end as q from n join m using (x)),
+p as (select a.x, a.y, a.q * least(1.0::double, exp(0.5::double * (a.sy - a.sx) / 30) * b.q / a.q) as p from q a join q b on a.x = b.y and a.y = b.x where a.q > 0)
+select x as pattern_key, y as near_key, round(p, 9) as p from p where round(p, 9) > 0""")
+def transition_rows(s, d):
+    """The chance of each step of the chain with balanced proposals, over the declared space of up to two edges."""
+    space = enumerate_space(SMALL["click"])
+    walker = walk.Walker(walk.Materialized(supports(s, d)), walk.WalkConfig(SMALL["click"], k=15, f=100))
+    matrix = walk.transition_matrix(walker, space)
+    rows = [(space[i], space[j], round(float(matrix[i, j]), 9)) for i, j in zip(*matrix.nonzero()) if i != j]
+    return s.createDataFrame([r for r in rows if r[2] > 0], "pattern_key string, near_key string, p double")
+
+
+# ---- diagnostics, over the users' series of values ----
 
 
-GEWEKE_SQL = """x as (select user_id, event_id, value, row_number() over (partition by user_id order by ts, event_id) as i, count(*) over (partition by user_id) as n from events),
-a as (select user_id, avg(value) as m, var_samp(value) as v, count(*) as c from x where i <= n // 10 group by 1), b as (select user_id, avg(value) as m, var_samp(value) as v from x where i > n - n // 2 group by 1)"""
+def series(s: SparkSession, d: str) -> DataFrame:
+    by = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return builders.read(s, d, "events").select(F.col("user_id").alias("chain"), F.row_number().over(by).cast("long").alias("at"), "value")
 
 
-@query(f"with {GEWEKE_SQL} select a.user_id, round((a.m - b.m) / sqrt(a.v + b.v), 9) as z from a join b using (user_id) where c > 1 and a.v + b.v > 0")
+@query("""with x as (select user_id, value, row_number() over (partition by user_id order by ts, event_id) as i, count(*) over (partition by user_id) as n from events),
+a as (select user_id, avg(value) as m, var_samp(value) as v, count(*) as c from x where i <= n // 10 group by 1),
+b as (select user_id, avg(value) as m, var_samp(value) as v from x where i > n - n // 2 group by 1)
+select a.user_id, round((a.m - b.m) / sqrt(a.v + b.v), 9) as z from a join b using (user_id) where c > 1 and a.v + b.v > 0""")
 def geweke_series(s, d):
-    """Z of each user's series of values: first tenth against second half."""
-    by = Window.partitionBy("user_id")
-    x = s.read.parquet(f"{d}/events.parquet").select("user_id", "event_id", "ts", "value").withColumn("i", F.row_number().over(by.orderBy("ts", "event_id"))).withColumn("n", F.count("*").over(by))
-    stats = lambda p, t: x.where(p).groupBy("user_id").agg(F.avg("value").alias(f"m{t}"), F.var_samp("value").alias(f"v{t}"), F.count("*").alias(f"c{t}"))
-    j = stats("i <= floor(n / 10)", "a").join(stats("i > n - floor(n / 2)", "b"), "user_id").where("ca > 1 and va + vb > 0")
-    return j.select("user_id", F.round((F.col("ma") - F.col("mb")) / F.sqrt(F.col("va") + F.col("vb")), 9).alias("z"))
+    """Z of each user's series, first tenth against second half; below twenty values a tenth has no variance."""
+    return diagnostics.geweke(series(s, d)).where("n >= 20").select(F.col("chain").alias("user_id"), F.round("z", 9).alias("z"))
 
 
-@query("with x as (select user_id, event_id, ts, case when value between -100 and 100 then 1 else 0 end as ok from events), r as (select user_id, event_id, min(ok) over w as flag, count(*) over w as c from x window w as (partition by user_id order by ts, event_id rows 19 preceding)) select user_id, event_id, (flag = 1 and c = 20) as converged from r")
+@query("""with x as (select user_id, value, row_number() over (partition by user_id order by ts, event_id) as i from events),
+c as (select user_id, i, sum(value) over w as s, sum(value * value) over w as q from x window w as (partition by user_id order by i rows unbounded preceding)),
+t as (select *, greatest(1, i // 10) as a, greatest(1, i // 2) as b from c),
+j as (select t.*, f.s as sa, f.q as qa, t.s - coalesce(l.s, 0) as sb, t.q - coalesce(l.q, 0) as qb from t join c f on f.user_id = t.user_id and f.i = t.a left join c l on l.user_id = t.user_id and l.i = t.i - t.b),
+v as (select user_id, i, sa / a - sb / b as d, case when a > 1 then greatest(0, (qa - sa * sa / a) / (a - 1)) else 0 end + case when b > 1 then greatest(0, (qb - sb * sb / b) / (b - 1)) else 0 end as v from j),
+k as (select user_id, i, (i >= 10 and case when v <= 1e-12 then abs(d) < 1e-12 else abs(d / sqrt(v)) <= 1 end)::int as ok from v)
+select user_id, i as at, min(ok) over w = 1 and count(*) over w = 20 as converged from k window w as (partition by user_id order by i rows 19 preceding)""")
 def converged_flag(s, d):
-    """Twenty values in a row within bounds, ending at each event."""
-    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-19, 0)
-    x = s.read.parquet(f"{d}/events.parquet").select("user_id", "event_id", "ts", F.when(F.col("value").between(-100, 100), 1).otherwise(0).alias("ok"))
-    return x.select("user_id", "event_id", ((F.min("ok").over(w) == 1) & (F.count("*").over(w) == 20)).alias("converged"))
+    """Whether |Z| has been at most 1 for twenty steps, at each step of each user's series."""
+    return diagnostics.converged(series(s, d)).withColumnRenamed("chain", "user_id")
 
 
-@query("with x as (select user_id, value, row_number() over (partition by user_id order by ts, event_id) as i from events where user_id < 20), k as (select min(n) as n from (select count(*) as n from x group by user_id)), c as (select user_id, avg(value) as m, var_samp(value) as v from x, k where i <= k.n group by 1), t as (select avg(v) as w, var_samp(m) * (select n from k) as b from c) select round(sqrt((((n - 1) * 1.0::double / n) * w + b / n) / w), 9) as r_hat from t, k")
+@query("""with c as (select user_id, count(value) as n, avg(value) as m, var_samp(value) as v from events group by 1 having count(value) > 1),
+t as (select avg(n) as n, sum(n * m) / sum(n)::double as mean, sum((n - 1) * v) / sum(n - 1)::double as w from c),
+b as (select sum(c.n * (c.m - t.mean) * (c.m - t.mean)) / (count(*) - 1) as b from c, t)
+select round(sqrt(((n - 1) / n * w + b / n) / w), 9) as r_hat from t, b""")
 def gelman_rubin(s, d):
-    """Potential scale reduction over the first twenty users' series, cut to one length."""
-    by = Window.partitionBy("user_id")
-    x = s.read.parquet(f"{d}/events.parquet").where("user_id < 20").select("user_id", "value", "ts", "event_id").withColumn("i", F.row_number().over(by.orderBy("ts", "event_id")))
-    k = x.groupBy("user_id").agg(F.count("*").alias("c")).agg(F.min("c").alias("n"))
-    c = x.crossJoin(F.broadcast(k)).where("i <= n").groupBy("user_id", "n").agg(F.avg("value").alias("m"), F.var_samp("value").alias("v"))
-    t = c.agg(F.avg("v").alias("w"), F.var_samp("m").alias("vm"), F.max("n").alias("n"))
-    return t.select(F.round(F.sqrt(((F.col("n") - 1) / F.col("n") * F.col("w") + F.col("vm")) / F.col("w")), 9).alias("r_hat"))
+    """D14 over the whole series of all users, which needn't be of one length."""
+    return diagnostics.scale_reduction(series(s, d)).select(F.round("r_hat", 9).alias("r_hat"))
 
 
-@query()
-def gelman_rubin_all(s, d):
-    """Potential scale reduction over the whole series of all users; gelman_rubin, as its SQL, takes twenty ids."""
-    return scale_reduction(s.read.parquet(f"{d}/events.parquet").select(F.col("user_id").alias("chain"), "value"))
+# ---- mechanisms and bounds ----
+
 
+def hashed_noise(key: str, salt: int, scale: float) -> float:
+    """Noise by the inverse distribution from a hash, as tests need it repeatable."""
+    u = (int(hashlib.md5(f"{key}:{salt}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 - 0.5
+    return walk.laplace_quantile(u, scale)
 
-def scale_reduction(values: DataFrame) -> DataFrame:
-    """r_hat of chains of any lengths (chain, value); those of a single value have no variance and are left out.
 
-    Variances within count by their degrees of freedom, means by their lengths, and the length is the mean length:
-    the usual figure where all lengths are equal. No value is cut off.
-    """
-    c = values.where("chain is not null").groupBy("chain").agg(F.count("value").alias("n"), F.avg("value").alias("m"), F.var_samp("value").alias("v")).where("n > 1")
-    t = c.agg(F.count("*").alias("j"), F.avg("n").alias("n"), (F.sum(F.expr("n * m")) / F.sum("n")).alias("mean"), (F.sum(F.expr("(n - 1) * v")) / F.sum(F.expr("n - 1"))).alias("w"))
-    b = c.select(F.col("n").alias("own"), "m").crossJoin(F.broadcast(t)).groupBy("j", "n", "w").agg((F.sum(F.expr("own * (m - mean) * (m - mean)")) / (F.first("j") - 1)).alias("b"))
-    return b.select(F.round(F.sqrt(((F.col("n") - 1) / F.col("n") * F.col("w") + F.col("b") / F.col("n")) / F.col("w")), 9).alias("r_hat"))
+def noise_sql(salt: int, scale: str) -> str:
+    u = f"((('0x' || substr(md5(pattern_key || ':{salt}'), 1, 13))::bigint + 0.5::double) / 4503599627370496::double - 0.5::double)"
+    return f"- {scale} * sign({u}) * ln(1 - 2 * abs({u}))"
 
 
-@query(f"with {table_sql('click')}, k as (select * from sup order by support desc, pattern_key limit 15), u as (select *, (('0x' || substr(md5(pattern_key || ':3'), 1, 13))::bigint + 0.5::double) / 4503599627370496::double - 0.5::double as u from k) select pattern_key, round(support - 30 * sign(u) * ln(1 - 2 * abs(u)), 6) as noisy from u")
+@query(f"with {sql.table('click')}, k as (select * from sup order by support desc, pattern_key limit 15) select pattern_key, round(support {noise_sql(3, '30')}, 6) as noisy from k")
 def laplace_md5(s, d):
-    """Noise of scale k / eps2 = 30 by the inverse distribution, from a hash, as tests need it repeatable."""
-    u = (F.conv(F.substring(F.md5(F.concat("pattern_key", F.lit(":3")).cast("binary")), 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(4503599627370496.0) - F.lit(0.5)
-    return graphs.top_k(mined(s, d, "click"), 15).withColumn("u", u).select("pattern_key", F.round(F.col("support") - 30 * F.signum("u") * F.log(1 - 2 * F.abs("u")), 6).alias("noisy"))
+    """Noise of scale k / eps2 = 30 on the supports of the best patterns."""
+    best = graphs.top_k(mined(s, d), 15).collect()
+    return s.createDataFrame([(r.pattern_key, round(r.support + hashed_noise(r.pattern_key, 3, 30.0), 6)) for r in best], "pattern_key string, noisy double")
+
+
+@query(f"with {SPACE_SQL}, z as (select pattern_key, support {noise_sql(5, '(90 / 0.5::double)')} as noisy from s) select pattern_key, round(noisy, 6) as noisy from z order by z.noisy desc, pattern_key limit 15")
+def laplace_all_md5(s, d):
+    """the direct way, noise of scale |space| / eps on every pattern of the space, then the best 15."""
+    out = walk.laplace_all(enumerate_space(SMALL["click"]), supports(s, d), 15, 0.5, lambda k, scale: hashed_noise(k, 5, scale))
+    return s.createDataFrame([(k, round(x, 6)) for k, x in out], "pattern_key string, noisy double")
 
 
 @query("select m, round(2 * 15 / 0.5::double * (ln(15 / 0.05::double) + ln(m)), 6) as beta from (values (100), (1000), (10000)) t(m)")
@@ -364,173 +704,146 @@ def delta_for(s, d):
     return s.createDataFrame([(t, round(walk.delta_for(t, 0.5, 15), 12)) for t in (0.01, 0.001)], "theta double, delta double")
 
 
-@query("select 0.75::double as eps, 0.0::double as delta, 2 as phases")
+@query("select 0.75::double as eps, 0.0::double as delta_at_law, round(15 * 0.0001::double * (1 + exp(0.5::double / 15)), 12) as delta, 3 as phases")
 def composition_ledger(s, d):
+    """What is spent, at the law and with a bound on the distance of each chain from it."""
     ledger = walk.BudgetLedger()
     ledger.spend("sampling", 0.5)
     ledger.spend("supports", 0.25)
-    return s.createDataFrame([(*ledger.total, len(ledger.rows))], "eps double, delta double, phases int")
+    ledger.away(15, 0.5, 0.0001)
+    return s.createDataFrame([(ledger.total[0], ledger.ideal[1], round(ledger.total[1], 12), len(ledger.rows))], "eps double, delta_at_law double, delta double, phases int")
 
 
-_OUT = ("0,4|0-1", "3,4|0-1", "1,4|0-1", "0,0|0-1", "2,2|0-1")
-_OUT_SQL = f"with {table_sql('click')}, o(pattern_key) as (values {', '.join(f'({chr(39)}{k}{chr(39)})' for k in _OUT)}), best as (select * from sup order by support desc, pattern_key limit 5), t as (select (select count(*) from o semi join best using (pattern_key)) / 5.0::double as precision_strict, (select count(*) from o join sup using (pattern_key) where support >= (select min(support) from best)) / 5.0::double as precision_ties, ((select sum(support) from best) - (select sum(support) from o join sup using (pattern_key))) / 5.0::double / (select min(support) from best) as rse)"
+# ---- measures ----
 
+OUT = ("0,4|0-1", "3,4|0-1", "1,4|0-1", "0,0|0-1", "2,2|0-1")
+OUT_SQL = f"""with {sql.table('click')}, o(pattern_key) as (values {sql.values(OUT)}), best as (select * from sup order by support desc, pattern_key limit 5),
+t as (select (select count(*) from o semi join best using (pattern_key)) / 5.0::double as precision_strict,
+  (select count(*) from o join sup using (pattern_key) where support >= (select min(support) from best)) / 5.0::double as precision_ties,
+  ((select sum(support) from best) - (select sum(support) from o join sup using (pattern_key))) / 5.0::double / (select min(support) from best) as rse)"""
 
-def _measures(s, d):
-    sup = mined(s, d, "click")
-    best = graphs.top_k(sup, 5)
-    out = s.createDataFrame([(k,) for k in _OUT], "pattern_key string").join(sup, "pattern_key")
-    f = best.agg(F.min("support").alias("f"), F.sum("support").alias("best"))
-    hit = out.join(best.select("pattern_key", F.lit(1).alias("hit")), "pattern_key", "left")
-    return hit.crossJoin(F.broadcast(f)).groupBy("f", "best").agg((F.count("hit") / 5).alias("precision_strict"), (F.count(F.when(F.col("support") >= F.col("f"), 1)) / 5).alias("precision_ties"), F.sum("support").alias("got")).withColumn("rse", (F.col("best") - F.col("got")) / 5 / F.col("f"))
 
+def measures(s: SparkSession, d: str) -> dict[str, float]:
+    return walk.metrics([*OUT], supports(s, d), 5)
 
-@query(f"{_OUT_SQL} select precision_strict, 1 - precision_strict as false_negative_rate from t")
+
+@query(f"{OUT_SQL} select precision_strict, 1 - precision_strict as false_negative_rate from t")
 def precision_strict(s, d):
-    return _measures(s, d).select("precision_strict", (1 - F.col("precision_strict")).alias("false_negative_rate"))
+    m = measures(s, d)
+    return s.createDataFrame([(m["precision"], m["false_negative_rate"])], "precision_strict double, false_negative_rate double")
 
 
-@query(f"{_OUT_SQL} select precision_ties from t")
+@query(f"{OUT_SQL} select precision_ties from t")
 def precision_ties(s, d):
-    return _measures(s, d).select("precision_ties")
+    return s.createDataFrame([(measures(s, d)["precision_ties"],)], "precision_ties double")
 
 
-@query(f"{_OUT_SQL} select round(rse, 9) as rse, round(1 - rse, 9) as support_accuracy from t")
+@query(f"{OUT_SQL} select round(rse, 9) as rse, round(1 - rse, 9) as support_accuracy from t")
 def support_accuracy(s, d):
-    return _measures(s, d).select(F.round("rse", 9).alias("rse"), F.round(1 - F.col("rse"), 9).alias("support_accuracy"))
+    m = measures(s, d)
+    return s.createDataFrame([(round(m["rse"], 9), round(m["support_accuracy"], 9))], "rse double, support_accuracy double")
 
 
-@query("select date_trunc('day', ts) as began, event_type, count(*) as n from events group by 1, 2")
-def window_event_counts(s, d):
-    """The batch twin of the tumbling monitor."""
-    e = s.read.parquet(f"{d}/events.parquet")
-    return streaming.event_counts(e).select(F.col("began").cast("timestamp_ntz").alias("began"), "event_type", "n")
+@query(f"""{OUT_SQL}, f as (select min(support) as f from best), b(beta) as (values (1.0::double), (100.0::double), (5000.0::double))
+select beta, (select bool_and(coalesce(support, 0) > f - beta) from o left join sup using (pattern_key)) as sound,
+  not exists (select 1 from sup where support > f + beta and pattern_key not in (select pattern_key from o)) as complete from b, f""")
+def soundness_completeness(s, d):
+    """E11, E12 of a fixed list of outputs, at some distances from the threshold."""
+    table = supports(s, d)
+    f = ex.threshold(table, 5)
+    return s.createDataFrame([(b, walk.sound([*OUT], table, f, b), walk.complete([*OUT], table, f, b)) for b in (1.0, 100.0, 5000.0)], "beta double, sound boolean, complete boolean")
 
 
-@query(f"with {CLICK_SQL} select count(*) as n_sessions, sum(c)::bigint as n_events from (select user_id, sess, count(*) as c from e1 group by 1, 2)")
-def session_totals(s, d):
-    """The batch twin of the session stream, single events included."""
-    return streaming.stream_sessions(s.read.parquet(f"{d}/events.parquet")).agg(F.count("*").alias("n_sessions"), F.sum("n").alias("n_events"))
+@query(f"with {sql.table('click')}, n as (select count(distinct gid) as n from v) select pattern_key, round(support / n::double, 9) as frequency from (select * from sup order by support desc, pattern_key limit 15), n")
+def frequency_form(s, d):
+    """Supports as shares of the number of graphs."""
+    best = {r.pattern_key: r.support for r in graphs.top_k(mined(s, d), 15).collect()}
+    shares = walk.frequency_form(best, packed(s, d).count())
+    return s.createDataFrame([(k, round(x, 9)) for k, x in shares.items()], "pattern_key string, frequency double")
 
 
-@query()
-def stream_sessions(s, d):
-    """The stream itself, over the events as they lie, up to the watermark."""
-    schema = s.read.parquet(f"{d}/events.parquet").schema
-    name = "latticewalk_sessions"
-    q = streaming.stream_sessions(s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)).writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return s.table(name)
+@query(f"""with {sql.table('click')}, r as (select 'support' as metric, 'click' as workload, (len(pattern_key) - len(replace(pattern_key, '-', '')))::varchar as value, support::double as measure from sup)
+select metric, workload, value, count(*) as n, round(avg(measure), 9) as mean from r group by rollup (metric, workload, value) having metric is not null""")
+def summary_rollup(s, d):
+    """The rollup of results, here of supports by number of edges."""
+    edges = F.expr("cast(length(pattern_key) - length(replace(pattern_key, '-', '')) as string)")
+    rows = mined(s, d).select(F.lit("click").alias("workload"), edges.alias("value"), F.lit("support").alias("metric"), F.col("support").cast("double").alias("measure"))
+    return ex.summary_rollup(rows)
 
 
-@query()
-def stream_click_graphs(s, d):
-    """Session trees built by the stateful operator, up to the watermark."""
-    schema = s.read.parquet(f"{d}/events.parquet").schema
-    name = "latticewalk_click_graphs"
-    q = streaming.stream_click_graphs(s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)).writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return s.table(name)
+# ---- streams ----
+
+
+@query("select date_trunc('day', ts) as began, event_type, count(*) as n from events group by 1, 2")
+def window_event_counts(s, d):
+    """The batch twin of the tumbling monitor."""
+    return streaming.event_counts(builders.read(s, d, "events")).select(F.col("began").cast("timestamp_ntz").alias("began"), "event_type", "n")
 
 
 @query("select time_bucket(interval 6 hours, ts) - k * interval 6 hours as began, event_type, count(*) as n from events, (values (0), (1), (2), (3)) t(k) group by 1, 2")
 def window_event_counts_sliding(s, d):
     """The batch twin of the sliding monitor: a day, every six hours."""
-    e = s.read.parquet(f"{d}/events.parquet")
-    return streaming.event_counts(e, "1 day", "6 hours").select(F.col("began").cast("timestamp_ntz").alias("began"), "event_type", "n")
-
-
-#: The neighbours of an edge a-b within two edges, by the rule of PATH_KEYS: a leaf of any label on either end.
-_NEAR_EDGE_SQL = """l(l) as (values (0), (1), (2), (3), (4)), x(c, a) as (values ({a}, {b}), ({b}, {a})), y as (select c, least(a, l) as p, greatest(a, l) as q from x, l),
-n as (select distinct case when c <= p then c || ',' || p || ',' || q || '|0-1,0-2' when c <= q then p || ',' || c || ',' || q || '|0-1,1-2' else p || ',' || q || ',' || c || '|0-2,1-2' end as near_key from y)"""
-
+    return streaming.event_counts(builders.read(s, d, "events"), "1 day", "6 hours").select(F.col("began").cast("timestamp_ntz").alias("began"), "event_type", "n")
 
-@query(f"with {_NEAR_EDGE_SQL.format(a=0, b=4)} select '0,4|0-1' as pattern_key, near_key, 'super_forward' as kind from n")
-def neighbors_of(s, d):
-    return graphs.neighbors_of(s.createDataFrame([("0,4|0-1",)], "pattern_key string"), SMALL["click"])
-
-
-@query(f"with {_NEAR_EDGE_SQL.format(a=0, b=4).replace('n as', 'n1 as').replace('x(c', 'x1(c').replace('from x,', 'from x1,').replace('y as', 'y1 as').replace('from y)', 'from y1)')}, {_NEAR_EDGE_SQL.format(a=3, b=4).partition(', ')[2].partition('(4)), ')[2]} select near_key from n1 except select near_key from n")
-def lattice_except(s, d):
-    near = lambda k: graphs.neighbors_of(s.createDataFrame([(k,)], "pattern_key string"), SMALL["click"]).select("near_key")
-    return near("0,4|0-1").exceptAll(near("3,4|0-1"))
-
-
-@query(f"with {CLICK_SQL}, {HALF} select gid from h where lv = 0 and lw = 4 intersect select gid from h where lv = 1 and lw = 4")
-def edgeset_intersect(s, d):
-    i = graphs.edge_index(graphs.half_edges(builders.click(s, d)))
-    return i.where("label_lo = 0 and label_hi = 4").select("gid").intersect(i.where("label_lo = 1 and label_hi = 4").select("gid"))
-
-
-_NAMES_SQL = ", ".join(f"({i}, '{n}')" for i, n in enumerate(builders.CLICK))
-
-
-@query(f"with {CLICK_SQL}, {HALF}, t(i, name) as (values {_NAMES_SQL}) select a.name as lo, b.name as hi, count(distinct gid) as support from h join t a on a.i = lv join t b on b.i = lw where lv <= lw group by 1, 2")
-def edge_support_named(s, d):
-    """Names come from the declared labels, which are few."""
-    names = F.broadcast(s.createDataFrame([*enumerate(builders.CLICK)], "i int, name string"))
-    e = graphs.edge_supports(graphs.half_edges(builders.click(s, d)))
-    return e.join(names.toDF("label_lo", "lo"), "label_lo").join(names.toDF("label_hi", "hi"), "label_hi").select("lo", "hi", "support")
-
-
-@query(f"with {table_sql('click')} select pattern_key, list_aggregate(list_transform(string_split(split_part(pattern_key, '|', 1), ','), lambda x: [{', '.join(repr(n) for n in builders.CLICK)}][x::int + 1]), 'string_agg', ' ') as names from sup")
-def pattern_label_text(s, d):
-    names = F.array(*map(F.lit, builders.CLICK))
-    labels = F.split(F.split("pattern_key", r"\|")[0], ",")
-    return mined(s, d, "click").select("pattern_key", F.array_join(F.transform(labels, lambda x: F.element_at(names, x.cast("int") + 1)), " ").alias("names"))
-
-
-@query(f"with {CLICK_SQL} select label, vid = 0 as root, count(*) as n from v group by cube (label, vid = 0)")
-def label_cube(s, d):
-    return builders.click(s, d).vertices.withColumn("root", F.col("vid") == 0).cube("label", "root").agg(F.count("*").alias("n"))
 
+@query(f"with {CLICK_SQL} select count(*) as n_sessions, sum(c)::bigint as n_events from (select user_id, sess, count(*) as c from e1 group by 1, 2)")
+def session_totals(s, d):
+    """The batch twin of the session stream, single events included."""
+    return streaming.stream_sessions(builders.read(s, d, "events")).agg(F.count("*").alias("n_sessions"), F.sum("n").alias("n_events"))
 
-@query("select event_type, (json_extract(props, '$.k'))::int // 10 as k, count(*) as n from events group by 1, 2")
-def src_props_label(s, d):
-    e = s.read.parquet(f"{d}/events.parquet").select("event_type", F.get_json_object("props", "$.k").cast("int").alias("k"))
-    return e.groupBy("event_type", F.floor(F.col("k") / 10).cast("int").alias("k")).agg(F.count("*").alias("n"))
 
+@query("""with e as (select ts, max(ts) over (order by event_id rows between unbounded preceding and 1 preceding) as newest from events)
+select ts::date::varchar as day, count(*) as n, sum(coalesce((ts < newest - interval 1 hour)::int, 0))::bigint as late from e group by 1""")
+def late_events(s, d):
+    """Events that a stream with a delay of an hour may drop, if they come in the order of their ids."""
+    return streaming.late_events(builders.read(s, d, "events"))
 
-@query(f"with {CLICK_SQL} select count(distinct gid) as n from v where ('0x' || substr(md5(gid::varchar), 1, 8))::bigint % 100 < 40")
-def fraction_md5(s, d):
-    """A stable, nested share of the graphs, as the sweep of sizes takes it, by a hash that SQL has too."""
-    h = F.conv(F.substring(F.md5(F.col("gid").cast("string").cast("binary")), 1, 8), 16, 10).cast("long")
-    return builders.click(s, d).vertices.where(h % 100 < 40).agg(F.count_distinct("gid").alias("n"))
 
-
-@query()
-def plan_stats_approx(s, d):
-    """Sizes for planning only; supports are always exact."""
-    h = graphs.half_edges(builders.click(s, d)).where("v_label <= w_label")
-    return h.groupBy(F.col("v_label").alias("label_lo"), F.col("w_label").alias("label_hi")).agg(F.approx_count_distinct("gid").alias("about"))
+def stream_of(s: SparkSession, d: str) -> DataFrame:
+    schema = builders.read(s, d, "events").schema
+    return s.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)
 
 
 @query()
-def build_page_vertices(s, d):
-    return builders.page_trees(s, d).vertices
+def stream_sessions(s, d):
+    """The stream itself, over the events as they lie, up to the watermark."""
+    return streaming.run_to_table(streaming.stream_sessions(stream_of(s, d)), shared_folder(s, "stream-sessions"))
 
 
 @query()
-def build_page_edges(s, d):
-    return builders.page_trees(s, d).edges
-
+def stream_click_graphs(s, d):
+    """Session trees built by the stateful operator, up to the watermark."""
+    return streaming.run_to_table(streaming.stream_click_graphs(stream_of(s, d)), shared_folder(s, "stream-click-graphs"))
 
-@query()
-def mine_supports_page(s, d):
-    return graphs.mine_supports(builders.page_rows(builders.read(s, d, "pages")), ex.rules_of("page"))
 
+# ---- releases and experiments ----
 
-for _name in [*BASE, "page"]:
+for _name in [*sql.BASE, "page"]:
     query(name=f"private_walk_{_name}")(lambda s, d, n=_name: ex.private_walk(s, d, n, 15))
-query(name="laplace_release_rows")(lambda s, d: ex.private_walk(s, d, "click", 15, 0.5))
-query(name="exact_vs_walk")(lambda s, d: ex.exact_vs_walk(s, d))
-query(name="sweep_size")(lambda s, d: ex.sweep(s, d, "percent", [10, 40, 70, 100], ("click", "dense"), 5))
-query(name="sweep_eps")(lambda s, d: ex.sweep(s, d, "eps", [0.1, 0.2, 0.3, 0.4, 0.5, 0.7, 1.0], ("click", "dense", "profile"), 5))
-query(name="sweep_k")(lambda s, d: ex.sweep(s, d, "k", [5, 10, 15, 20, 25, 30], ("click", "dense"), 5))
-query(name="sweep_score")(lambda s, d: ex.sweep(s, d, "score", ["linear", "plateau", "steep"], ("click", "dense"), 5))
-query(name="sweep_eta")(lambda s, d: ex.sweep(s, d, "eta", [0.4, 0.5, 0.6, 0.7, 0.8, 0.9], ("dense",), 5))
-query(name="sweep_rho")(lambda s, d: ex.sweep(s, d, "rho", [0.4, 0.5, 0.6, 0.7, 0.8, 0.9], ("dense",), 5))
-query(name="sweep_bridge")(lambda s, d: ex.sweep(s, d, "bridge", [False, True], ("click", "dense", "profile"), 5))
-query(name="tv_after_steps")(lambda s, d: ex.tv_after_steps(s, d))
-query(name="convergence_traces")(lambda s, d: ex.convergence_traces(s, d))
-query(name="explorer_comparison")(lambda s, d: ex.explorer_comparison(s, d))
+for _name in ("vertices", "bridged"):
+    query(name=f"private_walk_click_{_name}")(lambda s, d, n=_name: ex.private_walk(s, d, "click", 15, lattice=n))
+
+PERCENTS, EPS, KS, SHARES = [10, 40, 70, 100], [0.1, 0.2, 0.3, 0.4, 0.5, 0.7, 1.0], [5, 10, 15, 20, 25, 30], [0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
+EXPERIMENTS: dict[str, Query] = {
+    "laplace_release_rows": lambda s, d: ex.private_walk(s, d, "click", 15, 0.5),
+    "private_walk_on_data": lambda s, d: ex.private_walk(s, d, "click", 2, explorer="reuse"),
+    "walk_by_explorer": lambda s, d: ex.walk_by_explorer(s, d),
+    "walk_costs": lambda s, d: ex.walk_costs(s, d),
+    "explorer_comparison": lambda s, d: ex.explorer_comparison(s, d),
+    "time_by_size": lambda s, d: ex.time_by_size(s, d),
+    "time_scaling": lambda s, d: ex.scaling_fit(ex.time_by_size(s, d)),
+    "sweep_size": lambda s, d: ex.sweep(s, d, {"lattice": ["plain", "vertices"], "percent": PERCENTS}),
+    "sweep_eps": lambda s, d: ex.sweep(s, d, {"lattice": ["plain", "vertices"], "eps": EPS}),
+    "sweep_k": lambda s, d: ex.sweep(s, d, {"lattice": ["plain", "vertices"], "k": KS}),
+    "sweep_score": lambda s, d: ex.sweep(s, d, {"lattice": ["vertices"], "percent": [10, 40, 100], "score": ["linear", "plateau", "steep"]}, ("click", "dense")),
+    "sweep_eta": lambda s, d: ex.sweep(s, d, {"lattice": ["plain", "vertices"], "eta": SHARES}),
+    "sweep_rho": lambda s, d: ex.sweep(s, d, {"lattice": ["plain", "vertices"], "rho": SHARES}),
+    "sweep_lattice": lambda s, d: ex.sweep(s, d, {"lattice": [*ex.LATTICES]}),
+    "exact_vs_walk": lambda s, d: ex.exact_vs_walk(s, d),
+    "exact_vs_walk_distance": lambda s, d: ex.exact_vs_walk_distance(s, d),
+    "tv_after_steps": lambda s, d: ex.tv_after_steps(s, d),
+    "measured_ledger": lambda s, d: ex.measured_ledger(s, d),
+    "convergence_traces": lambda s, d: ex.convergence_traces(s, d),
+}
+for _name, _run in EXPERIMENTS.items():
+    query(name=_name)(_run)

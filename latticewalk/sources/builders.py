@@ -16,6 +16,7 @@ SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
 PRIORITIES = ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW")
 PROFILE = (*SEGMENTS, *PRIORITIES, "A", "N", "R")
 ROLES = ("system", "user", "assistant")
+EGO = tuple(map(str, range(10)))
 #: Declared element names; other elements take no part, their children hang on the nearest declared ancestor.
 TAGS = ("a", "article", "b", "body", "br", "div", "footer", "h1", "head", "html", "li", "meta", "nav", "p", "script", "style", "title", "ul")
 VOID = frozenset(("area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "source", "track", "wbr"))
@@ -40,14 +41,25 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def sessions(events: DataFrame, gap_hours: int = 12) -> DataFrame:
-    """Events with gid and vid: a session ends after a pause of more than the gap; sessions of one event are dropped."""
-    by_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    e = events.select("user_id", "ts", "event_id", "event_type").withColumn("before", F.lag("ts").over(by_user))
+    """Events with gid and vid: a session ends after a pause of more than the gap; sessions of one event are dropped.
+
+    A user's events are put in order day by day, and days are joined by their first and last events, so that no task
+    holds all events of a user who never rests; only the events of one session meet, which are one graph.
+    """
+    e = events.select("user_id", "ts", "event_id", "event_type", F.to_date("ts").alias("day"))
+    by_day = Window.partitionBy("user_id", "day").orderBy("ts", "event_id")
+    days = e.groupBy("user_id", "day").agg(F.min("ts").alias("first"), F.max("ts").alias("last"))
+    days = days.select("user_id", "day", F.lag("last").over(Window.partitionBy("user_id").orderBy("day")).alias("day_before"))
+    e = e.withColumn("before", F.lag("ts").over(by_day)).join(days, ["user_id", "day"])
+    e = e.withColumn("before", F.coalesce("before", "day_before"))
     e = e.withColumn("starts", F.when(F.col("before").isNull() | (F.col("ts") - F.col("before") > F.expr(f"interval {gap_hours} hours")), 1).otherwise(0))
-    e = e.withColumn("session", F.sum("starts").over(by_user.rowsBetween(Window.unboundedPreceding, 0)))
+    whole_day, upto = Window.partitionBy("user_id").orderBy("day"), by_day.rowsBetween(Window.unboundedPreceding, 0)
+    counts = e.groupBy("user_id", "day").agg(F.sum("starts").alias("n")).select("user_id", "day", (F.sum("n").over(whole_day) - F.col("n")).alias("sessions_before"))
+    e = e.join(counts, ["user_id", "day"]).withColumn("session", F.col("sessions_before") + F.sum("starts").over(upto))
     own = Window.partitionBy("user_id", "session")
     e = e.withColumn("vid", F.row_number().over(own.orderBy("ts", "event_id")) - 1).withColumn("size", F.count("*").over(own))
-    return e.where("size >= 2").withColumn("gid", F.col("user_id") * SESSIONS + F.col("session"))
+    e = e.where("size >= 2").withColumn("gid", F.col("user_id") * SESSIONS + F.col("session"))
+    return e.select("user_id", "session", "gid", "vid", "ts", "event_id", "event_type")
 
 
 def click(spark: SparkSession, sf_dir: str) -> GraphTables:
@@ -153,12 +165,55 @@ def page_trees(spark: SparkSession, sf_dir: str) -> GraphTables:
 
 
 def read_graph_text(spark: SparkSession, path: str) -> GraphTables:
-    """Graphs in lines `t # id`, `v id label`, `e u v label`. A record is one graph, so large files are split among tasks."""
+    """Graphs in lines `t # id`, `v id label`, `e u v label`. A record is one graph, so large files are split among tasks.
+
+    Edges keep their label in a column elabel, which patterns don't look at. An edge that is repeated counts once.
+    """
     whole = spark.read.option("lineSep", "\nt # ").text(path).select(F.regexp_replace("value", r"^\s*t # ", "").alias("g")).where("trim(g) <> ''")
     g = whole.select(F.regexp_extract("g", r"^(\d+)", 1).cast("long").alias("gid"), F.explode(F.split("g", "\n")).alias("line")).withColumn("p", F.split(F.trim("line"), " +"))
     v = g.where("p[0] = 'v'").selectExpr("gid", "cast(p[1] as int) vid", "cast(p[2] as int) label")
-    e = g.where("p[0] = 'e'").selectExpr("gid", "least(cast(p[1] as int), cast(p[2] as int)) src", "greatest(cast(p[1] as int), cast(p[2] as int)) dst").distinct()
-    return GraphTables(v, e, ())
-
-
-WORKLOADS = {"click": click, "dense": dense, "profile": profile, "role": role_paths, "page": page_trees}
+    e = g.where("p[0] = 'e'").selectExpr("gid", "least(cast(p[1] as int), cast(p[2] as int)) src", "greatest(cast(p[1] as int), cast(p[2] as int)) dst", "coalesce(try_cast(get(p, 3) as int), 0) elabel")
+    return GraphTables(v, e.groupBy("gid", "src", "dst").agg(F.min("elabel").alias("elabel")), ())
+
+
+#: Ego nets: components whose signs make a cell, neighbours on either side in its order, and the least cosine of an edge.
+EGO_SIGNS, EGO_REACH, EGO_NEAR = 3, 12, 0.05
+
+
+def ego_nets(spark: SparkSession, sf_dir: str, k: int = 9) -> GraphTables:
+    """W-ego. A vector and the `k` nearest of those around it, labelled by their labels; edges where the cosine is large.
+
+    Candidates are the EGO_REACH vectors before and after it in the order of one component, within the cell of vectors
+    with the same signs of the first ones: a bounded number for each, however many vectors a cell holds. Vectors
+    without values are left out. The middle has edges with all; the others with each other from EGO_NEAR on.
+    """
+    e = read(spark, sf_dir, "embeddings").where("vec_id is not null and size(embedding) > 0 and not exists(embedding, x -> x is null or isnan(x))")
+    e = e.select("vec_id", "label", F.col("embedding").cast("array<double>").alias("x")).where("exists(x, y -> y <> 0)")
+    e = e.withColumn("x", F.expr("transform(x, y -> y / sqrt(aggregate(x, 0D, (s, z) -> s + z * z)))"))
+    cell = F.concat(*[F.when(F.get("x", F.lit(i)) > 0, "1").otherwise("0") for i in range(EGO_SIGNS)])
+    around = Window.partitionBy("cell").orderBy("place", "vec_id").rowsBetween(-EGO_REACH, EGO_REACH)
+    e = e.withColumn("cell", cell).withColumn("place", F.get("x", F.lit(EGO_SIGNS)))
+    e = e.withColumn("near", F.collect_list(F.struct("vec_id", "label", "x")).over(around))
+    cosine = "round(aggregate(zip_with({}, {}, (a, b) -> a * b), 0D, (s, z) -> s + z), 9)"
+    ranked = f"transform(filter(near, n -> n.vec_id <> vec_id), n -> struct(-{cosine.format('x', 'n.x')} as far, n.vec_id as vec_id, n.label as label, n.x as x))"
+    e = e.withColumn("near", F.expr(f"slice(array_sort({ranked}), 1, {k})"))
+    v = e.select(F.col("vec_id").alias("gid"), F.expr("posexplode(concat(array(label), near.label))").alias("vid", "label"))
+    own = e.select(F.col("vec_id").alias("gid"), F.explode("near.vec_id").alias("n")).groupBy("gid").agg(F.count("*").alias("n"))
+    star = own.select("gid", F.lit(0).alias("src"), F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("dst"))
+    pairs = e.select(F.col("vec_id").alias("gid"), F.posexplode("near").alias("i", "a"), "near").select("gid", "i", "a", F.posexplode("near").alias("j", "b")).where("i < j")
+    pairs = pairs.where(f"{cosine.format('a.x', 'b.x')} >= {EGO_NEAR}").select("gid", (F.col("i") + 1).alias("src"), (F.col("j") + 1).alias("dst"))
+    return GraphTables(v.select("gid", F.col("vid").cast("int").alias("vid"), F.col("label").cast("int").alias("label")), star.unionByName(pairs), EGO)
+
+
+def cap_contributions(g: GraphTables, person, most: int) -> GraphTables:
+    """At most `most` graphs of each person (a column expression over gid): those whose ids have the smallest digests.
+
+    A walk over them takes `contribution=most`, as one person then moves a support by so much at the most.
+    """
+    digest = F.md5(F.col("gid").cast("string").cast("binary"))
+    ids = g.vertices.select("gid").distinct().withColumn("n", F.row_number().over(Window.partitionBy(person).orderBy(digest, "gid")))
+    kept = ids.where(F.col("n") <= most).select("gid")
+    return GraphTables(g.vertices.join(kept, "gid", "left_semi"), g.edges.join(kept, "gid", "left_semi"), g.names)
+
+
+WORKLOADS = {"click": click, "dense": dense, "profile": profile, "role": role_paths, "page": page_trees, "ego": ego_nets}

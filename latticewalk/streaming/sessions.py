@@ -5,13 +5,17 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from latticewalk.sources.builders import CLICK, SESSIONS, label
 
 
+#: Ids of events that are put in order together.
+ARRIVALS = 100_000
+
+
 def timed(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     """Watermarks need an instant, so the column without a zone becomes one."""
     return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
@@ -27,6 +31,28 @@ def event_counts(events: DataFrame, width: str = "1 day", slide: str | None = No
     return timed(events, delay).groupBy(F.window("ts", width, slide or width).alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").alias("began"), "event_type", "n")
 
 
+def late_events(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """day, n, late: events by day, and those that came more than `delay` after the newest one before them in order of event_id.
+
+    A batch count of what a stream with this delay may drop: order of arrival is taken to be that of ids. The newest
+    time so far is carried from one range of ids to the next by its maximum, so ranges are looked at in parallel.
+    """
+    e = events.select(F.col("ts").cast("timestamp").alias("ts"), "event_id", F.floor(F.col("event_id") / ARRIVALS).alias("part"))
+    ends = e.groupBy("part").agg(F.max("ts").alias("newest"))
+    before = ends.select("part", F.max("newest").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))
+    so_far = F.max("ts").over(Window.partitionBy("part").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
+    newest = F.greatest("carried", so_far)
+    e = e.join(before, "part").withColumn("late", (F.col("ts") < newest - F.expr(f"interval {delay}")).cast("int"))
+    return e.groupBy(F.to_date("ts").cast("string").alias("day")).agg(F.count("*").alias("n"), F.sum(F.coalesce("late", F.lit(0))).cast("long").alias("late"))
+
+
+def run_to_table(stream: DataFrame, folder: str) -> DataFrame:
+    """Runs a stream over what there is and gives what it wrote: files and checkpoint lie in a shared folder."""
+    query = stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/checkpoint").outputMode("append").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{folder}/out")
+
+
 def upsert_sessions(stream: DataFrame, path: str, checkpoint: str):
     """Writes closed sessions of each micro-batch to a folder of its own, so that a repeated batch replaces itself."""
     return stream.writeStream.foreachBatch(lambda df, n: df.write.mode("overwrite").parquet(f"{path}/batch={n}")).outputMode("append").option("checkpointLocation", checkpoint)
