@@ -349,7 +349,7 @@ class Blocks:
         keep = passes(about, np.maximum(k, 1), self.percent)
         return a[keep], b[keep], about[keep]
 
-    def proposals(self, most: int) -> Iterator[pd.DataFrame]:
+    def proposals(self, most: float) -> Iterator[pd.DataFrame]:
         """The pairs to confirm; a block pair with more than `most` of them a member is one row without a pair instead."""
 
         def frame(a: np.ndarray, b: np.ndarray, group: np.ndarray) -> pd.DataFrame:
@@ -401,7 +401,7 @@ class Blocks:
         return out
 
 
-def cross_links(members: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int, block: int = 512, most: int = 8) -> DataFrame:
+def cross_links(members: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int, block: int = 512, most: float = 0.5) -> DataFrame:
     """Links (u, v) between the components (label) of members of one group: key, rep, label.
 
     Blocks hold sketches and give the pairs to confirm. A pair of blocks with more than `most` of them a member, such as

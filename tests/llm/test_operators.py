@@ -161,7 +161,7 @@ def test_near_duplicates_against_brute_force(spark, words):
     assert got == brute_components(dict(rows), words)
 
 
-@pytest.mark.parametrize("how", [{"block": 5}, {"block": 5, "most": 0}, {"most": 0}])
+@pytest.mark.parametrize("how", [{"block": 5}, {"block": 5, "most": 0}, {"most": 50}])
 def test_near_duplicates_in_small_and_crowded_blocks(spark, how):
     """Texts around the threshold, of which many share bands and few are linked; blocks are split, or resolved in place."""
     r, rows = random.Random(9), []
