@@ -43,11 +43,20 @@ STAGES = [("quality", keep_good), ("near_duplicates", drop_near_duplicates), ("m
 ORACLE_SQL = None
 
 
+def remove(spark: SparkSession, place: str) -> None:
+    """Deletes a folder in whatever store it lies."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(place)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """All stages over documents. A stage's folder is deleted once the next one is written; the last one's stays."""
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
         place = f"{checkpoint_dir(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
-        docs.write.parquet(place)
+        stage(spark, docs, sf_dir).write.parquet(place)
         docs = spark.read.parquet(place)
+        if before:
+            remove(spark, before)
+        before = place
     return docs
