@@ -494,10 +494,36 @@ def test_pipeline_against_brute_force(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     good = corpus_pipeline.keep_good(spark, docs, SF)
     assert good.columns == docs.columns
+    model = quality.train(docs, spark.read.parquet(f"{SF}/labels.parquet"))
+    texts = {r.doc_id: r.text for r in docs.collect()}
     rows = {r.doc_id: r.text for r in good.collect()}
+    assert rows == {i: t for i, t in texts.items() if model.scores(np.array([quality.text_features(t)]))[0] >= 0.3}
     unique = corpus_pipeline.drop_near_duplicates(spark, good, SF)
     assert {r.doc_id for r in unique.collect()} == {i for i, (n, c) in brute_components(rows, 5).items() if i == c}
     out = corpus_pipeline.run(spark, SF).toPandas()
-    assert out.groupby("sequence_id").length.sum().max() <= 4096
     taken = {r.doc_id: r.copies for r in mixing.mix(unique).collect()}
     assert out[out.piece == 0].groupby("doc_id").size().to_dict() == {i: n for i, n in taken.items() if n}
+    from tokenizers import Tokenizer
+
+    whole = Tokenizer.from_file(vocabulary("word_bpe_49k.json"))
+    ids = {i: [*whole.encode(texts[i], add_special_tokens=False).ids, 1] for i in taken if taken[i]}
+    for r in out.itertuples():
+        own = ids[r.doc_id][r.start : r.start + r.length]
+        assert r.start == 4096 * r.piece and len(own) == r.length and zlib.crc32(np.array(own, "<u4").tobytes()) == r.ids_crc32
+    for _, s in out.sort_values("offset").groupby("sequence_id"):
+        assert s.length.sum() <= 4096 and s.offset.tolist() == [0, *s.length.cumsum().tolist()[:-1]]
+    assert out.sequence_id.nunique() == packing.fewest(out.length.tolist(), 4096)  # no packing has fewer
+
+
+def test_pipeline_stages_on_odd_rows(spark, odd):
+    import corpus_pipeline
+
+    for rows in (odd, odd.limit(0)):
+        good = corpus_pipeline.keep_good(spark, rows, SF)
+        unique = corpus_pipeline.drop_near_duplicates(spark, rows, SF)
+        mixed = corpus_pipeline.mix_sources(spark, rows, SF)
+        assert good.columns == unique.columns == mixed.columns == rows.columns
+        n = [x.count() for x in (good, unique, mixed, corpus_pipeline.pack_sequences(spark, rows, SF))]
+        assert n[0] <= n[1] + 10 and (n == [0, 0, 0, 0]) == (rows is not odd)
+    kept = [r.doc_id for r in corpus_pipeline.drop_near_duplicates(spark, odd, SF).collect()]
+    assert sorted(x for x in kept if x is not None) == [1, 3, 4, 5, 7, 8] and kept.count(None) == 1  # 2 and 6 are copies of 1
