@@ -421,15 +421,24 @@ def test_fingerprints():
     t, rate = np.arange(24_000) / 8000, 8000
     tune = sum(np.sin(2 * np.pi * f * t) * (np.sin(2 * np.pi * t * (i + 1) / 3) > 0) for i, f in enumerate((262, 330, 392, 523)))
     basis = fingerprints.pitch_basis(512, rate)
-    frames = lambda s: fingerprints.chroma(s.astype(np.float32), 512, 128, basis)
-    a, b = fingerprints.codes(frames(tune)), fingerprints.codes(frames(tune[128 * 20 :] + np.random.default_rng(1).normal(0, 0.05, len(tune) - 128 * 20)))
+    read = lambda s: fingerprints.codes(fingerprints.chroma([s.astype(np.float32)], 512, 128, basis))[0]
+    a, b = read(tune), read(tune[128 * 20 :] + np.random.default_rng(1).normal(0, 0.05, len(tune) - 128 * 20))
     n, wrong = fingerprints.bit_errors(a, b, 20)
     m, other = fingerprints.bit_errors(a, b, 45)
     assert wrong / (32 * n) < 0.15 < other / (32 * m)
-    exact = fingerprints.codes(frames(tune[128 * 20 :]))
+    exact = read(tune[128 * 20 :])
     assert set(fingerprints.anchors(exact)[0].tolist()) & set(fingerprints.anchors(a)[0].tolist())
 
 
+def test_codes_do_not_depend_on_what_is_read_with_them():
+    r, basis = np.random.default_rng(3), fingerprints.pitch_basis(128, 8000)
+    tracks = [np.zeros(5000, np.float32), *[r.normal(0, 0.3, n).astype(np.float32) for n in (10, 700, 9000, 3333)], np.sin(np.arange(4000) / 5).astype(np.float32)]
+    many = fingerprints.codes(fingerprints.chroma(tracks, 128, 32, basis))
+    for track, c in zip(tracks, many, strict=True):
+        alone = fingerprints.codes(fingerprints.chroma([track], 128, 32, basis))[0]
+        assert len(alone) == len(c) and np.bitwise_count(alone ^ c).sum() <= 1  # a rounding at most
+
+
 def test_alignment_finds_the_first_copy(spark):
     r = random.Random(2)
     raw = bytes(r.randrange(256) for _ in range(9000))
