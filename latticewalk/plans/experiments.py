@@ -233,17 +233,17 @@ def explorer_comparison(spark: SparkSession, sf_dir: str, workloads: tuple[str,
     return spark.createDataFrame(rows, "workload string, pattern_key string, explorer string, support long, freq_sub int, freq_super int, infreq int, subgraph_tests long, worker_seconds double, seconds double")
 
 
-def time_by_size(spark: SparkSession, sf_dir: str, workloads: tuple[str, ...] = MAIN, percents: tuple[int, ...] = (25, 50, 100), k: int = 1) -> DataFrame:
+def time_by_size(spark: SparkSession, sf_dir: str, workloads: tuple[str, ...] = MAIN, percents: tuple[int, ...] = (25, 50, 100), k: int = 1, ahead: int = 64) -> DataFrame:
     """Time of whole chains until their pattern is out, on shares of the data, by the reuse explorer on the graphs.
 
-    The explorer looks ahead: a job explores all neighbours of the state at once. No table of supports is used but for
+    The explorer looks ahead: a job explores up to `ahead` neighbours of the state besides the one asked for. No table of supports is used but for
     the threshold, as the reference takes it from a miner.
     """
     rows = []
     for workload, percent in product(workloads, percents):
         packed = packed_of(spark, sf_dir, workload, percent).persist()
         f = service_of(packed, rules_of(workload), 15, "table").f
-        service = graphs.DataExplorer(packed, f, "reuse", ahead=64)
+        service = graphs.DataExplorer(packed, f, "reuse", ahead)
         r = walk.sample_private_patterns(service, walk.WalkConfig(rules_of(workload), k=k, f=f, eps1=0.5 * k / 15, seed=23))
         rows.append((workload, percent, service.graphs, sum(r.seconds) / k, sum(r.seconds) / len(r.trace), service.worked / k, service.jobs, service.tests, len(r.trace)))
         packed.unpersist()
@@ -259,7 +259,10 @@ def scaling_fit(times: DataFrame) -> DataFrame:
 
 
 def first_samples(spark: SparkSession, sf_dir: str, workload: str, draws: int, lattice: str) -> tuple[DataFrame, dict[str, float]]:
-    """The first sample of independent chains (pattern_key), and the exact law, in a space of at most two edges."""
+    """The first sample of independent chains (pattern_key), and the exact law, in a space of at most two edges.
+
+    A chain that doesn't converge gives null.
+    """
     s = supports_of(spark, sf_dir, workload, lattice=lattice)
     small = rules_of(workload, lattice)
     small = PatternRules(small.labels, 3, 2, small.min_nodes, small.min_edges)
@@ -268,7 +271,10 @@ def first_samples(spark: SparkSession, sf_dir: str, workload: str, draws: int, l
     config = walk.WalkConfig(small, k=1, f=threshold(own, 15), eps1=0.02, min_steps=150, bridge=lattice == "bridged")
 
     def task(d: int, s: dict) -> list[tuple]:
-        return [(walk.Walker(walk.Materialized(s), config).chain(1, random.Random(d))[0],)]
+        try:
+            return [(walk.Walker(walk.Materialized(s), config).chain(1, random.Random(d))[0],)]
+        except walk.NotConverged:
+            return [(None,)]
 
     return in_parallel(spark, draws, task, "pattern_key string", own), walk.exponential_probs(space, own, config.eps1, config.k)
 
@@ -276,26 +282,31 @@ def first_samples(spark: SparkSession, sf_dir: str, workload: str, draws: int, l
 def exact_vs_walk(spark: SparkSession, sf_dir: str, workload: str = "click", draws: int = 300, lattice: str = "plain") -> DataFrame:
     """How often each pattern is the first sample of a walk, beside the exact mechanism's law."""
     samples, law = first_samples(spark, sf_dir, workload, draws, lattice)
-    hits = {r.pattern_key: r["count"] for r in samples.groupBy("pattern_key").count().collect()}
+    hits = {r.pattern_key: r["count"] for r in samples.where("pattern_key is not null").groupBy("pattern_key").count().collect()}
     return spark.createDataFrame([(workload, k, float(p), hits.get(k, 0) / draws) for k, p in law.items()], "workload string, pattern_key string, exact double, walked double")
 
 
 def exact_vs_walk_distance(spark: SparkSession, sf_dir: str, workloads: tuple[str, ...] = MAIN, draws: int = 200, lattices: tuple[str, ...] = LATTICES) -> DataFrame:
     """Distance of the walk's first samples from the exact law, in total variation and as a chi-square per pattern.
 
-    expected_tv is what as many draws from the exact law itself would show, over 20 repetitions.
+    expected_tv is what as many draws from the exact law itself would show, over 20 repetitions. draws are the chains that
+    converged; without any the distances are null.
     """
     rows = []
     for workload, lattice in product(workloads, lattices):
         samples, law = first_samples(spark, sf_dir, workload, draws, lattice)
-        hits = {r.pattern_key: r["count"] for r in samples.groupBy("pattern_key").count().collect()}
-        walked = {k: n / draws for k, n in hits.items()}
-        chi = sum((hits.get(k, 0) - draws * p) ** 2 / (draws * p) for k, p in law.items() if p > 0) / max(1, len(law) - 1)
+        hits = {r.pattern_key: r["count"] for r in samples.where("pattern_key is not null").groupBy("pattern_key").count().collect()}
+        n = sum(hits.values())
+        if not n:
+            rows.append((workload, lattice, 0, None, None, None))
+            continue
+        walked = {k: c / n for k, c in hits.items()}
+        chi = sum((hits.get(k, 0) - n * p) ** 2 / (n * p) for k, p in law.items() if p > 0) / max(1, len(law) - 1)
         r, keys, weights, base = random.Random(3), list(law), list(law.values()), []
         for _ in range(20):
-            drawn = r.choices(keys, weights, k=draws)
-            base.append(walk.tv_between({k: drawn.count(k) / draws for k in set(drawn)}, law))
-        rows.append((workload, lattice, draws, walk.tv_between(walked, law), sum(base) / len(base), float(chi)))
+            drawn = r.choices(keys, weights, k=n)
+            base.append(walk.tv_between({k: drawn.count(k) / n for k in set(drawn)}, law))
+        rows.append((workload, lattice, n, walk.tv_between(walked, law), sum(base) / len(base), float(chi)))
     return spark.createDataFrame(rows, "workload string, lattice string, draws int, tv double, expected_tv double, chi2_per_pattern double")
 
 
