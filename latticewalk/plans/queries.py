@@ -829,6 +829,7 @@ EXPERIMENTS: dict[str, Query] = {
     "private_walk_on_data": lambda s, d: ex.private_walk(s, d, "click", 2, explorer="reuse"),
     "walk_by_explorer": lambda s, d: ex.walk_by_explorer(s, d),
     "walk_costs": lambda s, d: ex.walk_costs(s, d),
+    "walk_costs_click": lambda s, d: ex.walk_costs(s, d, workloads=("click",), steps=4),
     "explorer_comparison": lambda s, d: ex.explorer_comparison(s, d),
     "time_by_size": lambda s, d: ex.time_by_size(s, d),
     "time_scaling": lambda s, d: ex.scaling_fit(ex.time_by_size(s, d)),
