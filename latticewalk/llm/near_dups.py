@@ -322,7 +322,7 @@ class Blocks:
         right = self.main[here] if j < 0 else ~self.main[here] & (self.own[here] == j)
         return start + np.flatnonzero(left), start + np.flatnonzero(right), False
 
-    def pairs(self, start: int, end: int, most: int = 20_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    def pairs(self, start: int, end: int, most: int = 4_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """All pairs of a left with a right row, a bounded number at a time."""
         left, right, same = self.sides(start, end)
         step = max(1, most // max(1, len(right)))
@@ -364,14 +364,14 @@ class Blocks:
         for g, (start, end) in enumerate(zip(self.starts, self.starts[1:])):
             found = 0
             for a, b in self.pairs(start, end):
-                if len(a) > 1000:  # many at once are looked at by themselves, and only until there are too many
+                if len(a) > 500:  # many at once are looked at by themselves, and only until there are too many
                     a, b, _ = self.likely(a, b)
                     found += len(a)
                 held.append((a, b))
                 n += len(a)
                 if found > most * (end - start):
                     break
-            if n > 20_000 or g == len(self.starts) - 2:
+            if n > 4_000 or g == len(self.starts) - 2:
                 a, b = (np.concatenate(x) for x in zip(*held)) if held else [np.zeros(0, int)] * 2
                 a, b, _ = self.likely(a, b)
                 yield frame(a, b, np.searchsorted(np.array(self.starts), a, side="right") - 1)
