@@ -4,8 +4,8 @@ Frames of a recording become energies of twelve pitch classes. Sixteen rectangle
 read from an integral image, are quantised to two bits each and packed into a 32-bit code per frame. Anchors
 are runs of four codes, chosen by local minima of their hash, so that recordings with a common stretch share
 anchors in it. A histogram of the offsets of shared anchors gives the shifts of a pair, and the bit errors of all
-overlapping codes measure each. Recordings are compared with the smallest id of each of their anchors, then, in
-blocks, with those of their anchors' groups that aren't joined with them yet; what is joined is a class.
+overlapping codes measure each. All recordings that share an anchor are compared: in small groups pair by pair, in
+large ones in pairs of blocks, each pair under the smallest anchor that it shares.
 """
 
 from __future__ import annotations
@@ -158,94 +158,128 @@ def together(part: pd.Series, most: int) -> Iterator[list[int]]:
 
 
 class Print:
-    """Codes of a recording with its anchors, sorted by key."""
+    """Codes of a recording with the positions of its anchors by key."""
 
     def __init__(self, raw: bytes):
         self.codes = np.frombuffer(raw, "<u4")
-        keys, at = anchors(self.codes)
-        order = np.argsort(keys, kind="stable")
-        self.keys, self.at = keys[order], at[order]
-
-
-def votes(a: Print, b: Print) -> np.ndarray:
-    """Shared anchors by offset of b's start into a, from -len(b.codes) on."""
+        self.places: dict[int, list[int]] = {}
+        for key, at in zip(*(x.tolist() for x in anchors(self.codes)), strict=True):
+            self.places.setdefault(key, []).append(at)
+
+
+def votes(a: Print, b: Print, keys: set[int]) -> list[tuple[int, int]]:
+    """Offsets of b's start into a that anchors of `keys` give, with their number: most first, ties by offset."""
+    most = sum(len(a.places[k]) * len(b.places[k]) for k in keys)
+    if most == 1:
+        (key,) = keys
+        return [(a.places[key][0] - b.places[key][0], 1)]
+    if most <= 64:
+        n: dict[int, int] = {}
+        for key in keys:
+            for p in a.places[key]:
+                for q in b.places[key]:
+                    n[p - q] = n.get(p - q, 0) + 1
+        return sorted(n.items(), key=lambda x: (-x[1], x[0]))
     out = np.zeros(len(a.codes) + len(b.codes) + 1, np.int64)
-    for key in np.intersect1d(a.keys, b.keys):
-        x = a.at[np.searchsorted(a.keys, key) : np.searchsorted(a.keys, key, "right")]
-        y = b.at[np.searchsorted(b.keys, key) : np.searchsorted(b.keys, key, "right")]
+    for key in keys:
+        x, y = np.array(a.places[key]), np.array(b.places[key])
         if len(x) < len(y):
             for p in x:
                 out[p - y + len(b.codes)] += 1
         else:
             for p in y:
                 out[x - p + len(b.codes)] += 1
-    return out
+    at = np.flatnonzero(out)
+    at = at[np.argsort(-out[at], kind="stable")]
+    return list(zip((at - len(b.codes)).tolist(), out[at].tolist(), strict=True))
 
 
-def verified(a: Print, b: Print, worst: float) -> tuple[int, int, int, int] | None:
+def verified(a: Print, b: Print, keys: set[int], worst: float) -> tuple[int, int, int, int] | None:
     """offset, votes, overlap and errors of the most voted offset (ties: the smaller) that passes, of all that have a vote."""
-    n = votes(a, b)
-    at = np.flatnonzero(n)
-    for i in at[np.argsort(-n[at], kind="stable")]:
-        overlap, errors = bit_errors(a.codes, b.codes, int(i) - len(b.codes))
+    for offset, n in votes(a, b, keys):
+        overlap, errors = bit_errors(a.codes, b.codes, offset)
         if errors <= 32 * worst * overlap:
-            return int(i) - len(b.codes), int(n[i]), overlap, errors
+            return offset, n, overlap, errors
     return None
 
 
-LINK = "id long, match_id long, match_offset int, votes int, overlap int, errors int"
+PART = "id long, links long, match_id long, match_offset int, votes int, overlap int, errors int, joined array<bigint>"
 
 
-def link(id_: int, other: int, found: tuple[int, int, int, int]) -> tuple:
-    """A row of LINK from an offset of id_ into other: the larger id points at the smaller."""
-    return (id_, other, *found) if other < id_ else (other, id_, -found[0], *found[1:])
+class Found:
+    """Links of some pairs, added up by recording: rows of PART. joined are links that connect all that the pairs do."""
 
+    def __init__(self):
+        self.links: dict[int, int] = {}
+        self.best: dict[int, tuple[int, int, tuple]] = {}
+        self.joined: dict[int, list[int]] = {}
+        self.parent: dict[int, int] = {}
+
+    def root(self, x: int) -> int:
+        while self.parent.get(x, x) != x:
+            self.parent[x] = self.parent.get(self.parent[x], self.parent[x])
+            x = self.parent[x]
+        return x
 
-def confirm(pairs: DataFrame, own: DataFrame, worst: float) -> DataFrame:
-    """The links among pairs (rep, first)."""
+    def compare(self, small: tuple[int, int, Print], large: tuple[int, int, Print], key: int, worst: float) -> None:
+        """Two recordings (id, copies, print), the smaller id first, of which `key` is an anchor of both."""
+        (i, n, a), (j, m, b) = small, large
+        keys = a.places.keys() & b.places.keys()
+        if min(keys) != key:  # the pair is compared under its smallest key
+            return
+        found = verified(a, b, keys, worst)
+        if not found:
+            return
+        self.links[i], self.links[j] = self.links.get(i, 0) + m, self.links.get(j, 0) + n
+        self.best[j] = max(self.best.get(j, (0, 0, ())), (found[1], -i, found))
+        u, v = self.root(i), self.root(j)
+        if u != v:
+            self.parent[max(u, v)] = min(u, v)
+            self.joined.setdefault(j, []).append(i)
+
+    def rows(self) -> pd.DataFrame:
+        rows = []
+        for id_, n in self.links.items():
+            _, other, found = self.best.get(id_, (0, None, (None,) * 4))
+            rows.append((id_, n, None if other is None else -other, *found, self.joined.get(id_, [])))
+        out = pd.DataFrame(rows, columns=[c.split()[0] for c in PART.split(", ")])
+        whole = ["match_id", "match_offset", "votes", "overlap", "errors"]
+        return out.astype(dict.fromkeys(whole, "Int64"))
+
+
+def pair_links(members: DataFrame, own: DataFrame, worst: float) -> DataFrame:
+    """Links (PART) within groups (key, rep) that are small enough to write out their pairs."""
+    pairs = members.join(members.select("key", F.col("rep").alias("other")), "key").where("rep < other").groupBy("rep", "other").agg(F.min("key").alias("key"))
 
     def check(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            rows = []
-            for i, j, x, y in zip(batch["rep"], batch["first"], batch["codes"], batch["other"], strict=True):
-                found = verified(Print(y), Print(x), worst)
-                if found:
-                    rows.append(link(int(i), int(j), found))
-            yield pd.DataFrame(rows, columns=[c.split()[0] for c in LINK.split(", ")])
+            found = Found()
+            for key, i, j, n, m, x, y in zip(*(batch[c] for c in ("key", "rep", "other", "copies", "more", "codes", "with")), strict=True):
+                found.compare((int(i), int(n), Print(x)), (int(j), int(m), Print(y)), int(key), worst)
+            yield found.rows()
 
-    other = own.select(F.col("rep").alias("first"), F.col("codes").alias("other"))
-    return pairs.join(own.select("rep", "codes"), "rep").join(other, "first").mapInPandas(check, LINK)
+    with_ = own.select(F.col("rep").alias("other"), F.col("copies").alias("more"), F.col("codes").alias("with"))
+    return pairs.join(own, "rep").join(with_, "other").mapInPandas(check, PART)
 
 
-def cross_links(members: DataFrame, own: DataFrame, worst: float, block: int = 512) -> DataFrame:
-    """Links between components (label) of the recordings that share an anchor: key, rep, label.
-
-    Members of a group outside its largest component meet each other and that component in blocks of bounded size.
-    A pair is compared under the smallest key that it shares, at all offsets, and not if it is joined already.
-    """
-    by_label = members.groupBy("key", "label").agg(F.count("*").alias("c"))
-    groups = by_label.groupBy("key").agg(F.max_by("label", F.struct("c", "label")).alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).where("n_rest > 0")
-    live = members.join(groups, "key").withColumn("is_main", F.col("label") == F.col("main"))
-    live = live.withColumn("blocks", F.ceil(F.col("n_rest") / block)).withColumn("main_blocks", F.ceil(F.col("n_main") / block))
-    live = live.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("is_main"), F.col("main_blocks")).otherwise(F.col("blocks"))))
-    # a block of the rest meets the blocks from its own on, and all blocks of the main component (negative numbers)
-    rest = "concat(transform(sequence(own, blocks - 1), j -> named_struct('i', own, 'j', j)), if(own > 0, transform(sequence(0L, own - 1), j -> named_struct('i', j, 'j', own)), array()), transform(sequence(1L, main_blocks), j -> named_struct('i', own, 'j', -j)))"
-    main = "transform(sequence(0L, blocks - 1), i -> named_struct('i', i, 'j', -own - 1))"
-    live = live.select("key", "rep", "label", "own", "is_main", F.expr(f"inline(if(is_main, {main}, {rest}))"))
+def block_pairs(members: DataFrame, own: DataFrame, worst: float, block: int) -> DataFrame:
+    """Links (PART) within large groups (key, rep, n: members of the group): members are dealt to blocks of about `block`, and each pair of blocks is one group."""
+    live = members.withColumn("blocks", F.ceil(F.col("n") / block)).withColumn("own", F.expr("pmod(xxhash64(rep), blocks)"))
+    live = live.select("key", "rep", "own", F.expr("explode(transform(sequence(0L, blocks - 1), x -> named_struct('i', least(own, x), 'j', greatest(own, x)))) b")).select("key", "rep", "own", "b.i", "b.j")
 
     def resolve(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for rows in whole_groups(batches):
             prints = {rep: Print(raw) for rep, raw in zip(rows["rep"].tolist(), rows["codes"])}
-            key, i, j, rep, label, is_main, own = (rows[c].to_numpy() for c in ("key", "i", "j", "rep", "label", "is_main", "own"))
+            own_print = [(rep, n, prints[rep]) for rep, n in zip(rows["rep"].tolist(), rows["copies"].tolist())]
+            key, i, j, part = (rows[c].to_numpy() for c in ("key", "i", "j", "own"))
             new = (np.diff(key) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)
-            starts, links = [0, *(np.flatnonzero(new) + 1).tolist(), len(rows)], []
+            starts = [0, *(np.flatnonzero(new) + 1).tolist(), len(rows)]
             for start, end in zip(starts, starts[1:]):
-                here = slice(start, end)
-                links += block_links(key[start], i[start], j[start], rep[here], label[here], is_main[here].astype(bool), own[here], prints, worst)
-            yield pd.DataFrame(links, columns=[c.split()[0] for c in LINK.split(", ")])
+                yield block_links(int(key[start]), bool(i[start] == j[start]), own_print[start:end], (part[start:end] == i[start]).tolist(), worst)
 
-    on = ("key", "i", "j")
-    return live.join(own.select("rep", "codes"), "rep").repartition(*on).sortWithinPartitions(*on, "rep").mapInPandas(resolve, LINK)
+    # a number of parts is given, as pairs of blocks are small to send and long to compare, so they mustn't be put together
+    on, parts = ("key", "i", "j"), int(live.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return live.join(own, "rep").repartition(parts, *on).sortWithinPartitions(*on, "rep").mapInPandas(resolve, PART)
 
 
 def whole_groups(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -264,46 +298,27 @@ def whole_groups(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield rest.reset_index(drop=True)
 
 
-def block_links(key: int, i: int, j: int, rep: np.ndarray, label: np.ndarray, is_main: np.ndarray, part: np.ndarray, prints: dict[int, Print], worst: float) -> list[tuple]:
-    """Links of one pair of blocks: rows of LINK that join components which nothing before them joined."""
-    left = np.flatnonzero(~is_main & (part == i))
-    right = np.arange(len(rep)) if j == i else np.flatnonzero(is_main if j < 0 else part == j)
-    own = [prints[r] for r in rep.tolist()]
-    parent: dict[int, int] = {}
+def block_links(key: int, same: bool, own: list[tuple[int, int, Print]], left: list[bool], worst: float) -> pd.DataFrame:
+    """Links (PART) of one pair of blocks, members in order of id: all pairs of one block (same), or of the left with the right one."""
+    found = Found()
+    for y, large in enumerate(own):
+        for x in range(y):
+            if same or left[x] != left[y]:
+                found.compare(own[x], large, key, worst)
+    return found.rows()
 
-    def find(x: int) -> int:
-        while parent.get(x, x) != x:
-            parent[x] = parent.get(parent[x], parent[x])
-            x = parent[x]
-        return x
 
-    smaller = [p.keys[: np.searchsorted(p.keys, key)] for p in own]  # pairs that share a smaller key are compared there
-    links = []
-    for a in left.tolist():
-        for b in right[label[right] != label[a]].tolist():
-            if j == i and b <= a:
-                continue
-            u, v = find(int(label[a])), find(int(label[b]))
-            if u == v or len(np.intersect1d(smaller[a], smaller[b])):
-                continue
-            found = verified(own[b], own[a], worst)
-            if found:
-                parent[max(u, v)] = min(u, v)
-                links.append(link(int(rep[a]), int(rep[b]), found))
-    return links
-
-
-def align(media: DataFrame, worst: float = 0.2, **how) -> DataFrame:
+def align(media: DataFrame, worst: float = 0.2, small: int = 8, block: int = 256, **how) -> DataFrame:
     """id, n_frames, n_codes, codes_crc32, match_id, match_offset, votes, overlap, errors, class_id, links: a row for each recording.
 
     Two recordings that share an anchor are linked if at most `worst` of the overlapping bits differ at an offset that
-    a shared anchor gives. class_id is the smallest id reachable over links. Each recording is first compared with the
-    smallest id of each of its anchors, then with all that share an anchor and aren't in its class yet. Links within a
-    class that is joined already aren't looked for. Of the links found, match_id is the smaller id with the most votes
-    (shared anchors at the offset; ties: smaller id), null where there is none, and links counts the smaller ids.
-    Recordings of equal codes are one for the search; the later ones are linked with the first.
+    a shared anchor gives. All pairs that share an anchor are compared. class_id is the smallest id reachable over links,
+    links counts the other ids linked with a recording, copies and larger ids among them. Of the smaller ids, match_id is
+    the one with the most votes (shared anchors at the offset; ties: smaller id), null where there is none.
+    Recordings of equal codes are one for the search, and linked with each other and with what any of them is linked with.
     Recordings without codes, and rows with a null id, match nothing: class_id is the id. Of rows that repeat an id,
-    each gets the id's match and own counts. An empty table gives no rows.
+    each gets the id's match and own counts. An empty table gives no rows. Groups of an anchor with more than `small`
+    recordings are compared in blocks of about `block`; neither changes rows.
     """
     from latticewalk.llm.common import cut
     from latticewalk.llm.near_dups import components
@@ -312,27 +327,21 @@ def align(media: DataFrame, worst: float = 0.2, **how) -> DataFrame:
     prints = fingerprints(media, **how).select("id", "n_frames", "n_codes", "codes", keys, F.size("anchors").alias("n_anchors"))
     prints = cut(prints.withColumn("same", F.unhex(F.sha2("codes", 256))))
     ids = prints.where("id is not null and n_codes > 0").groupBy("id").agg(F.max(F.struct("same", "n_codes", "n_anchors")).alias("p")).select("id", "p.*")
-    classes = cut(ids.groupBy("same").agg(F.min("id").alias("rep")))
-    reps = prints.join(classes, (F.col("id") == F.col("rep")) & (prints["same"] == classes["same"])).select("rep", "codes", "keys").dropDuplicates(["rep"])
+    classes = cut(ids.groupBy("same").agg(F.min("id").alias("rep"), F.count("*").alias("copies")))
+    reps = prints.join(classes, (F.col("id") == F.col("rep")) & (prints["same"] == classes["same"])).select("rep", "copies", "codes", "keys").dropDuplicates(["rep"])
     spots = reps.select("rep", F.explode("keys").alias("key"))
-    shared = spots.groupBy("key").agg(F.min("rep").alias("first"), F.max("rep").alias("last")).where("first < last").drop("last")
+    shared = spots.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     members = cut(spots.join(shared, "key"))
-    own = cut(reps.select("rep", "codes").join(members.select("rep").distinct(), "rep", "left_semi"))
-    edges = lambda df: df.select(F.col("id").alias("u"), F.col("match_id").alias("v"))
-    near = cut(confirm(members.where("first <> rep").select("rep", "first").distinct(), own, worst))
-    root = components(edges(near))
-    labels = cut(members.select("rep").distinct().join(root, F.col("rep") == F.col("node"), "left").select("rep", F.coalesce("root", "rep").alias("label")))
-    far = cut(cross_links(members.select("key", "rep").join(labels, "rep"), own, worst))
-    # over labels, so that what the first links joined stays joined
-    label = lambda c: labels.select(F.col("rep").alias(c), F.col("label").alias(f"{c}_label"))
-    more = components(far.join(label("id"), "id").join(label("match_id"), "match_id").select(F.col("id_label").alias("u"), F.col("match_id_label").alias("v")))
-    labels = labels.join(more, F.col("label") == F.col("node"), "left").select("rep", F.coalesce("root", "label").alias("label"))
-    one = near.unionByName(far).dropDuplicates(["id", "match_id"])
-    best = one.groupBy("id").agg(F.max(F.struct("votes", (-F.col("match_id")).alias("m"), (-F.col("match_offset")).alias("o"), "overlap", "errors")).alias("b"), F.count("*").cast("int").alias("found"))
-    copies = ids.join(classes, "same").join(best.withColumnRenamed("id", "rep"), "rep", "left").join(labels, "rep", "left")
+    own = cut(reps.select("rep", "copies", "codes").join(members.select("rep").distinct(), "rep", "left_semi"))
+    parts = pair_links(members.where(F.col("n") <= small).select("key", "rep"), own, worst)
+    parts = cut(parts.unionByName(block_pairs(members.where(F.col("n") > small), own, worst, block)))
+    root = components(parts.select(F.col("id").alias("u"), F.explode("joined").alias("v")))
+    linked = F.when(F.col("match_id").isNotNull(), F.struct("votes", (-F.col("match_id")).alias("m"), (-F.col("match_offset")).alias("o"), "overlap", "errors"))
+    best = parts.groupBy("id").agg(F.max(linked).alias("b"), F.sum("links").alias("found"))
+    copies = ids.join(classes, "same").join(best.withColumnRenamed("id", "rep"), "rep", "left").join(root.select(F.col("node").alias("rep"), F.col("root").alias("label")), "rep", "left")
     first = F.struct(F.col("n_anchors").alias("votes"), (-F.col("rep")).alias("m"), F.lit(0).alias("o"), F.col("n_codes").alias("overlap"), F.lit(0).alias("errors"))
     copies = copies.withColumn("b", F.when(F.col("id") == F.col("rep"), F.col("b")).otherwise(F.greatest("b", first)))
     # the smallest id of a class is the first of its own copies, as rep is the smallest id of each
-    found = copies.select("id", (-F.col("b.m")).alias("match_id"), (-F.col("b.o")).alias("match_offset"), "b.votes", "b.overlap", "b.errors", F.coalesce("label", "rep").alias("class_id"), (F.coalesce("found", F.lit(0)) + (F.col("id") > F.col("rep")).cast("int")).alias("links"))
+    found = copies.select("id", (-F.col("b.m")).alias("match_id"), (-F.col("b.o")).alias("match_offset"), "b.votes", "b.overlap", "b.errors", F.coalesce("label", "rep").alias("class_id"), (F.coalesce("found", F.lit(0)) + F.col("copies") - 1).alias("links"))
     out = prints.select("id", "n_frames", "n_codes", F.crc32("codes").alias("codes_crc32")).join(found, "id", "left")
     return out.withColumn("class_id", F.coalesce("class_id", "id")).withColumn("links", F.coalesce("links", F.lit(0)))

@@ -6,7 +6,7 @@ import re
 import time
 import zlib
 from bisect import bisect_right
-from itertools import combinations
+from itertools import combinations, permutations
 
 import duckdb
 import numpy as np
@@ -462,6 +462,28 @@ def test_alignment_finds_all_links_and_classes(spark):
     assert got[21].match_id == 20 and got[21].errors == 0 and got[21].class_id == 20
 
 
+@pytest.mark.parametrize("sizes", [{}, {"small": 2, "block": 3}])
+def test_alignment_counts_every_link_of_a_class(spark, sizes):
+    r = random.Random(4)
+    noise = lambda n: bytes(r.randrange(256) for _ in range(32 * n))
+    a, b, hum = noise(60), noise(60), b"\x80" * 32 * 40
+    rows = [(10 + i, a + noise(1 + i)) for i in range(6)] + [(30, a + b), (31, b + noise(9)), (32, b), (40, hum), (41, hum + noise(3))]
+    rows += [(50, a + noise(300)), (51, rows[2][1]), (52, rows[2][1]), (53, noise(70)), (54, None)]
+    df = spark.createDataFrame(rows, "id long, audio binary")
+    codes = {x.id: np.frombuffer(bytes(x.codes), "<u4") for x in fingerprints.fingerprints(df).where("n_codes > 0").collect()}
+    spots = {i: list(zip(*(x.tolist() for x in fingerprints.anchors(c)))) for i, c in codes.items()}
+    near: dict[int, set[int]] = {i: set() for i, _ in rows}
+    for i, j in permutations(codes, 2):
+        for offset in {p - q for k, p in spots[i] for m, q in spots[j] if k == m}:
+            n, wrong = fingerprints.bit_errors(codes[i], codes[j], offset)
+            if wrong <= 32 * 0.2 * n:
+                near[i].add(j)
+    got = {x.id: x for x in fingerprints.align(df, **sizes).collect()}
+    assert {i: x.links for i, x in got.items()} == {i: len(js) for i, js in near.items()} and near[12] >= {10, 11, 13, 51, 52}
+    assert all(x.class_id == min({x.id} | {got[j].class_id for j in near[x.id]}) for x in got.values())
+    assert all((x.match_id is None) == (not any(j < x.id for j in near[x.id])) for x in got.values())
+
+
 def test_url_lists(spark):
     captures = spark.createDataFrame([(1, "https://A.b.com:8/x", 50), (2, "http://b.com/", 150), (3, "http://c.org", 50), (4, None, 5), (5, "http://a.b.com", None), (6, "http://a.b.com.", 250)], "page_id long, url string, fetched_at long")
     entries = spark.createDataFrame([("b.com", 40, "block", "x"), ("b.com", 100, "allow", "x"), ("a.b.com", 200, "block", "y"), ("c.org", 60, "block", "x"), (None, 1, "block", "x")], "domain string, listed_at long, action string, category string")
