@@ -34,8 +34,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces with their places in sequences."""
-    return packing.pack(docs, vocabulary("word_bpe_49k.json"), SEQUENCE)
+    """Pieces with their places in sequences. Workers of earlier stages are still there, so none of them keeps an encoder."""
+    return packing.pack(docs, vocabulary("word_bpe_49k.json"), SEQUENCE, memo=100_000)
 
 
 STAGES = [("quality", keep_good), ("near_duplicates", drop_near_duplicates), ("mixing", mix_sources), ("packing", pack_sequences)]

@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from latticewalk.llm.common import cut
+from latticewalk.llm.common import cut, trimmed
 
 BUCKETS, BAND, MANTISSA = 256, 6, 10
 BANDS = BUCKETS // BAND
@@ -212,7 +212,7 @@ def band_rows(classes: DataFrame) -> DataFrame:
             key = key >> np.uint64(BAND_BITS) << np.uint64(BAND_BITS) | number
             yield pd.DataFrame({"key": key.reshape(-1).view(np.int64), "rep": np.repeat(batch["rep"].to_numpy(), BANDS)})
 
-    return classes.select("rep", "sketch").mapInPandas(spread, "key long, rep long")
+    return classes.select("rep", "sketch").mapInPandas(trimmed(spread), "key long, rep long")
 
 
 def likely(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
@@ -231,7 +231,7 @@ def likely(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
             yield batch[["a", "b"]][passes(about, k, percent)]
 
     both = pairs.select("a", "b").join(side("b"), "b").join(side("a"), "a").where(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)")
-    return both.mapInPandas(weigh, "a long, b long")
+    return both.mapInPandas(trimmed(weigh), "a long, b long")
 
 
 def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
@@ -244,7 +244,7 @@ def full_sets(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
     reps = reps.select("rep").distinct()
     # an inner join, as the optimizer would push a semi join below the filter by the bitmap
     own = maybe_in(docs.selectExpr("cast(doc_id as long) rep", "text"), reps).join(reps, "rep")
-    return own.dropDuplicates(["rep", "text"]).mapInPandas(sets, "rep long, full binary")
+    return own.dropDuplicates(["rep", "text"]).mapInPandas(trimmed(sets), "rep long, full binary")
 
 
 #: Bits of the bitmap of ids, in parts of 4 kB: 4 MB, whatever the number of ids.
@@ -280,7 +280,7 @@ def confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Data
                 linked.append(100 * common >= percent * (len(u) + len(v) - common))
             yield batch[columns][np.array(linked, bool)]
 
-    return pairs.join(side("b"), "b").join(side("a"), "a").mapInPandas(check, pairs.schema)
+    return pairs.join(side("b"), "b").join(side("a"), "a").mapInPandas(trimmed(check), pairs.schema)
 
 
 def cross_blocks(members: DataFrame, block: int) -> DataFrame:
@@ -432,7 +432,7 @@ def cross_links(members: DataFrame, classes: DataFrame, docs: DataFrame, words:
 
     on = ("key", "i", "j")
     dealt = live.join(sized, "rep").repartition(*on).sortWithinPartitions(*on, "rep")
-    found = cut(dealt.mapInPandas(propose, "key long, i long, j long, a long, b long, u long, v long"))
+    found = cut(dealt.mapInPandas(trimmed(propose), "key long, i long, j long, a long, b long, u long, v long"))
     links = confirm(found.where("a is not null").select("a", "b", "u", "v"), docs, words, percent).select("u", "v")
     crowded = found.where("a is null").select(*on)
     if crowded.isEmpty():

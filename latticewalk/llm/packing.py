@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from latticewalk.llm.common import cut, n_groups, once
+from latticewalk.llm.common import cut, n_groups, once, trimmed
 from latticewalk.llm.token_counts import TwoGenerations, byte_letters
 
 #: Blanks are dropped by the word vocabulary, so a text may be encoded run by run.
@@ -210,15 +210,17 @@ def complete(lengths: list[int], capacity: int, nodes: int = 3000) -> list[list[
     return best
 
 
-def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups: int) -> DataFrame:
+def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups: int, memo: int | None = None) -> DataFrame:
     """Pieces of at most `capacity` tokens: doc_id, piece, start, length, ids_crc32 and the group that packs it.
 
     Groups are dealt out in turn within each input partition, so that repeated rows don't meet in one. The pieces are
     written before they are dealt, so that a task that is run again over rows in another order loses and doubles none.
+    A worker keeps its encoder for its later tasks; given `memo`, each task makes one with a memo of that size instead.
     """
 
     def cut_up(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encoder, end = once(("word encoder", path), lambda: WordEncoder(path)), np.array([end_id], "<u4").tobytes()
+        encoder = WordEncoder(path, memo) if memo else once(("word encoder", path), lambda: WordEncoder(path))
+        end = np.array([end_id], "<u4").tobytes()
         turn = TaskContext.get().partitionId() * 7919
         for batch in batches:
             texts = [t if isinstance(t, str) else "" for t in batch["text"]]
@@ -232,15 +234,15 @@ def token_pieces(docs: DataFrame, path: str, capacity: int, end_id: int, groups:
             out["doc_id"] = pd.array([None if x is None else int(x) for x in out["doc_id"]], dtype="Int64")
             yield out
 
-    return cut(docs.selectExpr("cast(doc_id as string) doc_id", "text").mapInPandas(cut_up, "doc_id long, piece int, start long, length long, ids_crc32 long, group long"))
+    return cut(docs.selectExpr("cast(doc_id as string) doc_id", "text").mapInPandas(trimmed(cut_up), "doc_id long, piece int, start long, length long, ids_crc32 long, group long"))
 
 
-def pack(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1, group_rows: int = 16_384) -> DataFrame:
+def pack(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1, group_rows: int = 16_384, memo: int | None = None) -> DataFrame:
     """Pack all documents into few sequences: doc_id, piece, start, length, ids_crc32, sequence_id, offset.
 
     A document is its ids and end_id; longer ones than capacity are cut. Null and empty texts are a
     piece of one token. Repeated rows and null ids are packed like any other row; other columns are
-    left out. An empty table gives no rows.
+    left out. An empty table gives no rows. memo (see token_pieces) bounds memory and changes no row.
     """
     groups = n_groups(docs.count(), group_rows)
 
@@ -257,4 +259,4 @@ def pack(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1, grou
         return pieces.drop(columns="group").assign(sequence_id=sequence * groups + group, offset=offset)
 
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
-    return token_pieces(docs, path, capacity, end_id, groups).groupBy("group").applyInPandas(fill, schema)
+    return token_pieces(docs, path, capacity, end_id, groups, memo).groupBy("group").applyInPandas(fill, schema)

@@ -484,6 +484,18 @@ def test_alignment_counts_every_link_of_a_class(spark, sizes):
     assert all((x.match_id is None) == (not any(j < x.id for j in near[x.id])) for x in got.values())
 
 
+def test_the_pipeline_packs_without_kept_encoders(spark, monkeypatch):
+    import corpus_pipeline
+
+    docs = spark.createDataFrame([(i, " ".join(f"w{i}x{j}" for j in range(40 * i))) for i in range(30)] + [(90, None)], "doc_id long, text string")
+    pieces = lambda df: sorted(df.select("doc_id", "piece", "start", "length", "ids_crc32").collect())
+    assert pieces(corpus_pipeline.pack_sequences(spark, docs, SF)) == pieces(packing.pack(docs, vocabulary("word_bpe_49k.json")))
+    how: dict = {}
+    monkeypatch.setattr(packing, "pack", lambda *_, **given: how.update(given))
+    corpus_pipeline.pack_sequences(spark, docs, SF)
+    assert how["memo"]
+
+
 def test_url_lists(spark):
     captures = spark.createDataFrame([(1, "https://A.b.com:8/x", 50), (2, "http://b.com/", 150), (3, "http://c.org", 50), (4, None, 5), (5, "http://a.b.com", None), (6, "http://a.b.com.", 250)], "page_id long, url string, fetched_at long")
     entries = spark.createDataFrame([("b.com", 40, "block", "x"), ("b.com", 100, "allow", "x"), ("a.b.com", 200, "block", "y"), ("c.org", 60, "block", "x"), (None, 1, "block", "x")], "domain string, listed_at long, action string, category string")
